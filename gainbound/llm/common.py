@@ -60,3 +60,11 @@ def bounded_sample(df: DataFrame, bound: int, by: str | None = None, key: str =
         return keyed.where(F.lit(False)).drop("_h")
     limit = F.create_map(*[F.lit(x) for r in counts for x in (r[0], int((1 << 30) * min(1.0, bound / r[1])))])
     return keyed.where(F.col("_h") < limit[F.col(by)]).drop("_h")
+
+
+def fresh(columns: list[str], name: str) -> str:
+    """name, with underscores in front until no column is called so."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gainbound.llm import decontaminate, substrings
+from gainbound.llm import chat, decontaminate, jaccard, langid, mixing, quality, sharding, substrings, toxicity, warc
 from gainbound.llm.common import table
 
 
@@ -19,13 +19,56 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rates that bring the languages' expected tokens to smoothed shares, no document below 1."""
+    mixed, _, _ = mixing.mix(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"))
+    return mixed.select("doc_id", F.col("_tokens").alias("tokens"), F.col("_domain").alias("domain"), F.col("_rate").alias("rate"), F.col("_copies").alias("copies"))
+
+
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.classify(table(spark, sf_dir, "documents"))
+
+
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return judged.select("doc_id", *quality.COUNTS, "base_failed", "kept", "score")
+
+
+def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.repair_roles(table(spark, sf_dir, "conversations"))
+
+
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.archive_and_read(table(spark, sf_dir, "pages"))
+
+
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.similarity_classes(table(spark, sf_dir, "documents"))
+
+
 def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.dedup_substrings(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
+def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.assign_shards(table(spark, sf_dir, "documents"), 16)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_mix_sources": op1_mix_sources,
     "op2_decontaminate": op2_decontaminate,
+    "op3_language_id": op3_language_id,
+    "op4_toxicity": op4_toxicity,
+    "op5_quality_rules": op5_quality_rules,
+    "op6_chat_format": op6_chat_format,
+    "op7_warc": op7_warc,
+    "op8_jaccard_join": op8_jaccard_join,
     "op9_substring_dedup": op9_substring_dedup,
+    "op10_shards": op10_shards,
 }
 
 _ALNUM = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -57,4 +100,45 @@ k as (select doc_id, string_agg(word, ' ' order by j) as kept, count(*) as n
       from (select doc_id, unnest(w) as word, unnest(range(1, len(w) + 1)) as j from d) as words anti join x using (doc_id, j) group by doc_id)
 select d.doc_id, cast(len(w) as bigint) as n_words, cast(len(w) - coalesce(n, 0) as bigint) as n_removed, sha256(coalesce(kept, '')) as kept_sha256
 from d left join k using (doc_id)""",
+    "op7_warc": """
+with p as (select page_id, coalesce(html, '') as html from pages),
+g as (select page_id, html, strlen(html) as n, sha1(html) as h, max(page_id) over (partition by html) as holder from p)
+select page_id, cast(n as bigint) as payload_bytes,
+       array_to_string([substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + cast((cast('0x' || substr(h, 1 + 5 * (i // 4), 5) as integer) >> (15 - 5 * (i % 4))) & 31 as integer), 1) for i in range(32)], '') as payload_digest,
+       case when page_id = holder then 'response' else 'revisit' end as record_type,
+       case when page_id = holder then null else holder end as refers_to
+from g""",
+    "op8_jaccard_join": f"""
+with recursive t as (select text, min(doc_id) as id, count(*) as copies, regexp_extract_all(text, '{_GRAPHIC}') as w from documents where text is not null group by text),
+s as (select distinct id, array_to_string(w[i:i + least(5, len(w)) - 1], ' ') as gram from (select id, w, unnest(range(1, len(w) - least(5, len(w)) + 2)) as i from t where len(w) > 0)),
+n as (select id, count(*) as n from s group by id),
+c as (select a.id as a, b.id as b, count(*) as common from s a join s b on a.gram = b.gram and a.id <> b.id group by 1, 2),
+l as (select c.a, c.b from c join n x on x.id = c.a join n y on y.id = c.b where 10 * common >= 8 * (x.n + y.n - common)),
+r(id, other) as (select id, id from t union select r.id, l.b from r join l on l.a = r.other),
+k as (select id, min(other) as class_id from r group by id),
+m as (select l.a as id, count(*) as text_links, sum(t.copies) as links from l join t on t.id = l.b group by l.a)
+select d.doc_id, coalesce(k.class_id, d.doc_id) as class_id, cast(coalesce(m.links, 0) + coalesce(t.copies, 1) - 1 as bigint) as n_links, cast(coalesce(m.text_links, 0) as bigint) as n_text_links
+from documents d left join t on t.text = d.text left join k on k.id = t.id left join m on m.id = t.id""",
+    "op10_shards": """
+with recursive d as (select doc_id, text, strlen(coalesce(text, '')) + 1 as size, min(doc_id) over (partition by text) as key from documents),
+g as (select key, sum(size)::bigint as size, row_number() over (order by key) as n from d group by key),
+s as (select list(size order by key) as sizes, sum(size)::bigint as total, max(size) as most from g),
+b(low, high) as (
+    select greatest(most, (total + 15) // 16), total from s
+    union all
+    select case when runs <= 16 then low else mid + 1 end, case when runs <= 16 then mid else high end
+    from (select low, high, (low + high) // 2 as mid, list_reduce(sizes, lambda a, x: case when a % 1099511627776 + x <= (low + high) // 2 then a + x else (a // 1099511627776 + 1) * 1099511627776 + x end, 1099511627776) // 1099511627776 as runs
+          from b, s where low < high)),
+c as (select min(high) as cap from b),
+f(n, shard, used) as (
+    select 1, 0, size from g where n = 1
+    union all
+    select f.n + 1, case when f.used + g.size <= cap then f.shard else f.shard + 1 end, case when f.used + g.size <= cap then f.used + g.size else g.size end
+    from f join g on g.n = f.n + 1, c),
+bytes as (select list_transform(range(256), lambda i: list_reduce([1, 2, 3, 4, 5, 6, 7, 8], lambda a, k: case when a & 1 = 1 then xor(3988292384, a >> 1) else a >> 1 end, i::bigint)) as entry),
+x as (select doc_id, list_reduce(list_transform(range(strlen(coalesce(text, ''))), lambda i: cast('0x' || substr(h, 1 + 2 * i, 2) as bigint)), lambda a, v: xor(a >> 8, entry[1 + (xor(a, v) & 255)]), 4294967295) as crc
+      from (select doc_id, text, hex(encode(coalesce(text, ''))) as h from documents), bytes)
+select d.doc_id, cast(d.size as bigint) as size, xor(x.crc, 4294967295) as text_crc32, 'bytes' as law, cast(f.shard as integer) as shard,
+       row_number() over (partition by f.shard order by d.doc_id) - 1 as slot, cast(null as integer) as grown_shard
+from d join g using (key) join f using (n) join x using (doc_id)""",
 }
