@@ -1,11 +1,80 @@
-"""The corpus pipeline; its stages follow."""
+"""The corpus pipeline: toxicity, near duplicates, contamination, mixing, sharding.
 
-STAGES = []
+Each stage takes (spark, docs, sf_dir) and works on all that the stage before it kept. The first four
+return the columns of documents; the last adds the shard and slot of each row. Rows are lost only by a
+stage's own decision: toxic documents, documents of a group of near duplicates other than
+its smallest doc_id, and contaminated ones. Mixing repeats rows and drops none.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from gainbound.llm import decontaminate, jaccard, mixing, sharding, toxicity
+from gainbound.llm.common import fresh, settle, small_join, table
+
+
+def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """docs without the rows whose doc_id is in gone; rows without a doc_id stay."""
+    gone = settle(gone.select("doc_id").distinct())
+    return small_join(docs, gone, "doc_id", "left_anti", gone.count(), 16)
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the factorisation machine scores below the threshold."""
+    judged = toxicity.classify(docs, table(spark, sf_dir, "labels"))
+    return _without(docs, judged.where("predicted = 1"))
+
+
+def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document with the smallest doc_id of each class of near duplicates, once."""
+    classes = settle(jaccard.similarity_classes(docs).where("doc_id is not null"))
+    kept = _without(docs, classes.where("class_id <> doc_id"))
+    twice = settle(classes.where("class_id = doc_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
+    n = twice.count()
+    if not n:
+        return kept
+    single = small_join(kept, twice, "doc_id", "left_semi", n, 16).dropDuplicates(["doc_id"])
+    return _without(kept, twice).unionByName(single)
+
+
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents of which benchmark phrases cover less than a twentieth."""
+    found = decontaminate.contamination(docs, table(spark, sf_dir, "benchmark"))
+    return _without(docs, found.where(decontaminate.is_contaminated()))
+
+
+def mix_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents repeated by rates that bring the languages' expected tokens to smoothed shares."""
+    mixed, _, _ = mixing.mix(docs)
+    copies = fresh(docs.columns, "_copies")
+    again = fresh([*docs.columns, *mixed.columns], "_again")
+    return mixed.where(F.col(copies) > 0).withColumn(again, F.explode(F.sequence(F.lit(1), F.col(copies)))).select(*docs.columns)
+
+
+def cut_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """doc_id, size, text_crc32, law, shard, slot and grown_shard of each row; rows of equal texts share a shard."""
+    return sharding.assign_shards(docs, 16)
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("ngram_jaccard", keep_one_of_near_duplicates),
+    ("decontamination", drop_contaminated),
+    ("mixing", mix_languages),
+    ("sharding", cut_shards),
+]
+
+#: Two stages apply trained models, which SQL can't express; tests compare with brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over documents, each one's rows settled before the next."""
+    docs = table(spark, sf_dir, "documents")
+    for i, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if i < len(STAGES) - 1:
+            docs = settle(docs)
     return docs
