@@ -23,7 +23,7 @@ from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
@@ -107,10 +107,12 @@ def _sign(bands: int, rows: int, size: int):
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """node and root (the smallest node) for each node of the edges (node, root): alternating star contraction.
+    """node and root (the smallest node) for each node of the edges (node, root), root < node: star contraction.
 
-    Each round hangs every node's larger neighbours on the smallest one, then its smaller
-    ones; rounds grow with the logarithm of the number of nodes, and none gathers a neighbourhood."""
+    Each round hangs a node's edges on its roots' smallest roots, then joins a node's roots to the smallest of
+    them; rounds grow with the logarithm of the number of nodes. A root with very many
+    nodes is never gathered: edges look up their root in a table of one row a node, broadcast if
+    small and else joined by a shuffle whose large partitions Spark can split."""
     edges = settle(edges.where("node <> root").distinct())
     state = None
     while True:
@@ -120,12 +122,10 @@ def components(edges: DataFrame) -> DataFrame:
         if now == state:
             return edges.union(edges.select(F.col("root").alias("node"), "root").distinct())
         state = now
-        both = edges.union(edges.select(F.col("root").alias("node"), F.col("node").alias("root")))
-        least = both.groupBy("node").agg(F.min("root").alias("m")).select("node", F.least("node", "m").alias("m"))
-        large = both.where("root > node").join(least, "node").select(F.col("root").alias("node"), F.col("m").alias("root")).distinct()
-        small = large.groupBy("node").agg(F.min("root").alias("m"))
-        joined = large.join(small, "node")
-        edges = settle(joined.select("root", "m").union(joined.select("node", "m")).toDF("node", "root").where("node <> root").distinct())
+        least = settle(edges.groupBy("node").agg(F.min("root").alias("least")).withColumnRenamed("node", "root"))
+        hung = small_join(edges, least, "root", "left", least.count(), 72).select("node", F.coalesce("least", "root").alias("root")).distinct()
+        lowest = hung.withColumn("least", F.min("root").over(Window.partitionBy("node")))
+        edges = settle(lowest.select("root", "least").union(lowest.select("node", "least")).toDF("node", "root").where("node <> root").distinct())
 
 
 def _verify(size: int, threshold: float, bands: int, rows: int):
