@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
-from gainbound.llm.common import bounded_sample, in_fold
+from gainbound.llm.common import bounded_sample, in_fold, settle
 
 TRAIN_ROWS = 20_000
 TERMS = 1024
@@ -68,39 +68,34 @@ class Machine:
         return 1 / (1 + np.exp(-np.clip(out, -40, 40)))
 
 
-def _telling(present: np.ndarray, positive: np.ndarray, n: int, n_positive: int) -> np.ndarray:
-    """Likelihood-ratio statistic of each term's 2 x 2 table."""
+def _telling(n: int, n_positive: int):
+    """Likelihood-ratio statistic of a term's 2 x 2 table, from the columns present and positive."""
+    present, positive = F.col("present").cast("double"), F.col("positive").cast("double")
 
     def part(seen, rows, cols):
-        return np.where(seen > 0, seen * np.log(np.maximum(seen, 1e-9) * n / np.maximum(rows * cols, 1e-9)), 0.0)
+        return F.when(seen > 0, seen * F.ln(seen * n / (rows * cols))).otherwise(0.0)
 
-    absent, negative = n - present, n - n_positive
-    return 2 * (part(positive, present, n_positive) + part(present - positive, present, negative) + part(n_positive - positive, absent, n_positive) + part(absent - n_positive + positive, absent, negative))
+    n_negative = float(n - n_positive)
+    return 2 * (part(positive, present, float(n_positive)) + part(present - positive, present, n_negative) + part(n_positive - positive, n - present, float(n_positive)) + part(n_negative - present + positive, n - present, n_negative))
 
 
-def fit(doc: np.ndarray, term: np.ndarray, y: np.ndarray, size: int = TERMS, factors: int = FACTORS, epochs: int = 20, rate: float = 0.02, l2: float = 2e-5, seed: int = 5) -> Machine:
-    """Logistic loss, Adam on minibatches. doc and term: which texts hold which terms."""
+def fit(doc: np.ndarray, at: np.ndarray, y: np.ndarray, known: np.ndarray, factors: int = FACTORS, epochs: int = 20, rate: float = 0.02, l2: float = 2e-5, seed: int = 5) -> Machine:
+    """Logistic loss, Adam on minibatches. doc and at: which texts hold which of the known terms."""
     n = len(y)
-    if not n or not len(term):
+    if not n or not len(known):
         return Machine(np.zeros(0, np.uint64), -40.0 if not n else float(np.log((y.sum() + 1) / (n - y.sum() + 1))), np.zeros(0), np.zeros((0, factors)))
-    names, number = np.unique(term, return_inverse=True)
-    present = np.bincount(number).astype(float)
-    told = np.where(present >= 3, _telling(present, np.bincount(number, y[doc]), n, y.sum()), 0)
-    chosen = np.sort(np.argsort(-told, kind="stable")[:size])
-    where = np.full(len(names), -1)
-    where[chosen] = np.arange(len(chosen))
-    use = where[number] >= 0
-    x = np.zeros((n, len(chosen)), np.float32)
-    x[doc[use], where[number[use]]] = 1
+    x = np.zeros((n, len(known)), np.uint8)
+    x[doc, at] = 1
     random = np.random.default_rng(seed)
-    theta = [np.zeros(1, np.float32), np.zeros(len(chosen), np.float32), random.normal(0, 0.01, (len(chosen), factors)).astype(np.float32)]
+    theta = [np.zeros(1, np.float32), np.zeros(len(known), np.float32), random.normal(0, 0.01, (len(known), factors)).astype(np.float32)]
     m, v = [np.zeros_like(a) for a in theta], [np.zeros_like(a) for a in theta]
     step = 0
     for _ in range(epochs):
         rows = random.permutation(n)
-        for at in range(0, n, 256):
-            some = rows[at : at + 256]
-            xb, b, w, f = x[some], *theta
+        for start in range(0, n, 256):
+            some = rows[start : start + 256]
+            b, w, f = theta
+            xb = x[some].astype(np.float32)
             xf = xb @ f
             raw = b + xb @ w + 0.5 * ((xf**2).sum(1) - xb @ (f**2).sum(1))
             g = (1 / (1 + np.exp(-np.clip(raw, -40, 40))) - y[some]).astype(np.float32) / len(some)
@@ -110,27 +105,43 @@ def fit(doc: np.ndarray, term: np.ndarray, y: np.ndarray, size: int = TERMS, fac
                 m[i] = 0.9 * m[i] + 0.1 * d
                 v[i] = 0.999 * v[i] + 0.001 * d * d
                 theta[i] = theta[i] - rate * (m[i] / (1 - 0.9**step)) / (np.sqrt(v[i] / (1 - 0.999**step)) + 1e-8)
-    return Machine(names[chosen], float(theta[0][0]), theta[1].astype(float), theta[2].astype(float))
+    return Machine(known, float(theta[0][0]), theta[1].astype(float), theta[2].astype(float))
 
 
-def _collect_terms(batches):
+def _count_terms(batches):
     for batch in batches:
         for part in bt.pieces(batch, 1, PIECE):
             doc, h = terms(bt.texts_of(part.column(1)))
-            by = np.argsort(doc, kind="stable")
-            cut = np.searchsorted(doc[by], np.arange(len(part) + 1))
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([h[by[a:b]].astype("<u8").tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary())], names=["toxic", "terms"])
+            y = part.column(0).to_numpy()
+            names, at = np.unique(h, return_inverse=True)
+            at = at.reshape(-1)
+            yield pa.RecordBatch.from_arrays([pa.array(names.view(np.int64)), pa.array(np.bincount(at, minlength=len(names))), pa.array(np.bincount(at, y[doc], len(names)).astype(np.int64))], names=["term", "present", "positive"])
 
 
-def train(docs: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS) -> Machine:
-    """The machine for the label toxic, from at most about `bound` labelled documents of `docs`."""
+def train(docs: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS, size: int = TERMS) -> Machine:
+    """The machine for the label toxic, from at most about `bound` labelled documents of `docs`.
+
+    Terms are counted and chosen in Spark; the driver gets the chosen ones' places in the sample."""
     known = labels.where("toxic is not null and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
-    sample = docs.select("doc_id", "text").join(F.broadcast(bounded_sample(known, bound)), "doc_id").select("toxic", "text").where("text is not null")
-    rows = sample.mapInArrow(_collect_terms, "toxic int, terms binary").toArrow()
-    y = rows.column("toxic").to_numpy().astype(float)
-    sets = [np.frombuffer(x.as_buffer(), "<u8") for x in rows.column("terms")]
-    doc = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
-    return fit(doc, np.concatenate(sets) if sets else np.zeros(0, np.uint64), y)
+    sample = settle(docs.select("doc_id", "text").join(F.broadcast(bounded_sample(known, bound)), "doc_id").select("toxic", "text").where("text is not null"))
+    n, positive = sample.agg(F.count("*"), F.coalesce(F.sum("toxic"), F.lit(0))).first()
+    counts = sample.mapInArrow(_count_terms, "term long, present long, positive long").groupBy("term").agg(F.sum("present").alias("present"), F.sum("positive").alias("positive")).where("present >= 3")
+    best = counts.withColumn("told", _telling(n, positive)).orderBy(F.desc("told"), "term").limit(size).select("term").collect() if 0 < positive < n else []
+    chosen = np.sort(np.array([r.term for r in best], np.int64).view(np.uint64))
+    model = docs.sparkSession.sparkContext.broadcast(chosen)
+
+    def places(batches):
+        for batch in batches:
+            for part in bt.pieces(batch, 1, PIECE):
+                doc, h = terms(bt.texts_of(part.column(1)), model.value)
+                by = np.argsort(doc, kind="stable")
+                cut = np.searchsorted(doc[by], np.arange(len(part) + 1)).astype(np.int32)
+                lists = pa.ListArray.from_arrays(cut, pa.array(np.searchsorted(model.value, h)[by].astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([part.column(0), lists], names=["toxic", "at"])
+
+    rows = sample.mapInArrow(places, "toxic int, at array<int>").toArrow()
+    y, at = rows.column("toxic").to_numpy().astype(float), rows.column("at").combine_chunks()
+    return fit(np.repeat(np.arange(len(y)), np.diff(at.offsets.to_numpy())), at.flatten().to_numpy(), y, chosen)
 
 
 def score(docs: DataFrame, machine: Machine, key: list[str]) -> DataFrame:
