@@ -220,8 +220,9 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, size: int
     # what differs from a text that stands alone: copies, or links
     told = nodes.where("copies > 1").select("node", "copies").join(links, "node", "full").join(joined, "node", "left")
     told = settle(told.select("node", F.coalesce("root", "node").alias("class"), (F.coalesce("links", F.lit(0)) + F.coalesce("copies", F.lit(1)) - 1).alias("n_links"), F.coalesce("text_links", F.lit(0)).alias("n_text_links")))
-    least = told.join(nodes.select("node", "id"), "node").groupBy("class").agg(F.min("id").alias("class_id"))
-    told = settle(told.join(least, "class").select("node", "class_id", "n_links", "n_text_links"))
+    least = settle(told.join(nodes.select("node", "id"), "node").groupBy("class").agg(F.min("id").alias("class_id")))
+    # a class can hold a large share of the texts: its name is looked up, and never gathered with them
+    told = settle(small_join(told, least, "class", "inner", least.count(), 56).select("node", "class_id", "n_links", "n_text_links"))
     out = small_join(keyed.drop("text"), told, "node", "left", told.count(), 56)
     none = F.lit((1 << 63) - 1)
     return out.select("doc_id", F.when(F.col("class_id").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("n_text_links", F.lit(0)).cast("long").alias("n_text_links")).withColumn("class_id", F.when(F.col("class_id") != none, F.col("class_id")))
