@@ -208,8 +208,9 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, size: int
     near = settle(components(rows_of.join(buckets, "key").select("node", "root")))
 
     parts = near.join(nodes.drop("bands"), "node").groupBy("root").agg(F.count("*").alias("n"), F.sum("bytes").alias("b"))
-    parts = parts.select("root", F.greatest(F.ceil(F.col("n") / BLOCK_TEXTS), F.ceil(F.col("b") / BLOCK_BYTES)).cast("int").alias("blocks"))
-    active = settle(near.join(parts, "root").join(nodes.drop("bands", "bytes"), "node").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")))
+    parts = settle(parts.select("root", F.greatest(F.ceil(F.col("n") / BLOCK_TEXTS), F.ceil(F.col("b") / BLOCK_BYTES)).cast("int").alias("blocks")))
+    # looked up as roots are, since one component can hold a large share of the nodes
+    active = settle(small_join(near, parts, "root", "inner", parts.count(), 40).join(nodes.drop("bands", "bytes"), "node").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")))
     n_active = active.count()
     texts = small_join(keyed.select("node", "id", "text"), active, ["node", "id"], "inner", n_active, 72)
     met = texts.withColumn("k", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("root", F.least("block", "k").alias("i"), F.greatest("block", "k").alias("j"), "block", "node", "copies", "text")
