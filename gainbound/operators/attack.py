@@ -66,6 +66,33 @@ def noisy(marginal: DataFrame, epsilon: float, n_axes: int, seed: int = 3) -> Da
     return marginal.select("axis", "value", "sa", F.greatest(F.col("n") + laplace(u, n_axes / epsilon), F.lit(0.1)).alias("n"))
 
 
+def _reassign(model, axes: list[str], values: list, names: list[str]):
+    """A group's values given to its rows, best score first, each as often as the group has it."""
+
+    def again(pdf: pd.DataFrame) -> pd.DataFrame:
+        table, size = model.value
+        pdf = pdf.sort_values("row_key").reset_index(drop=True)
+        score = np.log(size / size.sum())[None, :].repeat(len(pdf), 0)
+        for i, x in enumerate(axes):
+            for value in pdf[x].unique():
+                c = np.array([table.get((i + 1, int(value), v), 0) for v in values]) / np.maximum(size, 1)
+                score[pdf[x].to_numpy() == value] += np.log(np.maximum(c, FLOOR))
+        left = pdf["sa"].value_counts()
+        room = np.array([left.get(v, 0) for v in values])
+        given = np.empty(len(pdf), object)
+        free = np.ones(len(pdf), bool)
+        for at in np.argsort(-score, axis=None, kind="stable"):
+            r, v = divmod(int(at), len(values))
+            if free[r] and room[v]:
+                given[r], free[r] = values[v], False
+                room[v] -= 1
+                if not free.any():
+                    break
+        return pdf.assign(given=given.astype(pdf["sa"].dtype))[names]
+
+    return again
+
+
 def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = 20, seed: int = 5, stop: float = 0.001) -> tuple[float, float, int]:
     """Assigns each group's sensitive values to its rows by an evolving naive Bayes model.
 
@@ -90,29 +117,7 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = 20, seed: in
         counts = marginals(state.select(*axes, F.col("given").alias("sa")), axes).collect()  # axes' domains x values
         table = {(r.axis, r.value, r.sa): r.n for r in counts}
         size = np.array([sum(r.n for r in counts if r.axis == 1 and r.sa == v) for v in values], float)
-        model = sc.broadcast((table, size))
-
-        def again(pdf: pd.DataFrame, model=model) -> pd.DataFrame:
-            table, size = model.value
-            pdf = pdf.sort_values("row_key").reset_index(drop=True)
-            score = np.log(size / size.sum())[None, :].repeat(len(pdf), 0)
-            for i, x in enumerate(axes):
-                for value in pdf[x].unique():
-                    c = np.array([table.get((i + 1, int(value), v), 0) for v in values]) / np.maximum(size, 1)
-                    score[pdf[x].to_numpy() == value] += np.log(np.maximum(c, FLOOR))
-            left = pdf["sa"].value_counts()
-            room = np.array([left.get(v, 0) for v in values])
-            given = np.empty(len(pdf), object)
-            free = np.ones(len(pdf), bool)
-            for at in np.argsort(-score, axis=None, kind="stable"):
-                r, v = divmod(int(at), len(values))
-                if free[r] and room[v]:
-                    given[r], free[r] = values[v], False
-                    room[v] -= 1
-                    if not free.any():
-                        break
-            return pdf.assign(given=given.astype(pdf["sa"].dtype))[names]
-
+        again = _reassign(sc.broadcast((table, size)), axes, values, names)
         new = state.groupBy("ec").applyInPandas(again, kinds).persist()
         changed = new.alias("a").join(state.alias("b"), "row_key").where("a.given <> b.given").count()
         state.unpersist()
