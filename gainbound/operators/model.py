@@ -58,9 +58,11 @@ def prior_of(hist: DataFrame) -> DataFrame:
 def dense(hist: DataFrame, prior: DataFrame) -> DataFrame:
     """One row for each group and value of the domain, absent ones with n = 0. prior: one row for each value, so the cross product is groups x domain."""
     groups = hist.select("ec", "size").distinct()
-    return groups.crossJoin(F.broadcast(prior)).join(hist.select("ec", "sa", "n"), (groups["ec"] == hist["ec"]) & prior["sa"].eqNullSafe(hist["sa"]), "left").select(
-        groups["ec"], prior["sa"], F.coalesce("n", F.lit(0)).alias("n"), "size", (F.coalesce("n", F.lit(0)) / F.col("size")).alias("q"), "p"
-    )
+    values = F.broadcast(prior.select(F.col("sa").alias("_v"), "p"))
+    have = hist.select(F.col("ec").alias("_e"), F.col("sa").alias("_s"), "n")
+    full = groups.crossJoin(values).join(have, (F.col("ec") == F.col("_e")) & F.col("_v").eqNullSafe(F.col("_s")), "left")
+    n = F.coalesce("n", F.lit(0))
+    return full.select("ec", F.col("_v").alias("sa"), n.alias("n"), "size", (n / F.col("size")).alias("q"), "p")
 
 
 def joined(hist: DataFrame, prior: DataFrame) -> DataFrame:
