@@ -58,7 +58,7 @@ def ngram_counts(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.nd
     one = (tag | code)[~border]
     pair = (doc[1:] == doc[:-1]) & ~(border[1:] & border[:-1])
     two = (tag[1:] | (code[:-1] << _BITS) | code[1:])[pair]
-    trio = (doc[2:] == doc[:-2]) & ~border[1:-1] & ~(border[2:] & border[:-2])
+    trio = (doc[2:] == doc[:-2]) & ~border[1:-1]
     three = (tag[2:] | (code[:-2] << (2 * _BITS)) | (code[1:-1] << _BITS) | code[2:])[trio]
     keys = np.sort(np.concatenate((one, two, three)))
     new = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1]))) if len(keys) else np.zeros(0, int)
