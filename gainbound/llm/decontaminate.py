@@ -224,8 +224,7 @@ def _locate(blocks, id_type: pa.DataType):
                     d, i = divmod(pair, len(block["items"]) + 1)
                     names[d].add(block["items"][i])
                 if len(blocks) > 1:
-                    b.unpersist()  # this worker's copy; the next shard reads it again
-                    b.__dict__.pop("_value", None)
+                    b.__dict__.pop("_value", None)  # one block in memory at a time; the next shard reads it again
             hit = np.cumsum(edge[:-1]) > 0
             n_hit = bt.per_text(hit, ranges)
             spans = [None] * len(n)
