@@ -8,11 +8,13 @@ its smallest doc_id, and contaminated ones. Mixing repeats rows and drops none.
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gainbound.llm import decontaminate, jaccard, mixing, sharding, toxicity
-from gainbound.llm.common import fresh, settle, small_join, table
+from gainbound.llm.common import fresh, settle, shared_dir, small_join, table
 
 
 def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
@@ -70,11 +72,20 @@ STAGES = [
 ORACLE_SQL = None
 
 
+def _remove(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents, each one's rows settled before the next."""
-    docs = table(spark, sf_dir, "documents")
-    for i, (_, stage) in enumerate(STAGES):
+    """All stages over documents; each one's rows are written to the shared folder and read by the next, and go once that one is written."""
+    docs, folder, before = table(spark, sf_dir, "documents"), f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}", None
+    for i, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
-        if i < len(STAGES) - 1:
-            docs = settle(docs)
+        path = f"{folder}/{i}-{name}"
+        docs.write.parquet(path)
+        docs = spark.read.parquet(path)
+        if before:
+            _remove(spark, before)
+        before = path
     return docs
