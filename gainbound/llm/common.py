@@ -37,11 +37,6 @@ def small_join(left: DataFrame, right: DataFrame, on, how: str, rows: int, row_b
     return left.join(F.broadcast(right) if rows * row_bytes <= BROADCAST_BYTES else right, on, how)
 
 
-def input_bytes(df: DataFrame) -> int:
-    """Catalyst's estimate of the size of df, from file sizes; no job is run."""
-    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-
-
 def in_fold(df: DataFrame, folds: int, fold: int, key: str = "doc_id"):
     """Whether a row is in the held-out fold; rows without a key are, so nothing is learned from them."""
     return F.coalesce(F.crc32(F.col(key).cast("string")) % folds == fold, F.lit(True))

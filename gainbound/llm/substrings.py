@@ -30,11 +30,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
-from gainbound.llm.common import input_bytes, settle, small_join
+from gainbound.llm.common import settle, small_join
 
-CHUNK = 8 << 20
-#: Bytes of input for each cell; about a million windows.
-CELL_BYTES = 2 << 20
+CHUNK = 4 << 20
+#: Bytes of text for each cell, and the most cells of a task; a cell has about a million windows.
+CELL_BYTES, TASK_CELLS = 8 << 20, 64
 
 
 def _pack(a: np.ndarray) -> bytes:
@@ -147,7 +147,7 @@ def _ship(size: int, cells: int, span: int):
                     lost = _spots(ids[doc[g]], start[g])
                     out.append({"task": c // span, "cell": c, "hashes": h1[k].tobytes()} | _spots(ids[doc[k]], start[k]) | {f"gone_{n}": v for n, v in lost.items()})
                     weight += 8 * len(k)
-                    if weight > 4 << 20:
+                    if weight > 2 << 20:
                         yield _rows(out, kinds)
                         out, weight = [], 0
             if out:
@@ -229,9 +229,10 @@ def _merge(size: int):
 def repeated_spans(docs: DataFrame, size: int = 20) -> DataFrame:
     """doc_id and the packed int32 (first, end) word intervals that repeat earlier windows; texts without any are absent."""
     parts = docs.sparkSession.conf.get("spark.sql.shuffle.partitions")
-    need = input_bytes(docs.select("doc_id", "text"))
-    tasks = int(min(1 << 16, max(int(parts), need // (4 * CELL_BYTES), 16)))
-    span = int(max(1, -(-need // (tasks * 8 * CELL_BYTES))))
+    need = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    cells = max(1, need // CELL_BYTES)
+    tasks = int(min(1 << 16, max(int(parts), 16, cells)))
+    span = int(max(1, min(TASK_CELLS, -(-cells // tasks))))
     judged = (
         docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
         .mapInArrow(_ship(size, tasks * span, span), "task int, cell int, hashes binary, " + _SPOTS + ", gone_texts int, gone_n int, gone_docs binary, gone_counts binary, gone_steps binary")
