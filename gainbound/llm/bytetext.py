@@ -8,6 +8,7 @@ multi-byte character belongs to words, which is exact for both word definitions
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -91,6 +92,14 @@ def texts_of(column: pa.Array) -> Texts:
     return Texts(buf, off - off[0])
 
 
+def tidy() -> None:
+    """Hands freed memory back to the system: workers are kept between tasks, and so is what their allocators hold."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def pieces(batch: pa.RecordBatch, text: int, limit: int) -> Iterator[pa.RecordBatch]:
     """The batch in runs of rows whose texts have at most limit bytes; a longer text is alone."""
     size = pc.fill_null(pc.binary_length(batch.column(text)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
@@ -101,6 +110,7 @@ def pieces(batch: pa.RecordBatch, text: int, limit: int) -> Iterator[pa.RecordBa
         end = max(row + 1, int(np.searchsorted(total, done + limit, "right")))
         yield batch.slice(row, end - row)
         row = end
+    tidy()
 
 
 def find_words(t: Texts, member: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

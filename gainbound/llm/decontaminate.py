@@ -2,7 +2,7 @@
 
 Texts are lower-cased (A-Z) and cut into runs of letters and digits. A phrase is 13
 consecutive words of a benchmark item, or the whole item if it has fewer. A task gathers
-texts into shards of about a million words. A shard's words are numbered by the
+texts into shards of about half a million words. A shard's words are numbered by the
 vocabulary of the phrases; words that no phrase has, and text ends, become separators,
 which no phrase crosses. The suffixes of that sequence are sorted, the last column of the
 sorted rotations goes into a wavelet matrix, and all phrases are searched backwards at
@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from gainbound.llm import bytetext as bt
 
 WINDOW = 13
-SHARD_WORDS = 1 << 20
+SHARD_WORDS = 1 << 19
 PIECE = 2 << 20
 BLOCK_BYTES = 16 << 20
 SAMPLE = 8
