@@ -21,8 +21,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from gainbound.functions.curves import bits_for, curve_expr, grid_expr
-from gainbound.operators.loss import axis_domains
-from gainbound.operators.model import domain
+from gainbound.operators.model import MAX_DOMAIN
+from gainbound.operators.settle import settle
 from gainbound.plans import sizetree
 from gainbound.plans.buckets import Plan, plan_buckets
 from gainbound.plans.spec import CATEGORICAL, ReleaseSpec
@@ -61,13 +61,29 @@ def bucket_expr(values: dict, sa: Column) -> Column:
     return F.coalesce(out, F.lit(values[None])) if None in values else out
 
 
+def survey(encoded: DataFrame, spec: ReleaseSpec) -> tuple[list[tuple], list[tuple[int, int]]]:
+    """Counts of the sensitive values and the axes' domains, in one pass."""
+    rows = encoded.groupBy("sa").agg(F.count("*").alias("n"), *(f(x) for x in spec.axes for f in (F.min, F.max))).limit(MAX_DOMAIN + 1).collect()
+    if len(rows) > MAX_DOMAIN:
+        raise ValueError(f"{spec.sa} has more than {MAX_DOMAIN} values; discretise it")
+    if not rows:
+        raise ValueError("the table is empty")
+    spans = []
+    for i, a in enumerate(spec.qi):
+        seen = [(r[2 + 2 * i], r[3 + 2 * i]) for r in rows if r[2 + 2 * i] is not None]
+        spans.append((0, len(a.hierarchy.leaves) - 1) if a.kind == CATEGORICAL else (min(x for x, _ in seen), max(x for _, x in seen)))
+    return [(r[0], r[1]) for r in rows], spans
+
+
 def prepare(df: DataFrame, spec: ReleaseSpec, beta: float, kind: str = "capped", tie: str = "short", slack: float = 0.0, strict: bool = False) -> Dealing:
-    """Plans a release of df: one pass for counts, one for the axes' domains."""
+    """Plans a release of df.
+
+    The encoded table is settled: planning, ranking and dealing pass over it several times, and what df joins should run once."""
     spec.validate(df)
-    encoded = encode(df, spec)
-    counts = domain(df, spec.sa)
+    encoded = settle(encode(df, spec))
+    counts, domains = survey(encoded, spec)
     plan = plan_buckets(counts, beta, kind, tie, strict, slack)
-    return Dealing(spec, encoded, axis_domains(encoded, spec), counts, plan, sizetree.grow(plan.sizes, sizetree.gain_rule(plan.caps)))
+    return Dealing(spec, encoded, domains, counts, plan, sizetree.grow(plan.sizes, sizetree.gain_rule(plan.caps)))
 
 
 def keyed(d: Dealing, curve: str = "hilbert") -> DataFrame:

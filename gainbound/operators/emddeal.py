@@ -10,9 +10,8 @@ from __future__ import annotations
 import numpy as np
 
 from gainbound.functions.bounds import EPS
-from gainbound.operators.deal import Dealing, encode
-from gainbound.operators.loss import axis_domains
-from gainbound.operators.model import domain
+from gainbound.operators.deal import Dealing, encode, survey
+from gainbound.operators.settle import settle
 from gainbound.plans import sizetree
 from gainbound.plans.buckets import Plan
 from gainbound.plans.spec import ReleaseSpec
@@ -57,6 +56,7 @@ def closeness_rule(plan: Plan, t: float) -> sizetree.Admit:
 def prepare(df, spec: ReleaseSpec, t: float, share: float = 0.5) -> Dealing:
     """A planned release for closeness t; deal it as any other."""
     spec.validate(df)
-    encoded, counts = encode(df, spec), domain(df, spec.sa)
+    encoded = settle(encode(df, spec))
+    counts, domains = survey(encoded, spec)
     plan = plan_by_order(counts, t, share)
-    return Dealing(spec, encoded, axis_domains(encoded, spec), counts, plan, sizetree.grow(plan.sizes, closeness_rule(plan, t)))
+    return Dealing(spec, encoded, domains, counts, plan, sizetree.grow(plan.sizes, closeness_rule(plan, t)))
