@@ -21,7 +21,7 @@ from (select *, cast((year(l_shipdate) - 1995) * 12 + month(l_shipdate) - 1 as i
              least(49, cast(floor(50 * ((-0.1 + sqrt(0.01 + 3.6 * ((l_extendedprice - 900) / 104100))) / 1.8)) as integer)) as price_class from lineitem)
 join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join part on l_partkey = p_partkey)""",
     "orders_view": """orders_view as materialized (
-select md5(cast(o_orderkey as varchar)) as row_key, date_diff('day', date '1970-01-01', cast(o_orderdate as date)) as order_day, cast(round(o_totalprice * 100) as bigint) as price_cents, n_name as nation, o_orderpriority
+select md5(cast(o_orderkey as varchar)) as row_key, cast(date_diff('day', date '1970-01-01', cast(o_orderdate as date)) as integer) as order_day, cast(round(o_totalprice * 100) as bigint) as price_cents, n_name as nation, o_orderpriority
 from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey)""",
     "customer_view": """customer_view as materialized (
 select md5(cast(c_custkey as varchar)) as row_key, cast(round(c_acctbal * 100) as bigint) as balance_cents, n_name as nation, c_mktsegment from customer join nation on c_nationkey = n_nationkey)""",

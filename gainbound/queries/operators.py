@@ -116,7 +116,7 @@ def join_overlap(spark, sf_dir):
     return met.select("a", "b")
 
 
-@query("join_dense", chain(upto="dense") + "select count(*) as n, count_if(n = 0) as absent from dn")
+@query("join_dense", chain(upto="dense") + "select count(*) as n, count_if(n = 0)::bigint as absent from dn")
 def join_dense(spark, sf_dir):
     return model.dense(*hist_and_prior(spark, sf_dir)).agg(F.count("*").alias("n"), F.count_if(F.col("n") == 0).alias("absent"))
 
@@ -170,7 +170,7 @@ def agg_distinct(spark, sf_dir):
     return census(spark, sf_dir).groupBy("nation").agg(F.countDistinct("price_class").alias("classes"), F.countDistinct("ship_month").alias("months"))
 
 
-@query("agg_conditional", _V + "select nation, count_if(price_class < 10) as low, sum(case when l_linestatus = 'F' then disc_pct else 0 end)::bigint as disc from census group by nation")
+@query("agg_conditional", _V + "select nation, count_if(price_class < 10)::bigint as low, sum(case when l_linestatus = 'F' then disc_pct else 0 end)::bigint as disc from census group by nation")
 def agg_conditional(spark, sf_dir):
     return census(spark, sf_dir).groupBy("nation").agg(F.count_if(F.col("price_class") < 10).alias("low"), F.sum(F.when(F.col("l_linestatus") == "F", F.col("disc_pct")).otherwise(0)).alias("disc"))
 
@@ -198,7 +198,7 @@ def agg_rollup(spark, sf_dir):
     return census(spark, sf_dir).join(region, "nation").rollup("r_name", "nation").agg(F.count("*").alias("n"))
 
 
-@query("pivot_ec_bucket", chain(upto="dealt") + "select ec, " + ", ".join(f"count_if(bucket = {j}) as b{j}" for j in range(5)) + " from dealt group by ec")
+@query("pivot_ec_bucket", chain(upto="dealt") + "select ec, " + ", ".join(f"count_if(bucket = {j})::bigint as b{j}" for j in range(5)) + " from dealt group by ec")
 def pivot_ec_bucket(spark, sf_dir):
     rows = grouped(spark, sf_dir)[1]
     return rows.groupBy("ec").pivot("bucket", [0, 1, 2, 3, 4]).count().select("ec", *(F.coalesce(F.col(str(j)), F.lit(0)).alias(f"b{j}") for j in range(5)))
@@ -300,7 +300,7 @@ def math_caps(spark, sf_dir):
     return spark.range(1, 20).select((F.col("id") / 20).alias("p")).select("p", r6(cap_expr(p, 2.0), "cap"), r6(F.exp(F.lit(-2.0)), "threshold"), r6(F.sqrt(p), "root"), r6(F.pow(p, F.lit(2)), "square"), F.floor(p * 10).alias("tile"))
 
 
-@query("arr_gain", chain(upto="dense") + "select ec, round(max(abs(q - p)), 6) as widest, count_if(q > p) as over from dn group by ec")
+@query("arr_gain", chain(upto="dense") + "select ec, round(max(abs(q - p)), 6) as widest, count_if(q > p)::bigint as over from dn group by ec")
 def arr_gain(spark, sf_dir):
     """A group's distribution and the overall one as arrays."""
     rows = model.dense(*hist_and_prior(spark, sf_dir)).groupBy("ec").agg(F.array_sort(F.collect_list(F.struct("sa", "q", "p"))).alias("d"))

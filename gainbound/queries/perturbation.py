@@ -112,7 +112,7 @@ def _randomised(spark, sf_dir, spec=C3, beta=BETA):
     return encoded, r, perturb.randomise(encoded.withColumn("original", F.col("sa")), "sa", "row_key", r, SECRET)
 
 
-@query("randomised_counts", _P + gamma_sql(BETA) + coins_sql() + "select pub as sa, count(*) as n, count_if(pub = sa) as same from rz group by pub")
+@query("randomised_counts", _P + gamma_sql(BETA) + coins_sql() + "select pub as sa, count(*) as n, count_if(pub = sa)::bigint as same from rz group by pub")
 def randomised_counts(spark, sf_dir):
     return _randomised(spark, sf_dir)[2].groupBy("sa").agg(F.count("*").alias("n"), F.count_if(F.col("sa") == F.col("original")).alias("same"))
 

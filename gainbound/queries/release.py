@@ -84,7 +84,7 @@ def ec_gain(spark, sf_dir):
     return model.gains(*hist_and_prior(spark, sf_dir)).select("ec", "sa", "n", *(r6(c) for c in ("q", "relative", "absolute", "ratio", "logratio")))
 
 
-@query("gain_sign", chain(upto="hist") + "select ec, count_if(q > p) as positive, count_if(q < p) as negative, count_if(q = p) as none from hp group by ec")
+@query("gain_sign", chain(upto="hist") + "select ec, count_if(q > p)::bigint as positive, count_if(q < p)::bigint as negative, count_if(q = p)::bigint as none from hp group by ec")
 def gain_sign(spark, sf_dir):
     rows = model.joined(*hist_and_prior(spark, sf_dir)).withColumn("s", sign_expr(F.col("p"), F.col("q")))
     return rows.groupBy("ec").agg(*(F.count_if(F.col("s") == s).alias(s) for s in ("positive", "negative", "none")))
