@@ -103,7 +103,7 @@ def domains(spec: ReleaseSpec) -> str:
 def keyed(spec: ReleaseSpec, curve: str = "zorder") -> str:
     d = len(spec.qi)
     card = ", ".join(f"{x}_h - {x}_l + 1" for x in spec.axes)
-    grid = ", ".join(f"cast(case when {x}_h = {x}_l then 0 else floor(({x} - {x}_l) * ((1 << bits) - 1) / ({x}_h - {x}_l)) end as bigint) as g{i}" for i, x in enumerate(spec.axes))
+    grid = ", ".join(f"cast(case when {x}_h = {x}_l then 0 else floor(cast({x} - {x}_l as bigint) * ((1 << bits) - 1) / ({x}_h - {x}_l)) end as bigint) as g{i}" for i, x in enumerate(spec.axes))
     if curve == "zorder":
         key = "cast(list_sum(list_transform(range(bits), lambda b: " + " + ".join(f"(((g{i} >> b) & 1) << (b * {d} + {d - 1 - i}))" for i in range(d)) + ")) as bigint)"
     else:
