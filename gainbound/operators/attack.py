@@ -93,12 +93,14 @@ def _reassign(model, axes: list[str], values: list, names: list[str]):
     return again
 
 
-def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = 20, seed: int = 5, stop: float = 0.001) -> tuple[float, float, int]:
+def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = 20, seed: int = 5, stop: float = 0.001) -> tuple[float, float, int, float]:
     """Assigns each group's sensitive values to its rows by an evolving naive Bayes model.
 
     rows: row_key, axes, sa, ec, where sa is used as each group's multiset and, at the end, as the truth. Returns the
-    success rate, that of random assignment, and the rounds taken. A group is a task's unit; the model is a small table."""
+    success rate, that of random assignment, the rounds taken and the share of rows that the last one changed, which is
+    above `stop` if the attack was cut. A group is a task's unit; the model is a small table."""
     from gainbound.operators.model import domain
+    from gainbound.operators.settle import settle
 
     values = sorted(v for v, _ in domain(rows, "sa"))
     kinds = T.StructType([f for f in rows.schema.fields if f.name in ("row_key", "ec", "sa", *axes)] + [T.StructField("given", rows.schema["sa"].dataType)])
@@ -110,17 +112,17 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = 20, seed: in
         return pdf.assign(given=random.permutation(pdf["sa"].to_numpy()))[names]
 
     sc = rows.sparkSession.sparkContext
-    state = rows.select("row_key", *axes, "sa", "ec").groupBy("ec").applyInPandas(first, kinds).persist()
+    # settled in each round: plans of rounds on top of each other would be planned ever longer
+    state = settle(rows.select("row_key", *axes, "sa", "ec").groupBy("ec").applyInPandas(first, kinds))
     total = state.count()
-    taken = 0
+    taken, changed = 0, 0
     for taken in range(1, rounds + 1):
         counts = marginals(state.select(*axes, F.col("given").alias("sa")), axes).collect()  # axes' domains x values
         table = {(r.axis, r.value, r.sa): r.n for r in counts}
         size = np.array([sum(r.n for r in counts if r.axis == 1 and r.sa == v) for v in values], float)
         again = _reassign(sc.broadcast((table, size)), axes, values, names)
-        new = state.groupBy("ec").applyInPandas(again, kinds).persist()
+        new = settle(state.groupBy("ec").applyInPandas(again, kinds))
         changed = new.alias("a").join(state.alias("b"), "row_key").where("a.given <> b.given").count()
-        state.unpersist()
         state = new
         if changed <= stop * total:
             break
@@ -128,8 +130,7 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = 20, seed: in
     per = Window.partitionBy("ec")
     q = state.groupBy("ec", "sa").agg(F.count("*").alias("n")).withColumn("size", F.sum("n").over(per))
     chance = q.agg((F.sum(F.col("n") * F.col("n") / F.col("size")) / F.sum("n"))).first()[0]
-    state.unpersist()
-    return float(hit), float(chance), taken
+    return float(hit), float(chance), taken, changed / max(1, total)
 
 
 def corruption(hist: DataFrame, known: int) -> DataFrame:

@@ -90,8 +90,8 @@ def majority(spark, sf_dir):
 @query("exchange_attack")
 def exchange_attack(spark, sf_dir):
     _, rows = grouped(spark, sf_dir)
-    hit, chance, rounds = attack.exchange_attack(rows, _AXES, rounds=4)
-    return frame(spark, [(round(hit, 6), round(chance, 6), rounds)], "success double, chance double, rounds int")
+    hit, chance, rounds, changed = attack.exchange_attack(rows, _AXES)
+    return frame(spark, [(round(hit, 6), round(chance, 6), rounds, round(changed, 6))], "success double, chance double, rounds int, changed double")
 
 
 @query("minimality_invariant", "select 0::bigint as moved")

@@ -1,6 +1,7 @@
 """Experiment sweeps: whole workloads, whole searches."""
 
 from gainbound.queries import experiments
+from gainbound.queries.registry import QUERIES
 from gainbound.queries.release import C3
 
 SF = "/root/testdata/sf0.001"
@@ -9,3 +10,8 @@ SF = "/root/testdata/sf0.001"
 def test_sweeps_ask_ten_thousand_queries(spark):
     queries, truth = experiments._Queried(spark, SF, C3.with_qi(1)).ask(1, 0.1)
     assert queries.count() == truth.count() == 10_000
+
+
+def test_exchange_attack_runs_until_its_stop_rule(spark):
+    r = QUERIES["exchange_attack"](spark, SF).first()
+    assert r.rounds == 20 or r.changed <= 0.001
