@@ -5,10 +5,10 @@ from __future__ import annotations
 from collections.abc import Callable
 
 
-def search(measure: Callable[[float], float], feasible: Callable[[float], bool], low: float, high: float, larger: bool = True, steps: int = 8, grid: int = 0) -> tuple[float, float] | None:
+def search(measure: Callable[[float], float], feasible: Callable[[float], bool], low: float, high: float, larger: bool = True, steps: int = 8, grid: int = 0, prefer: Callable[[float, float], float] | None = None) -> tuple[float, float] | None:
     """The best feasible parameter seen and its measure. larger: whether larger parameters are wanted (and make the measure less often feasible).
 
-    Bisects as if the measure were monotone, remembers the best feasible probe, and scans a grid if asked to or if none was feasible."""
+    prefer: a rank of (parameter, measure), least first, in place of the extreme parameter. Bisects as if the measure were monotone, remembers the best feasible probe, and scans a grid if asked to or if none was feasible."""
     best: tuple[float, float] | None = None
     seen: dict[float, float] = {}
 
@@ -17,7 +17,7 @@ def search(measure: Callable[[float], float], feasible: Callable[[float], bool],
         if x not in seen:
             seen[x] = measure(x)
         ok = feasible(seen[x])
-        if ok and (best is None or (x > best[0]) == larger):
+        if ok and (best is None or (prefer(x, seen[x]) < prefer(*best) if prefer else (x > best[0]) == larger)):
             best = (x, seen[x])
         return ok
 

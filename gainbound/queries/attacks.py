@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 from pyspark.sql import functions as F
 
 from gainbound.operators import attack, deal, emddeal, kdcut, loss, model, publish, workload
 from gainbound.operators.search import search
+from gainbound.operators.settle import settle
+from gainbound.plans import sizetree
+from gainbound.plans.buckets import plan_buckets
 from gainbound.queries import chain as sql
 from gainbound.queries.chain import chain
 from gainbound.queries.registry import frame, query, r6
@@ -131,7 +136,7 @@ class Compared:
     """Releases of one view by all methods, with the measures that the comparisons use."""
 
     def __init__(self, spark, sf_dir, spec=C3, df=None):
-        self.spark, self.spec = spark, spec
+        self.spark, self.spec, self._seen = spark, spec, {}
         self.df = (census(spark, sf_dir) if df is None else df).select(spec.key, *(a.name for a in spec.qi), spec.sa)
         self.encoded = deal.encode(self.df, spec)
         self.counts = model.domain(self.df, spec.sa)
@@ -150,6 +155,25 @@ class Compared:
     def emd_deal(self, t: float):
         return deal.deal_rank(emddeal.prepare(self.df, self.spec, t)).withColumn("n", F.lit(1).cast("long"))
 
+    def measured(self, method: str, x: float) -> dict:
+        """Measures of a method's release at a parameter, once for each plan: near parameters often have the same one."""
+        if method == "kd-cut[emd]":
+            key, run = (method, x), lambda: self.kd(kdcut.rule_emd(self.p, x))
+        elif method == "emd-deal":
+            plan = emddeal.plan_by_order(self.counts, x)
+            key, run = self._plan_key(method, plan, emddeal.closeness_rule(plan, x)), lambda: self.emd_deal(x)
+        else:
+            plan = plan_buckets(self.counts, x)
+            key, run = self._plan_key(method, plan, sizetree.gain_rule(plan.caps)), lambda: self.ours(x)
+        if key not in self._seen:
+            self._seen[key] = self.measures(run(), t=True)
+        return self._seen[key]
+
+    @staticmethod
+    def _plan_key(method: str, plan, admit) -> tuple:
+        tree = sizetree.grow(plan.sizes, admit)
+        return method, tuple(plan.bucket_of.items()), tree.counts.tobytes(), tree.left.tobytes(), tree.right.tobytes()
+
     def measures(self, rows, t: bool = False) -> dict:
         """Groups, AIL, achieved gain and, if asked for, closeness and diversity. rows: (axes, sa, ec, n)."""
         ext = [f(x).alias(f"{x}_{k}") for x in self.spec.axes for f, k in ((F.min, "lo"), (F.max, "hi"))]
@@ -223,32 +247,45 @@ def closeness_of(spark, sf_dir):
     return model.t_summary(model.t_level(*hist_and_prior(spark, sf_dir), "ordered")).select(r6("t"), r6("avg_t"))
 
 
-def best_beta(c: Compared, target: str, limit: float, steps: int = 5) -> tuple[float, float]:
-    """The beta whose release has closeness (t) or loss (ail) within the limit: the largest for t, the smallest for ail."""
-    found = search(lambda b: c.measures(c.ours(b), t=target == "t")[target], lambda v: v <= limit, 0.5, 6.0, larger=target == "t", steps=steps)
-    return found or (float("nan"), float("nan"))
+def _settled(spark, sf_dir) -> Compared:
+    """A comparison on a settled view: a search makes some dozen releases of it."""
+    return Compared(spark, sf_dir, df=settle(census(spark, sf_dir).select(C3.key, *(a.name for a in C3.qi), C3.sa)))
+
+
+#: Bisection steps, points of the grid re-check and range of t of a search, and how far a loss may be from the one asked for.
+STEPS, GRID, T_RANGE, NEAR = 20, 16, (0.001, 1.0), 0.02
+NOTHING = (None, None)
 
 
-def best_t(run, c: Compared, loss_at_least: float, steps: int = 5) -> tuple[float, float]:
-    """The largest t at which a method's loss isn't below the given one, so that a comparison never favours ours."""
-    found = search(lambda t: c.measures(run(t))["ail"], lambda v: v >= loss_at_least, 0.01, 0.4, larger=True, steps=steps)
-    return found or (float("nan"), float("nan"))
+def best_beta(c: Compared, target: str, limit: float, steps: int = STEPS, grid: int = GRID) -> tuple:
+    """The beta whose release has closeness (t) or loss (ail) within the limit: the largest for t, the smallest for ail. Nulls if there is none."""
+    high = max(6.0, -math.log(float(c.p.min())))
+    return search(lambda b: c.measured("ours", b)[target], lambda v: v <= limit, 0.05, high, larger=target == "t", steps=steps, grid=grid) or NOTHING
+
+
+def best_t(method: str, c: Compared, loss_at_least: float, steps: int = STEPS, grid: int = GRID, near: float | None = None) -> tuple:
+    """The t at which a method's loss is nearest to `near` and not below the given one, so that a comparison never favours ours.
+
+    near is the given loss by default. Nulls if no loss is within NEAR of it."""
+    aim = loss_at_least if near is None else near
+    found = search(lambda t: c.measured(method, t)["ail"], lambda v: v >= loss_at_least, *T_RANGE, larger=True, steps=steps, grid=grid, prefer=lambda t, v: (abs(v - aim), -t))
+    return found if found and abs(found[1] - aim) <= NEAR else NOTHING
 
 
 @query("search_beta_t")
 def search_beta_t(spark, sf_dir):
-    beta, t = best_beta(Compared(spark, sf_dir), "t", 0.1)
+    beta, t = best_beta(_settled(spark, sf_dir), "t", 0.1)
     return frame(spark, [(beta, t)], "beta double, t double")
 
 
 @query("search_beta_ail")
 def search_beta_ail(spark, sf_dir):
-    beta, ail = best_beta(Compared(spark, sf_dir), "ail", 0.3)
+    beta, ail = best_beta(_settled(spark, sf_dir), "ail", 0.3)
     return frame(spark, [(beta, ail)], "beta double, ail double")
 
 
 @query("search_t_ail")
 def search_t_ail(spark, sf_dir):
-    c = Compared(spark, sf_dir)
-    t, ail = best_t(c.emd_deal, c, 0.2)
+    c = _settled(spark, sf_dir)
+    t, ail = best_t("emd-deal", c, 0.2)
     return frame(spark, [(t, ail)], "t double, ail double")

@@ -45,24 +45,22 @@ def w_same_t_from_beta(spark, sf_dir):
 @query("w_same_t")
 def w_same_t(spark, sf_dir):
     c, out = _compared(spark, sf_dir), []
-    for t in (0.05, 0.15, 0.25):
-        beta, reached = best_beta(c, "t", t, 4)
-        ours = c.measures(c.ours(beta))["beta"] if beta == beta else NAN
-        out += [(t, "bucket-and-deal", beta, reached, ours), (t, "kd-cut[emd]", NAN, t, c.measures(c.kd(kdcut.rule_emd(c.p, t)))["beta"]), (t, "emd-deal", NAN, t, c.measures(c.emd_deal(t))["beta"])]
+    for t in (0.05, 0.1, 0.15, 0.2, 0.25):
+        beta, reached = best_beta(c, "t", t)
+        ours = None if beta is None else c.measured("ours", beta)["beta"]
+        out += [(t, "bucket-and-deal", beta, reached, ours), *((t, name, NAN, t, c.measured(name, t)["beta"]) for name in ("kd-cut[emd]", "emd-deal"))]
     return frame(spark, out, "t double, method string, parameter double, reached double, achieved_beta double")
 
 
 @query("w_same_loss")
 def w_same_loss(spark, sf_dir):
     c, out = _compared(spark, sf_dir), []
-    for level in (0.3, 0.4):
-        beta, ail = best_beta(c, "ail", level, 4)
-        if beta != beta:
-            continue
-        out.append((level, "bucket-and-deal", beta, ail, c.measures(c.ours(beta))["beta"]))
-        for name, run in (("kd-cut[emd]", lambda t: c.kd(kdcut.rule_emd(c.p, t))), ("emd-deal", c.emd_deal)):
-            t, reached = best_t(run, c, ail, 4)
-            out.append((level, name, t, reached, c.measures(run(t))["beta"] if t == t else NAN))
+    for level in (0.2, 0.3, 0.4, 0.5):
+        beta, ail = best_beta(c, "ail", level)
+        out.append((level, "bucket-and-deal", beta, ail, None if beta is None else c.measured("ours", beta)["beta"]))
+        for name in ("kd-cut[emd]", "emd-deal"):
+            t, reached = (None, None) if beta is None else best_t(name, c, ail, near=level)
+            out.append((level, name, t, reached, None if t is None else c.measured(name, t)["beta"]))
     return frame(spark, out, "ail_target double, method string, parameter double, ail double, achieved_beta double")
 
 

@@ -1,6 +1,10 @@
 """Experiment sweeps: whole workloads, whole searches."""
 
+import numpy as np
+import pytest
+
 from gainbound.queries import experiments
+from gainbound.queries.attacks import best_beta, best_t
 from gainbound.queries.registry import QUERIES
 from gainbound.queries.release import C3
 
@@ -15,3 +19,20 @@ def test_sweeps_ask_ten_thousand_queries(spark):
 def test_exchange_attack_runs_until_its_stop_rule(spark):
     r = QUERIES["exchange_attack"](spark, SF).first()
     assert r.rounds == 20 or r.changed <= 0.001
+
+
+class _Losses:
+    """Stands for a comparison whose loss falls with the parameter but for one narrow dip."""
+
+    p = np.array([0.02, 0.98])
+
+    def measured(self, method, x):
+        return {"ail": 0.1 if 1.1 < x < 1.3 else 1 - x / 10, "t": x / 10}
+
+
+def test_searches_resolve_and_look_again():
+    assert best_beta(_Losses(), "t", 0.1234)[0] == pytest.approx(1.234, abs=1e-4)
+    assert 1.1 < best_beta(_Losses(), "ail", 0.5)[0] < 1.3
+    assert best_beta(_Losses(), "ail", 0.0) == (None, None)
+    assert best_t("emd-deal", _Losses(), 0.95)[0] == pytest.approx(0.5, abs=1e-4)
+    assert best_t("emd-deal", _Losses(), 0.2) == (None, None)
