@@ -457,17 +457,19 @@ def stream_interval_join(spark, sf_dir):
 
 @query("stream_deal")
 def stream_deal(spark, sf_dir):
-    """Groups dealt from a stream by a planned vector: every one has the vector's size."""
+    """Groups dealt from a stream by all vectors of a plan, what is left over merged if that keeps the bound, and the number of rows left unpublished."""
     counts = model.domain(_events(spark, sf_dir), "value_band")
     plan = plan_buckets(counts, 5.0)
     tree = sizetree.grow(plan.sizes, sizetree.gain_rule(plan.caps))
-    vector = tuple(int(x) for x in tree.leaf_vectors()[0])
     from gainbound.operators.deal import bucket_expr
 
     rows = views.events_of(_stream(spark, sf_dir)).select(F.lit(0).alias("shard"), bucket_expr(plan.bucket_of, F.col("value_band")).alias("bucket"), "row_key", F.col("value_band").alias("sa"))
     with stream.rocksdb(spark):
-        dealt = stream.drain(stream.deal_stream(rows, vector), _name("deal"))
-    return dealt.groupBy("ec").agg(F.count("*").alias("size"))
+        dealt = stream.drain(stream.deal_stream(rows, tree.leaf_vectors()), _name("deal"))
+    every = _events(spark, sf_dir).select("row_key", F.col("value_band").alias("sa"))
+    merged, left = stream.merge_left(every, dealt, model.prior_frame(spark, counts, "int"), 5.0)
+    groups = dealt.select("ec").withColumn("kind", F.lit("dealt")).union(merged.select("ec").withColumn("kind", F.lit("merged")))
+    return groups.groupBy("ec", "kind").agg(F.count("*").alias("size")).union(left.agg(F.lit(None).cast("string"), F.lit("left over"), F.count("*"))).select("ec", "size", "kind")
 
 
 @query("release_composed", _V + "select count(*) as n_rows from census")

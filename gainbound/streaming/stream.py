@@ -6,7 +6,8 @@ so a replayed row is published with the same value and an observer can't average
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections import Counter
+from collections.abc import Iterable, Iterator
 from contextlib import contextmanager
 
 import pandas as pd
@@ -16,6 +17,7 @@ from pyspark.sql import types as T
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from gainbound.functions.bounds import gain_expr
+from gainbound.operators.model import audit, histogram
 from gainbound.operators.perturb import Randomiser, randomise
 from gainbound.sources.tables import SCHEMAS
 
@@ -65,42 +67,60 @@ def randomise_stream(events: DataFrame, sa: str, key: str, r: Randomiser, secret
 
 
 class _Dealer(StatefulProcessor):
-    """Rows of a shard wait by bucket until a planned vector can be filled, and leave as a group."""
+    """Rows of a shard wait by bucket until a planned vector can be filled, and leave as a group.
 
-    def __init__(self, vector: tuple[int, ...], columns: list[str]):
-        self.vector, self.columns = vector, columns
+    Each vector is used as often as the plan has it; then all begin anew."""
+
+    def __init__(self, vectors: dict[tuple[int, ...], int], columns: list[str]):
+        self.vectors, self.columns = vectors, columns
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         row = T.StructType([T.StructField("row_key", T.StringType()), T.StructField("sa", T.IntegerType())])
-        self.waiting = [handle.getListState(f"bucket{j}", row) for j in range(len(self.vector))]
-        self.made = handle.getValueState("made", T.StructType([T.StructField("n", T.LongType())]))
+        self.waiting = [handle.getListState(f"bucket{j}", row) for j in range(len(next(iter(self.vectors))))]
+        self.made = handle.getValueState("made", T.StructType([T.StructField("n", T.LongType()), T.StructField("used", T.StringType())]))
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
         have = [[tuple(x) for x in s.get()] for s in self.waiting]
         for pdf in rows:
             for r in pdf.sort_values("row_key").itertuples(index=False):
                 have[r.bucket].append((r.row_key, int(r.sa)))
-        n = self.made.get()[0] if self.made.exists() else 0
-        out = []
-        while all(len(h) >= need for h, need in zip(have, self.vector, strict=True)):
-            for j, need in enumerate(self.vector):
-                out += [(f"{key[0]}-{n}", k, v) for k, v in have[j][:need]]
-                have[j] = have[j][need:]
+        n, used = self.made.get() if self.made.exists() else (0, "")
+        left = list(map(int, used.split(","))) if used else list(self.vectors.values())
+        out, at = [], [0] * len(have)
+        while True:
+            fits = [i for i, v in enumerate(self.vectors) if left[i] and all(len(h) - a >= need for h, a, need in zip(have, at, v, strict=True))]
+            if not fits:
+                break
+            i = max(fits, key=lambda i: left[i])
+            for j, need in enumerate(list(self.vectors)[i]):
+                out += [(f"{key[0]}-{n}", k, v) for k, v in have[j][at[j] : at[j] + need]]
+                at[j] += need
+            left[i] -= 1
             n += 1
-        for s, h in zip(self.waiting, have, strict=True):
-            s.put(h) if h else s.clear()
-        self.made.update((n,))
+            if not any(left):
+                left = list(self.vectors.values())
+        for s, h, a in zip(self.waiting, have, at, strict=True):
+            s.put(h[a:]) if h[a:] else s.clear()
+        self.made.update((n, ",".join(map(str, left))))
         yield pd.DataFrame(out, columns=["ec", "row_key", "sa"])
 
     def close(self) -> None:
         pass
 
 
-def deal_stream(rows: DataFrame, vector: tuple[int, ...]) -> DataFrame:
-    """Groups dealt from a stream of (shard, bucket, row_key, sa): each draws the planned vector of rows from the buckets.
+def deal_stream(rows: DataFrame, vectors: Iterable[tuple[int, ...]]) -> DataFrame:
+    """Groups dealt from a stream of (shard, bucket, row_key, sa): each draws one of the planned vectors of rows from the buckets.
+
+    vectors: all leaves of a plan. A group is emitted only when full, so it keeps the bound that its vector keeps; what waits at the end is for `merge_left`."""
+    counted = dict(Counter(tuple(int(x) for x in v) for v in vectors if any(v)))
+    return rows.groupBy("shard").transformWithStateInPandas(_Dealer(counted, rows.columns), "ec string, row_key string, sa int", "Append", "None")
+
 
-    A group is emitted only when full, so it keeps the bound that the vector keeps; rows still waiting at the end stay unpublished."""
-    return rows.groupBy("shard").transformWithStateInPandas(_Dealer(vector, rows.columns), "ec string, row_key string, sa int", "Append", "None")
+def merge_left(rows: DataFrame, dealt: DataFrame, prior: DataFrame, beta: float) -> tuple[DataFrame, DataFrame]:
+    """After a stream's end: the rows that wait, as one group if it keeps the bound, and those that stay unpublished. rows: all (row_key, sa)."""
+    rest = rows.join(dealt.select("row_key"), "row_key", "left_anti").select(F.lit("rest").alias("ec"), "row_key", "sa")
+    ok = not audit(histogram(rest, "sa"), prior, beta).where("ok").isEmpty()
+    return (rest, rest.limit(0)) if ok else (rest.limit(0), rest)
 
 
 def with_prior(events: DataFrame, prior: DataFrame, sa: str) -> DataFrame:
