@@ -3,9 +3,14 @@
 from __future__ import annotations
 
 import tempfile
+from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from gainbound.llm import bytetext as bt
 
 #: A side of a join is broadcast only if its rows, counted first, fit in this many bytes.
 BROADCAST_BYTES = 32 << 20
@@ -26,6 +31,12 @@ def shared_dir(spark: SparkSession) -> str:
     return found
 
 
+def shared_uri(spark: SparkSession) -> str:
+    """The shared folder as a URI that tasks can open."""
+    path = shared_dir(spark)
+    return "file://" + path.removeprefix("file:") if path.startswith("file:/") and not path.startswith("file://") else path if "://" in path else "file://" + path
+
+
 def settle(df: DataFrame) -> DataFrame:
     """df computed once and kept in the shared folder, where the loss of executors can't reach it."""
     shared_dir(df.sparkSession)
@@ -57,6 +68,28 @@ def bounded_sample(df: DataFrame, bound: int, by: str | None = None, key: str =
     return keyed.where(F.col("_h") < limit[F.col(by)]).drop("_h")
 
 
+def with_judged(docs: DataFrame, judge: Callable[[bt.Texts], list[pa.Array]], new: list[tuple[str, str]], piece: int = 2 << 20) -> DataFrame:
+    """docs with the columns `new` (name, type) that judge makes of its texts: every row carries its own verdict, whatever its doc_id."""
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    names, kinds = docs.columns, to_arrow_schema(docs.schema)
+    at = names.index("text")
+
+    def run(batches):
+        for batch in batches:
+            for part in bt.pieces(batch, at, piece):
+                yield pa.RecordBatch.from_arrays([*(c.cast(k.type) for c, k in zip(part.columns, kinds, strict=True)), *judge(bt.texts_of(part.column(at)))], names=[*names, *(n for n, _ in new)])
+
+    return docs.mapInArrow(run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema), *(f"`{n}` {k}" for n, k in new)]))
+
+
+def integer_id(df: DataFrame, key: str = "doc_id") -> None:
+    """Refuses a key that isn't an integer: orders and places are made of it."""
+    kind = df.schema[key].dataType
+    if not isinstance(kind, T.IntegralType):
+        raise TypeError(f"{key} has type {kind.simpleString()}; this operator needs an integer")
+
+
 def fresh(columns: list[str], name: str) -> str:
     """name, with underscores in front until no column is called so."""
     taken = {c.lower() for c in columns}
