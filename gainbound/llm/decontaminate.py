@@ -9,30 +9,35 @@ sorted rotations goes into a wavelet matrix, and all phrases are searched backwa
 once, each step narrowing a row range by two ranks. Rows of matching ranges walk back to the
 nearest sampled suffix, which gives their positions; the hits of a text merge into spans.
 
-Phrases travel to the executors in blocks of bounded size (BLOCK_BYTES of item text), one broadcast each, and
-a task has one block in memory at a time, so the benchmark's size has no bearing on
-memory. Documents are never shuffled.
+A benchmark of at most BLOCK_BYTES of text is one block, broadcast. A larger one is cut into such blocks by
+tasks, each block a file in the shared folder; a shard is then larger too, is indexed once over its own
+words, and reads one block after the other. So the benchmark's size has no bearing on memory, and documents are never shuffled.
 
 Edge cases: a null or empty text has no words and can't be contaminated; a null or empty
-item has no phrase. Items with equal texts are all reported. Repeated rows are judged each. Extra columns are
-ignored. Words are compared by 64-bit hashes.
+item has no phrase. Items with equal texts are all reported. Repeated rows are judged each, and
+rows that share a doc_id by their own texts. Extra columns are ignored. Words are compared by 64-bit hashes.
 """
 
 from __future__ import annotations
 
-import hashlib
+import pickle
+import uuid
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.fs as fs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
+from gainbound.llm.common import fresh, settle, shared_uri
 
 WINDOW = 13
 SHARD_WORDS = 1 << 19
 PIECE = 2 << 20
 BLOCK_BYTES = 16 << 20
+#: Shards are larger by up to this factor where there are many blocks.
+MANY_BLOCKS = 8
 SAMPLE = 8
 
 
@@ -149,82 +154,92 @@ def phrases_of(items: pa.RecordBatch, window: int) -> dict:
     number = number.astype(np.int64).reshape(-1) + 1
     n = np.diff(ranges)
     by_length = {}
-    for length in sorted({min(int(x), window) for x in n if x}):
-        at = [(i, w) for i in np.flatnonzero(np.minimum(n, window) == length) for w in range(ranges[i], ranges[i + 1] - length + 1)]
-        own, first = np.array([x[0] for x in at]), np.array([x[1] for x in at])
+    for length in np.unique(np.minimum(n, window)[n > 0]).tolist():
+        items_of = np.flatnonzero(np.minimum(n, window) == length)
+        many = n[items_of] - length + 1
+        own = np.repeat(items_of, many)
+        first = np.repeat(ranges[items_of] - (np.cumsum(many) - many), many) + np.arange(many.sum())
         distinct, which = np.unique(number[first[:, None] + np.arange(length)], axis=0, return_inverse=True)
         by = np.argsort(which.reshape(-1), kind="stable")
         by_length[length] = (distinct, np.searchsorted(which.reshape(-1)[by], np.arange(len(distinct) + 1)), own[by])
     return {"vocabulary": vocabulary, "items": items.column(0).to_pylist(), "phrases": by_length}
 
 
-def search(words: np.ndarray, ranges: np.ndarray, block: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Occurrences of a block's phrases in texts given as word hashes: text, first word within all, length, item."""
-    none = np.zeros(0, np.int64)
-    if not len(words) or not block["phrases"]:
-        return none, none, none, none
-    vocabulary = block["vocabulary"]
-    known = np.flatnonzero(bt.member_of(words, vocabulary))
-    doc = bt.text_of_word(ranges)[known]
-    symbol = np.searchsorted(vocabulary, words[known]) + 1
-    gap = np.ones(len(known), bool)
-    gap[:-1] = (known[1:] != known[:-1] + 1) | (doc[1:] != doc[:-1])
-    spot = np.arange(len(known)) + np.cumsum(gap) - gap
-    text = np.zeros(len(known) + int(gap.sum()), np.int64)
-    text[spot] = symbol
-    word_at = np.zeros(len(text), np.int64)
-    word_at[spot] = known
-    index = FmIndex(text, len(vocabulary))
-    found = []
-    for length, (phrases, cut, own) in block["phrases"].items():
-        which, low, high = index.ranges(phrases, length)
-        count = high - low
-        if not count.sum():
-            continue
-        rows = np.repeat(low - (np.cumsum(count) - count), count) + np.arange(count.sum())
-        first = word_at[index.locate(rows)]
-        which = np.repeat(which, count)
-        many = cut[which + 1] - cut[which]
-        item = own[np.repeat(cut[which] - (np.cumsum(many) - many), many) + np.arange(many.sum())]
-        first = np.repeat(first, many)
-        found.append((np.searchsorted(ranges, first, "right") - 1, first, np.full(len(first), length), item))
-    return tuple(np.concatenate(x) for x in zip(*found, strict=True)) if found else (none, none, none, none)
-
-
-def _shards(batches):
+class Shard:
+    """The index of some texts, given as word hashes. Words that aren't in the vocabulary become separators; by default it is the shard's own."""
+
+    def __init__(self, words: np.ndarray, ranges: np.ndarray, vocabulary: np.ndarray | None = None):
+        self.ranges, self.vocabulary = ranges, np.unique(words) if vocabulary is None else vocabulary
+        known = np.flatnonzero(bt.member_of(words, self.vocabulary))
+        self.index = None
+        if not len(known):
+            return
+        doc = bt.text_of_word(ranges)[known]
+        gap = np.ones(len(known), bool)
+        gap[:-1] = (known[1:] != known[:-1] + 1) | (doc[1:] != doc[:-1])
+        spot = np.arange(len(known)) + np.cumsum(gap) - gap
+        text = np.zeros(len(known) + int(gap.sum()), np.int64)
+        text[spot] = np.searchsorted(self.vocabulary, words[known]) + 1
+        self.word_at = np.zeros(len(text), np.int64)
+        self.word_at[spot] = known
+        self.index = FmIndex(text, len(self.vocabulary))
+
+    def search(self, block: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Occurrences of a block's phrases: text, first word within all, length, item."""
+        found = []
+        if self.index is not None and block["phrases"]:
+            at = np.minimum(np.searchsorted(self.vocabulary, block["vocabulary"]), len(self.vocabulary) - 1)
+            symbol = np.concatenate(([0], np.where(self.vocabulary[at] == block["vocabulary"], at + 1, 0)))
+            for length, (phrases, cut, own) in block["phrases"].items():
+                here = symbol[phrases]
+                some = np.flatnonzero((here > 0).all(1))
+                which, low, high = self.index.ranges(here[some], length) if len(some) else (some, some, some)
+                count = high - low
+                if not count.sum():
+                    continue
+                rows = np.repeat(low - (np.cumsum(count) - count), count) + np.arange(count.sum())
+                first = self.word_at[self.index.locate(rows)]
+                which = np.repeat(some[which], count)
+                many = cut[which + 1] - cut[which]
+                item = own[np.repeat(cut[which] - (np.cumsum(many) - many), many) + np.arange(many.sum())]
+                first = np.repeat(first, many)
+                found.append((np.searchsorted(self.ranges, first, "right") - 1, first, np.full(len(first), length), item))
+        return tuple(np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 4
+
+
+def _shards(batches, at: int, most: int):
+    """Runs of rows of about `most` words: the rows, their word hashes and numbers of words."""
     held, words = [], 0
     for batch in batches:
-        for part in bt.pieces(batch, 1, PIECE):
-            t = bt.texts_of(part.column(1))
+        for part in bt.pieces(batch, at, PIECE):
+            t = bt.texts_of(part.column(at))
             start, end, ranges = bt.find_words(t, bt.ALNUM)
-            held.append((part.column(0), bt.hash_spans(bt.LOWER[t.buf], start, end), np.diff(ranges)))
+            held.append((part, bt.hash_spans(bt.LOWER[t.buf], start, end), np.diff(ranges)))
             words += len(start)
-            if words >= SHARD_WORDS:
+            if words >= most:
                 yield held
                 held, words = [], 0
     if held:
         yield held
 
 
-def _locate(blocks, id_type: pa.DataType):
-    kinds = pa.schema([("doc_id", id_type), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())])))])
+def _locate(blocks: Blocks, at: int, carried: list[int], kinds: pa.Schema, most: int):
+    """Judges the texts in column `at`; the carried columns go on."""
 
     def run(batches):
-        for held in _shards(batches):
-            ids = pa.concat_arrays([h[0] for h in held])
+        for held in _shards(batches, at, most):
             words, n = np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held])
             ranges = np.concatenate(([0], np.cumsum(n)))
             edge, names = np.zeros(len(words) + 1, np.int64), [set() for _ in range(len(n))]
-            for b in blocks:
-                block = b.value
-                doc, first, length, item = search(words, ranges, block)
+            shard = None
+            for block in blocks.each():
+                shard = shard or Shard(words, ranges, block["vocabulary"] if blocks.single else None)
+                doc, first, length, item = shard.search(block)
                 np.add.at(edge, first, 1)
                 np.add.at(edge, first + length, -1)
                 for pair in np.unique(doc * (len(block["items"]) + 1) + item).tolist():
                     d, i = divmod(pair, len(block["items"]) + 1)
                     names[d].add(block["items"][i])
-                if len(blocks) > 1:
-                    b.__dict__.pop("_value", None)  # one block in memory at a time; the next shard reads it again
             hit = np.cumsum(edge[:-1]) > 0
             n_hit = bt.per_text(hit, ranges)
             spans = [None] * len(n)
@@ -233,39 +248,99 @@ def _locate(blocks, id_type: pa.DataType):
                 if n_hit[d]:
                     x = np.flatnonzero(np.diff(hit[ranges[d] : ranges[d + 1]].astype(np.int8), prepend=0, append=0))
                     spans[d] = [{"first": int(x[i]), "end": int(x[i + 1])} for i in range(0, len(x), 2)]
-            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(n_hit, pa.int64()), pa.array([sorted(x) for x in names], kinds.field("items").type), pa.array(spans, kinds.field("spans").type)], schema=kinds)
+            row = 0
+            for part, _, some in held:
+                till = row + len(some)
+                judged = [pa.array(n[row:till], pa.int64()), pa.array(n_hit[row:till], pa.int64()), pa.array([sorted(x) for x in names[row:till]], pa.list_(pa.string())), pa.array(spans[row:till], kinds.field(len(kinds) - 1).type)]
+                yield pa.RecordBatch.from_arrays([*(part.column(k).cast(kinds.field(j).type) for j, k in enumerate(carried)), *judged], schema=kinds)
+                row = till
 
     return run
 
 
-def benchmark_blocks(benchmark: DataFrame, window: int) -> list:
-    """The phrases in broadcasts of at most BLOCK_BYTES of item text each; rows come to the driver a block at a time."""
-    context, out, held, weight = benchmark.sparkSession.sparkContext, [], [], 0
-    kinds = pa.schema([("item_id", pa.string()), ("text", pa.string())])
+class Blocks:
+    """The benchmark's phrases: one block that is broadcast, or files of blocks that are read one at a time."""
 
-    def close():
-        out.append(context.broadcast(phrases_of(pa.RecordBatch.from_pylist(held, kinds), window)))
+    def __init__(self, single, paths: list[str]):
+        self.single, self.paths = single, paths
+
+    def each(self):
+        if self.single:
+            yield self.single.value
+        for path in self.paths:
+            system, name = fs.FileSystem.from_uri(path)
+            with system.open_input_stream(name, compression=None) as raw:
+                yield pickle.loads(raw.read())  # written by this job a moment ago
+
+
+_ITEMS = pa.schema([("item_id", pa.string()), ("text", pa.string())])
+
+
+def benchmark_blocks(benchmark: DataFrame, window: int, limit: int | None = None) -> Blocks:
+    """The phrases in blocks of at most `limit` bytes of item text; a longer item is a block by itself."""
+    limit = BLOCK_BYTES if limit is None else limit
+    context = benchmark.sparkSession.sparkContext
+    items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), "text").where("item_id is not null and text is not null")
+    # an empty item counts too
+    total = items.agg(F.coalesce(F.sum(F.octet_length("text") + F.octet_length("item_id")), F.lit(0))).first()[0]
+    if total <= limit:
+        return Blocks(context.broadcast(phrases_of(pa.RecordBatch.from_pylist([r.asDict() for r in items.collect()], _ITEMS), window)) if total else None, [])
+    folder = f"{shared_uri(benchmark.sparkSession)}/phrases-{uuid.uuid4().hex}"
+
+    def write(batches):
+        system, root = fs.FileSystem.from_uri(folder)
+        system.create_dir(root, recursive=True)
+
+        def close(held) -> pa.RecordBatch:
+            name = f"{uuid.uuid4().hex}.block"
+            block = phrases_of(pa.Table.from_batches(held).combine_chunks().to_batches()[0], window)
+            with system.open_output_stream(f"{root}/{name}", compression=None) as out:
+                out.write(pickle.dumps(block))
+            return pa.RecordBatch.from_arrays([pa.array([f"{folder}/{name}"])], names=["path"])
+
+        held, weight = [], 0
+        for batch in batches:
+            for part in bt.pieces(batch, 1, max(1, limit // 4)):
+                size = part.column(1).nbytes
+                if held and weight + size > limit:
+                    yield close(held)
+                    held, weight = [], 0
+                held.append(part.cast(_ITEMS))
+                weight += size
+        if held:
+            yield close(held)
+
+    # only the files of attempts that ended are named
+    return Blocks(None, [r.path for r in settle(items.mapInArrow(write, "path string")).collect()])
 
-    for r in benchmark.select(F.col("item_id").cast("string").alias("item_id"), "text").where("item_id is not null and text is not null").toLocalIterator():
-        if held and weight + len(r.text) > BLOCK_BYTES:
-            close()
-            held, weight = [], 0
-        held.append({"item_id": r.item_id, "text": r.text})
-        weight += len(r.text)
-    if held:
-        close()
-    return out
+
+_FOUND = "`{}` long, `{}` long, `{}` array<string>, `{}` array<struct<first:long,end:long>>"
+
+
+def _judged(docs: DataFrame, columns: list[str], carried: list[str], benchmark: DataFrame, window: int, found: list[str]) -> DataFrame:
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    blocks = benchmark_blocks(benchmark, window)
+    some = docs.select(*(F.col(f"`{c}`") for c in columns))
+    spans = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))
+    kinds = pa.schema([*((c, to_arrow_type(docs.schema[c].dataType)) for c in carried), *zip(found, [pa.int64(), pa.int64(), pa.list_(pa.string()), spans], strict=True)])
+    most = SHARD_WORDS * max(1, min(MANY_BLOCKS, len(blocks.paths)))
+    ddl = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carried]
+    return some.mapInArrow(_locate(blocks, columns.index("text"), [columns.index(c) for c in carried], kinds, most), ", ".join([*ddl, _FOUND.format(*found)]))
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_hit, items (found in it) and spans (merged intervals of hit words) of each document."""
-    blocks = benchmark_blocks(benchmark, window)
-    ids = docs.schema["doc_id"].dataType
-    from pyspark.sql.pandas.types import to_arrow_type
+    return _judged(docs, ["doc_id", "text"], ["doc_id"], benchmark, window, ["n_words", "n_hit", "items", "spans"])
+
 
-    return docs.select("doc_id", "text").mapInArrow(_locate(blocks, to_arrow_type(ids)), f"doc_id {ids.simpleString()}, n_words long, n_hit long, items array<string>, spans array<struct<first:long,end:long>>")
+def without_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, percent: int = 5) -> DataFrame:
+    """The rows of docs whose own text isn't contaminated, as they are."""
+    found = [fresh(docs.columns, c) for c in ("_words", "_hit", "_items", "_spans")]
+    judged = _judged(docs, docs.columns, docs.columns, benchmark, window, found)
+    return judged.where(~is_contaminated(percent, *found[:2])).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
-def is_contaminated(percent: int = 5):
+def is_contaminated(percent: int = 5, n_words: str = "n_words", n_hit: str = "n_hit"):
     """Hit words are at least this share of the text's words."""
-    return (F.col("n_hit") > 0) & (F.col("n_hit") * 100 >= F.col("n_words") * percent)
+    return (F.col(n_hit) > 0) & (F.col(n_hit) * 100 >= F.col(n_words) * percent)
