@@ -8,8 +8,10 @@ capture together by those identifiers, in one shuffle, as one nested row.
 
 Of records with equal payloads of at least `least` bytes the one with the largest page_id is the response.
 
-Edge cases: a null html is an empty payload, a null url an empty target. Rows that repeat a page_id and
-payload are one capture. Rows with a null page_id are captures without one. A capture of which a record is
+Every row is a capture of its own: rows that repeat a page_id and payload (or have no page_id) are told apart by a number. If
+several rows have the largest page_id of a payload, all of them are responses and the others revisit the first.
+
+Edge cases: a null html is an empty payload, a null url an empty target. page_id is an integer. A capture of which a record is
 missing has null there. Extra columns are ignored; an empty table gives no rows.
 """
 
@@ -26,7 +28,7 @@ import pyarrow.fs as fs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gainbound.llm.common import settle, shared_dir, small_join
+from gainbound.llm.common import integer_id, settle, shared_uri, small_join
 
 #: An archive is closed once it holds so many bytes.
 ARCHIVE_BYTES = 64 << 20
@@ -40,10 +42,6 @@ def base32_of_hex(digest):
     return F.translate(F.upper(F.concat(*parts)), "0123456789ABCDEFGHIJKLMNOPQRSTUV", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567")
 
 
-def _uri(path: str) -> str:
-    return "file://" + path.removeprefix("file:") if path.startswith("file:/") and not path.startswith("file://") else path if "://" in path else "file://" + path
-
-
 def _identifier(*parts) -> str:
     return uuid.UUID(bytes=hashlib.md5("|".join(map(str, parts)).encode()).digest(), version=4).urn
 
@@ -53,35 +51,57 @@ def _record(kind: str, identifier: str, headers: list[tuple[str, str]], block: b
     return "\r\n".join(lines).encode() + block + b"\r\n\r\n"
 
 
-def capture_records(page, url: str | None, payload: bytes, digest: str, refers) -> list[bytes]:
-    """The records of one page; refers: the page of the response that it revisits, or None."""
+def capture_records(page, url: str | None, payload: bytes, digest: str, refers, nth: int = 0) -> list[bytes]:
+    """The records of one page; refers: the page of the response that it revisits, or None; nth: tells rows of one page and payload apart."""
     target = "".join((url or "").split())
-    own = _identifier("capture", page, digest)
+    own = _identifier("capture", page, digest, nth)
     http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
     about = [("WARC-Target-URI", target), ("WARC-Payload-Digest", f"sha1:{digest}"), ("Content-Type", "application/http; msgtype=response")]
     if refers is None:
         main = _record("response", own, about, http + payload)
     else:
-        main = _record("revisit", own, [*about, ("WARC-Profile", PROFILE), ("WARC-Refers-To", f"<{_identifier('capture', refers, digest)}>")], http)
+        main = _record("revisit", own, [*about, ("WARC-Profile", PROFILE), ("WARC-Refers-To", f"<{_identifier('capture', refers, digest, 0)}>")], http)
     try:
         place = urlsplit(target)
         host, path = place.netloc, (place.path or "/") + (f"?{place.query}" if place.query else "")
     except ValueError:
         host, path = "", "/"
     with_main = [("WARC-Target-URI", target), ("WARC-Concurrent-To", f"<{own}>")]
-    request = _record("request", _identifier("request", page, digest), [*with_main, ("Content-Type", "application/http; msgtype=request")], f"GET {path} HTTP/1.1\r\nHost: {host}\r\n\r\n".encode())
+    request = _record("request", _identifier("request", page, digest, nth), [*with_main, ("Content-Type", "application/http; msgtype=request")], f"GET {path} HTTP/1.1\r\nHost: {host}\r\n\r\n".encode())
     fields = f"page-id: {'' if page is None else page}\r\n".encode()
-    return [main, request, _record("metadata", _identifier("metadata", page, digest), [*with_main, ("Content-Type", "application/warc-fields")], fields)]
+    return [main, request, _record("metadata", _identifier("metadata", page, digest, nth), [*with_main, ("Content-Type", "application/warc-fields")], fields)]
+
+
+def _numbered(keyed: DataFrame, twice: DataFrame) -> DataFrame:
+    """keyed with `nth`: 0 for one row of each (digest, page_id), other numbers for the rest. twice: those that several rows have.
+
+    Only rows that are repeated are settled and numbered, each by itself, so a pair that very many rows have is never gathered."""
+    twice = settle(twice.withColumn("again", F.lit(True)))
+    n = twice.count()
+    if not n:
+        return keyed.withColumn("nth", F.lit(0).cast("long"))
+
+    def look_up(left: DataFrame, right: DataFrame, column: str) -> DataFrame:
+        other = right.toDF("_digest", "_page", column)
+        return small_join(left, other, (F.col("digest") == F.col("_digest")) & F.col("page_id").eqNullSafe(F.col("_page")), "left", n, 64).drop("_digest", "_page")
+
+    marked = look_up(keyed, twice, "again")
+    again = settle(marked.where("again").drop("again").withColumn("_row", F.monotonically_increasing_id()))
+    first = settle(again.groupBy("digest", "page_id").agg(F.min("_row").alias("_first")))
+    nth = F.when(F.col("_row") == F.col("_first"), 0).otherwise(F.col("_row") + 1).cast("long")
+    numbered = look_up(again, first, "_first").withColumn("nth", nth).drop("_row", "_first")
+    return marked.where("again is null").drop("again").withColumn("nth", F.lit(0).cast("long")).unionByName(numbered)
 
 
 def write_archives(pages: DataFrame, least: int = 0, archive_bytes: int = ARCHIVE_BYTES) -> DataFrame:
     """Archives of pages (page_id, url, html) in the shared folder; returns their paths and sizes, settled."""
-    folder = f"{_uri(shared_dir(pages.sparkSession))}/warc-{uuid.uuid4().hex}"
+    folder = f"{shared_uri(pages.sparkSession)}/warc-{uuid.uuid4().hex}"
+    integer_id(pages, "page_id")
     keyed = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("payload")).withColumn("digest", base32_of_hex(F.sha1("payload")))
-    groups = keyed.where(F.octet_length("payload") >= least).groupBy("digest").agg(F.max("page_id").alias("holder"), F.count("*").alias("n")).where("n > 1").select("digest", "holder")
-    groups = settle(groups)
-    told = small_join(keyed, groups, "digest", "left", groups.count(), 48)
-    told = told.withColumn("refers", F.when((F.col("holder") != F.col("page_id")) | F.col("page_id").isNull(), F.col("holder"))).select("page_id", "url", "payload", "digest", "refers")
+    alike = settle(keyed.select("digest", "page_id", F.octet_length("payload").alias("bytes")).groupBy("digest", "page_id", "bytes").agg(F.count("*").alias("n")))
+    groups = settle(alike.where(F.col("bytes") >= least).groupBy("digest").agg(F.max("page_id").alias("holder"), F.sum("n").alias("n")).where("n > 1").select("digest", "holder"))
+    told = small_join(_numbered(keyed, alike.where("n > 1").select("digest", "page_id")), groups, "digest", "left", groups.count(), 48)
+    told = told.withColumn("refers", F.when((F.col("holder") != F.col("page_id")) | F.col("page_id").isNull(), F.col("holder"))).select("page_id", "url", "payload", "digest", "refers", "nth")
 
     def run(batches):
         system, root = fs.FileSystem.from_uri(folder)
@@ -89,11 +109,11 @@ def write_archives(pages: DataFrame, least: int = 0, archive_bytes: int = ARCHIV
         out, name, size, n = None, "", 0, 0
         done: list[tuple[str, int, int]] = []
         for batch in batches:
-            for page, url, payload, digest, refers in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for page, url, payload, digest, refers, nth in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if out is None:
                     name, size, n = f"{uuid.uuid4().hex}.warc.gz", 0, 0
                     out = system.open_output_stream(f"{root}/{name}", compression=None)
-                for record in capture_records(page, url, payload, digest, refers):
+                for record in capture_records(page, url, payload, digest, refers, nth):
                     member = gzip.compress(record, 6, mtime=0)
                     out.write(member)
                     size, n = size + len(member), n + 1
