@@ -15,8 +15,9 @@ travel come from two separate hashes: with 2**c cells, 64 + c bits decide.
 
 Edge cases: a null or empty text has no words and its digest is that of the empty string.
 A row whose doc_id is null is kept whole and never compared. Rows that repeat a doc_id and text are the
-same occurrence, so neither removes the other, and each is returned. Extra columns are
-ignored; an empty table gives an empty result.
+same occurrence, so neither removes the other, and each is returned. Rows that share a doc_id but not the text are
+documents of their own, in the order of a mark (a hash of the text); where no doc_id has two texts all marks are 0. doc_id is an
+integer (a column of another type is refused). Extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
-from gainbound.llm.common import settle, small_join
+from gainbound.llm.common import integer_id, settle, small_join
 
 CHUNK = 4 << 20
 #: Bytes of text for each cell, and the most cells of a task; a cell has about a million windows.
@@ -45,17 +46,34 @@ def _unpack(blob: bytes, kind, n: int) -> np.ndarray:
     return np.frombuffer(pa.decompress(blob, n * np.dtype(kind).itemsize, codec="zstd", asbytes=True), kind)
 
 
+#: A text: its doc_id and mark, in the order of both.
+TEXT = np.dtype([("id", np.int64), ("mark", np.int64)])
+
+
+def _changes(doc: np.ndarray) -> np.ndarray:
+    """Whether each entry but the first has another text than the one before."""
+    return (doc["id"][1:] != doc["id"][:-1]) | (doc["mark"][1:] != doc["mark"][:-1])
+
+
+def _order(doc: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Places in the order of text and start; marks are sorted by only where there are any."""
+    return np.lexsort((start, doc["mark"], doc["id"]) if doc["mark"].any() else (start, doc["id"]))
+
+
 def _spots(doc: np.ndarray, start: np.ndarray) -> dict:
     """Positions (in order) as the distinct texts, how many positions each has, and the positions' steps."""
-    head = np.flatnonzero(np.concatenate(([True], doc[1:] != doc[:-1]))) if len(doc) else np.zeros(0, int)
+    head = np.flatnonzero(np.concatenate(([True], _changes(doc)))) if len(doc) else np.zeros(0, int)
     count = np.diff(np.append(head, len(doc))).astype(np.uint32)
     step = np.diff(start, prepend=0).astype(np.int64)
     step[head] = start[head]
-    return {"texts": len(head), "n": len(doc), "docs": _pack(doc[head].astype(np.int64)), "counts": _pack(count), "steps": _pack(step.astype(np.uint32).view(np.uint8).reshape(-1, 4).T)}
+    of = doc[head]
+    return {"texts": len(head), "n": len(doc), "docs": _pack(np.concatenate((of["id"], of["mark"]))), "counts": _pack(count), "steps": _pack(step.astype(np.uint32).view(np.uint8).reshape(-1, 4).T)}
 
 
 def _places(r: dict) -> tuple[np.ndarray, np.ndarray]:
-    docs, counts = _unpack(r["docs"], np.int64, r["texts"]), _unpack(r["counts"], np.uint32, r["texts"])
+    both, counts = _unpack(r["docs"], np.int64, 2 * r["texts"]), _unpack(r["counts"], np.uint32, r["texts"])
+    docs = np.empty(r["texts"], TEXT)
+    docs["id"], docs["mark"] = both[: r["texts"]], both[r["texts"] :]
     step = np.ascontiguousarray(_unpack(r["steps"], np.uint8, 4 * r["n"]).reshape(4, -1).T).view(np.uint32).ravel().astype(np.int64)
     head = np.cumsum(counts, dtype=np.int64) - counts
     total = np.cumsum(step)
@@ -86,13 +104,15 @@ def _chunks(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple]:
         return ids, *(np.concatenate([h[k] for h in held]) for k in (1, 2)), np.concatenate([h[3] + s for h, s in zip(held, shift, strict=False)]), np.concatenate([h[4] for h in held])
 
     for batch in batches:
-        for part in bt.pieces(batch.select(["doc_id", "text"]), 1, CHUNK // 4):
+        for part in bt.pieces(batch.select(["doc_id", "text", "mark"]), 1, CHUNK // 4):
             t = bt.texts_of(part.column(1))
             start, end, ranges = bt.find_words(t, bt.GRAPHIC)
             word = bt.hash_spans(t.buf, start, end)
             at = bt.window_starts(ranges, size)
             doc = bt.text_of_word(ranges)[at]
-            held.append((part.column(0).to_numpy(zero_copy_only=False).astype(np.int64), bt.hash_windows(word, size, 1)[at], bt.hash_windows(word, size, 2)[at], doc.astype(np.int64), at - ranges[doc]))
+            own = np.empty(len(t), TEXT)
+            own["id"], own["mark"] = (part.column(k).to_numpy(zero_copy_only=False) for k in (0, 2))
+            held.append((own, bt.hash_windows(word, size, 1)[at], bt.hash_windows(word, size, 2)[at], doc.astype(np.int64), at - ranges[doc]))
             weight += len(t.buf)
             if weight >= CHUNK:
                 yield out()
@@ -122,16 +142,15 @@ def _ship(size: int, cells: int, span: int):
             if not len(h1):
                 continue
             cell = (h2 % np.uint64(cells)).astype(np.int64)
-            by_id = np.argsort(ids, kind="stable")
+            by_id = _order(ids, np.arange(len(ids)))
             rank = np.empty(len(ids), np.int64)
             rank[by_id] = np.arange(len(ids))
             order = np.argsort(rank[doc], kind="stable")  # starts are in order within a text
-            key = ids[doc[order]]
             same = np.zeros(len(order), bool)
-            if len(np.unique(ids)) < len(ids):  # rows that repeat a doc_id
-                order = np.lexsort((start, ids[doc]))
-                key, s = ids[doc[order]], start[order]
-                same[1:] = (key[1:] == key[:-1]) & (s[1:] == s[:-1])
+            if not _changes(ids[by_id]).all():  # repeated rows
+                order = _order(ids[doc], start)
+                s = start[order]
+                same[1:] = ~_changes(ids[doc[order]]) & (s[1:] == s[:-1])
             keep, gone = _first(h1 ^ bt.mix64(h2), order, same)
             position = np.empty(len(order), np.int64)
             position[order] = np.arange(len(order))
@@ -171,13 +190,14 @@ def _judge(homes: int):
         doc, start, h = np.concatenate(doc), np.concatenate(start), np.concatenate(h)
         twice = np.flatnonzero(bt.repeated(h))  # the rest can't have an earlier equal
         doc, start, h = doc[twice], start[twice], h[twice]
-        order = np.lexsort((start, doc))
+        order = _order(doc, start)
         same = np.zeros(len(order), bool)
-        same[1:] = (doc[order][1:] == doc[order][:-1]) & (start[order][1:] == start[order][:-1])
+        same[1:] = ~_changes(doc[order]) & (start[order][1:] == start[order][:-1])
         _, gone = _first(h, order, same)
         d, s = np.concatenate([doc[gone], *lost_doc]), np.concatenate([start[gone], *lost_start])
-        home = (bt.mix64(d) % np.uint64(homes)).astype(np.int64)
-        by = np.lexsort((s, d, home))
+        home = (bt.mix64(d["id"] ^ d["mark"]) % np.uint64(homes)).astype(np.int64)
+        by = _order(d, s)
+        by = by[np.argsort(home[by], kind="stable")]
         d, s, home = d[by], s[by], home[by]
         cut = np.searchsorted(home, np.arange(homes + 1))
         return [{"home": i} | _spots(d[cut[i] : cut[i + 1]], s[cut[i] : cut[i + 1]]) for i in range(homes) if cut[i + 1] > cut[i]]
@@ -198,7 +218,7 @@ def _judge(homes: int):
 
 
 def _merge(size: int):
-    kinds = pa.schema([("doc_id", pa.int64()), ("spans", pa.binary())])
+    kinds = pa.schema([("doc_id", pa.int64()), ("mark", pa.int64()), ("spans", pa.binary())])
 
     def run(batches):
         doc, start = [], []
@@ -209,37 +229,50 @@ def _merge(size: int):
         if not doc:
             return
         doc, start = np.concatenate(doc), np.concatenate(start)
-        by = np.lexsort((start, doc))
+        by = _order(doc, start)
         doc, start = doc[by], start[by]
         # a run of windows without a gap between them is one interval
-        new = np.concatenate(([True], (doc[1:] != doc[:-1]) | (start[1:] > start[:-1] + size)))
+        new = np.concatenate(([True], _changes(doc) | (start[1:] > start[:-1] + size)))
         first = np.flatnonzero(new)
         last = np.append(first[1:], len(doc)) - 1
         spans = np.stack([start[first], start[last] + size], 1).astype(np.int32)
         ids = doc[first]
-        head = np.flatnonzero(np.concatenate(([True], ids[1:] != ids[:-1])))
+        head = np.flatnonzero(np.concatenate(([True], _changes(ids))))
         tail = np.append(head[1:], len(ids))
         for at in range(0, len(head), 4096):
             some = range(at, min(at + 4096, len(head)))
-            yield pa.RecordBatch.from_arrays([pa.array(ids[head[at : at + 4096]]), pa.array([spans[head[i] : tail[i]].tobytes() for i in some], pa.binary())], schema=kinds)
+            of = ids[head[at : at + 4096]]
+            yield pa.RecordBatch.from_arrays([pa.array(of["id"].copy()), pa.array(of["mark"].copy()), pa.array([spans[head[i] : tail[i]].tobytes() for i in some], pa.binary())], schema=kinds)
 
     return run
 
 
+def marked(docs: DataFrame) -> DataFrame:
+    """doc_id (long), text and mark: a hash of the text where its doc_id has several texts, and else 0."""
+    integer_id(docs)
+    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    mark = F.xxhash64("text")
+    clash = settle(plain.where("doc_id is not null").groupBy("doc_id").agg(F.min(mark).alias("a"), F.max(mark).alias("b")).where("a <> b").select("doc_id", F.lit(True).alias("clash")))
+    n = clash.count()
+    if not n:
+        return plain.withColumn("mark", F.lit(0).cast("long"))
+    return small_join(plain, clash, "doc_id", "left", n, 17).select("doc_id", "text", F.when(F.col("clash"), mark).otherwise(0).alias("mark"))
+
+
 def repeated_spans(docs: DataFrame, size: int = 20) -> DataFrame:
-    """doc_id and the packed int32 (first, end) word intervals that repeat earlier windows; texts without any are absent."""
+    """doc_id, mark and the packed int32 (first, end) word intervals that repeat earlier windows; texts without any are absent. docs: as from `marked`."""
     parts = docs.sparkSession.conf.get("spark.sql.shuffle.partitions")
     need = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     cells = max(1, need // CELL_BYTES)
     tasks = int(min(1 << 16, max(int(parts), 16, cells)))
     span = int(max(1, min(TASK_CELLS, -(-cells // tasks))))
     judged = (
-        docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+        docs.where("doc_id is not null").select("doc_id", "text", "mark")
         .mapInArrow(_ship(size, tasks * span, span), "task int, cell int, hashes binary, " + _SPOTS + ", gone_texts int, gone_n int, gone_docs binary, gone_counts binary, gone_steps binary")
         .repartitionById(tasks, "task").sortWithinPartitions("cell")
         .mapInArrow(_judge(tasks), "home int, " + _SPOTS)
     )
-    return judged.repartitionById(tasks, "home").mapInArrow(_merge(size), "doc_id long, spans binary")
+    return judged.repartitionById(tasks, "home").mapInArrow(_merge(size), "doc_id long, mark long, spans binary")
 
 
 def _strip(batches):
@@ -254,8 +287,7 @@ def _strip(batches):
             for i, s in enumerate(spans):
                 if s:
                     for a, b in np.frombuffer(s, np.int32).reshape(-1, 2):
-                        # a row that repeats a doc_id can have a shorter text than the interval's
-                        keep[ranges[i] + a : min(ranges[i] + b, ranges[i + 1])] = False
+                        keep[ranges[i] + a : ranges[i] + b] = False
             edge = np.zeros(len(t.buf) + 1, np.int8)
             edge[start[keep]] += 1
             np.subtract.at(edge, end[keep] + 1, 1)
@@ -272,8 +304,10 @@ def _strip(batches):
 
 def dedup_substrings(docs: DataFrame, size: int = 20, with_text: bool = False) -> DataFrame:
     """Each document with its number of words, of removed words, the digest of what is kept (and the kept text) and the removed intervals."""
-    found = settle(repeated_spans(docs, size))
+    texts = marked(docs)
+    found = settle(repeated_spans(texts, size))
     stats = found.agg(F.count("*"), F.coalesce(F.avg(F.length("spans")), F.lit(0.0))).first()
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *([F.lit(True).alias("keep_text")] if with_text else []))
-    both = small_join(texts, found, "doc_id", "left", stats[0], 16 + int(stats[1]))
+    if with_text:
+        texts = texts.withColumn("keep_text", F.lit(True))
+    both = small_join(texts, found, ["doc_id", "mark"], "left", stats[0], 24 + int(stats[1]))
     return both.mapInArrow(_strip, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string, spans binary")
