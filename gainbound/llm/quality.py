@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from gainbound.llm import boosting
 from gainbound.llm import bytetext as bt
-from gainbound.llm.common import bounded_sample, settle
+from gainbound.llm.common import bounded_sample, integer_id, settle
 
 TRAIN_ROWS = 20_000
 PIECE = 2 << 20
@@ -97,9 +97,9 @@ def base_failed():
 
 
 def train(measured: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS) -> boosting.Ensemble:
-    """Trees for the label quality, on at most about `bound` labelled documents."""
+    """Trees for the label quality, on at most about `bound` labelled documents, one text of each doc_id."""
     known = bounded_sample(labels.where("quality is not null and doc_id is not null").groupBy("doc_id").agg(F.max("quality").alias("quality")), bound)
-    rows = measured.join(F.broadcast(known), "doc_id").select("quality", "features").toArrow()
+    rows = measured.join(F.broadcast(known), "doc_id").groupBy("doc_id").agg(F.max("quality").alias("quality"), F.min("features").alias("features")).orderBy("doc_id").toArrow()
     y = rows.column("quality").to_numpy().astype(float)
     x = np.array(rows.column("features").combine_chunks().flatten()).reshape(-1, len(FEATURES)) if len(y) else np.zeros((0, len(FEATURES)))
     return boosting.fit(x, y, MONOTONE)
@@ -107,6 +107,7 @@ def train(measured: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS) -> bo
 
 def judge(docs: DataFrame, labels: DataFrame, threshold: float = 0.5) -> DataFrame:
     """doc_id, the counts, base_failed, score (probability of good quality) and kept."""
+    integer_id(docs)
     measured = settle(measure(docs))
     trees = docs.sparkSession.sparkContext.broadcast(train(measured, labels))
     names = measured.schema.names

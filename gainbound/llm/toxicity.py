@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
-from gainbound.llm.common import bounded_sample, in_fold, settle
+from gainbound.llm.common import bounded_sample, fresh, in_fold, settle, with_judged
 
 TRAIN_ROWS = 20_000
 TERMS = 1024
@@ -28,6 +28,10 @@ FACTORS = 4
 PIECE = 2 << 20
 PREFIXES = (4, 5, 6)
 THRESHOLD = 0.3
+#: Terms must tell this share of what the luckiest of as many meaningless terms would.
+SURPRISE = 0.5
+#: Fewest texts of each label that must be set apart for choosing an epoch.
+MIN_APART = 10
 
 
 def terms(t: bt.Texts, known: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -80,32 +84,54 @@ def _telling(n: int, n_positive: int):
 
 
 def fit(doc: np.ndarray, at: np.ndarray, y: np.ndarray, known: np.ndarray, factors: int = FACTORS, epochs: int = 20, rate: float = 0.02, l2: float = 2e-5, seed: int = 5) -> Machine:
-    """Logistic loss, Adam on minibatches. doc and at: which texts hold which of the known terms."""
+    """Logistic loss, Adam on minibatches. doc and at: which texts hold which of the known terms.
+
+    An eighth of the texts is set apart, and the epoch that does best on it is kept, so that a sample's chance terms aren't learned by heart."""
     n = len(y)
     if not n or not len(known):
         return Machine(np.zeros(0, np.uint64), -40.0 if not n else float(np.log((y.sum() + 1) / (n - y.sum() + 1))), np.zeros(0), np.zeros((0, factors)))
     x = np.zeros((n, len(known)), np.uint8)
     x[doc, at] = 1
     random = np.random.default_rng(seed)
+    apart = random.random(n) < 1 / 8
+    if min(y[apart].sum(), (1 - y[apart]).sum()) < MIN_APART:
+        apart[:] = False
     theta = [np.zeros(1, np.float32), np.zeros(len(known), np.float32), random.normal(0, 0.01, (len(known), factors)).astype(np.float32)]
     m, v = [np.zeros_like(a) for a in theta], [np.zeros_like(a) for a in theta]
-    step = 0
+
+    def raw(xb: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        b, w, f = theta
+        xf = xb @ f
+        return b + xb @ w + 0.5 * ((xf**2).sum(1) - xb @ (f**2).sum(1)), xf
+
+    def loss_apart() -> float:
+        some, total = np.flatnonzero(apart), 0.0
+        for start in range(0, len(some), 4096):
+            rows = some[start : start + 4096]
+            sign = 2 * y[rows] - 1
+            total += float(np.logaddexp(0, -sign * raw(x[rows].astype(np.float32))[0]).sum())
+        return total
+
+    step, best, train_rows = 0, (np.inf, None), np.flatnonzero(~apart)
     for _ in range(epochs):
-        rows = random.permutation(n)
-        for start in range(0, n, 256):
+        rows = random.permutation(train_rows)
+        for start in range(0, len(rows), 256):
             some = rows[start : start + 256]
-            b, w, f = theta
             xb = x[some].astype(np.float32)
-            xf = xb @ f
-            raw = b + xb @ w + 0.5 * ((xf**2).sum(1) - xb @ (f**2).sum(1))
-            g = (1 / (1 + np.exp(-np.clip(raw, -40, 40))) - y[some]).astype(np.float32) / len(some)
+            guess, xf = raw(xb)
+            w, f = theta[1:]
+            g = (1 / (1 + np.exp(-np.clip(guess, -40, 40))) - y[some]).astype(np.float32) / len(some)
             grads = [np.array([g.sum()], np.float32), xb.T @ g + l2 * w, xb.T @ (g[:, None] * xf) - (xb.T @ g)[:, None] * f + l2 * f]
             step += 1
             for i, d in enumerate(grads):
                 m[i] = 0.9 * m[i] + 0.1 * d
                 v[i] = 0.999 * v[i] + 0.001 * d * d
                 theta[i] = theta[i] - rate * (m[i] / (1 - 0.9**step)) / (np.sqrt(v[i] / (1 - 0.999**step)) + 1e-8)
-    return Machine(known, float(theta[0][0]), theta[1].astype(float), theta[2].astype(float))
+        now = loss_apart() if apart.any() else -step
+        if now < best[0]:
+            best = (now, [a.copy() for a in theta])
+    bias, weight, factor = best[1] or theta
+    return Machine(known, float(bias[0]), weight.astype(float), factor.astype(float))
 
 
 def _count_terms(batches):
@@ -119,14 +145,20 @@ def _count_terms(batches):
 
 
 def train(docs: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS, size: int = TERMS) -> Machine:
-    """The machine for the label toxic, from at most about `bound` labelled documents of `docs`.
+    """The machine for the label toxic, from at most about `bound` labelled documents of `docs`, one text of each doc_id.
 
     Terms are counted and chosen in Spark; the driver gets the chosen ones' places in the sample."""
     known = labels.where("toxic is not null and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
-    sample = settle(docs.select("doc_id", "text").join(F.broadcast(bounded_sample(known, bound)), "doc_id").select("toxic", "text").where("text is not null"))
+    labelled = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(bounded_sample(known, bound)), "doc_id")
+    sample = settle(labelled.groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.min("text").alias("text")).select("toxic", "text"))
     n, positive = sample.agg(F.count("*"), F.coalesce(F.sum("toxic"), F.lit(0))).first()
     counts = sample.mapInArrow(_count_terms, "term long, present long, positive long").groupBy("term").agg(F.sum("present").alias("present"), F.sum("positive").alias("positive")).where("present >= 3")
-    best = counts.withColumn("told", _telling(n, positive)).orderBy(F.desc("told"), "term").limit(size).select("term").collect() if 0 < positive < n else []
+    best = []
+    if 0 < positive < n:
+        told = settle(counts.withColumn("told", _telling(n, positive)))
+        # the largest statistic that chance gives among so many terms that tell nothing
+        chance = 2 * float(np.log(max(2, told.count())))
+        best = told.where(F.col("told") > chance * SURPRISE).orderBy(F.desc("told"), "term").limit(size).select("term").collect()
     chosen = np.sort(np.array([r.term for r in best], np.int64).view(np.uint64))
     model = docs.sparkSession.sparkContext.broadcast(chosen)
 
@@ -157,8 +189,19 @@ def score(docs: DataFrame, machine: Machine, key: list[str]) -> DataFrame:
     return docs.select(*key, "text").mapInArrow(run, kinds + ", score double")
 
 
+def _machine(docs: DataFrame, labels: DataFrame, bound: int) -> Machine:
+    return train(docs, labels.where(~in_fold(labels, 4, 2)), bound)
+
+
+def without_toxic(docs: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS) -> DataFrame:
+    """The rows of docs whose own text scores below the threshold, as they are."""
+    model, name = docs.sparkSession.sparkContext.broadcast(_machine(docs, labels, bound)), fresh(docs.columns, "_score")
+    scored = with_judged(docs, lambda t: [pa.array(model.value.score(t))], [(name, "double")], PIECE)
+    return scored.where(F.col(name) < THRESHOLD).drop(name)
+
+
 def classify(docs: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS) -> DataFrame:
     """doc_id, held_out, score and predicted of each document; nothing is learned from held-out labels."""
-    machine = train(docs, labels.where(~in_fold(labels, 4, 2)), bound)
+    machine = _machine(docs, labels, bound)
     marked = docs.select("doc_id", "text").withColumn("held_out", in_fold(docs, 4, 2))
     return score(marked, machine, ["doc_id", "held_out"]).withColumn("predicted", (F.col("score") >= THRESHOLD).cast("int"))
