@@ -20,9 +20,10 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rates that bring the languages' expected tokens to smoothed shares, no document below 1."""
-    mixed, _, _ = mixing.mix(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"))
-    return mixed.select("doc_id", F.col("_tokens").alias("tokens"), F.col("_domain").alias("domain"), F.col("_rate").alias("rate"), F.col("_copies").alias("copies"))
+    """Nonnegative rates that bring the languages' expected tokens to smoothed shares of the present total, beside what the document's likeliest domain should have and has."""
+    mixed, model, fit = mixing.mix(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), least=0.0)
+    totals = F.create_map(*[F.lit(x) for d, want, got in zip(model.domains, fit.targets.tolist(), fit.reached.tolist(), strict=True) for x in (d, [want, got])])[F.col("_domain")]
+    return mixed.select("doc_id", F.col("_tokens").alias("tokens"), F.col("_domain").alias("domain"), F.col("_rate").alias("rate"), F.col("_copies").alias("copies"), totals[0].alias("domain_target"), totals[1].alias("domain_reached"))
 
 
 def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -28,9 +28,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
-from gainbound.llm.common import bounded_sample, fresh, settle
+from gainbound.llm.common import bounded_sample, fresh, settle, with_judged
 
 TRAIN_ROWS = 2_000
+#: Most domains: the classifier holds a row of 65,536 weights for each.
+MAX_DOMAINS = 256
 SOFT_WORDS = 24
 BUCKET_BITS = 16
 PIECE = 2 << 20
@@ -60,7 +62,9 @@ class Classifier:
 
 def train(docs: DataFrame, domain: str, bound: int = TRAIN_ROWS) -> Classifier:
     """Naive Bayes for the column `domain` on at most about `bound` labelled documents of each."""
-    labelled = docs.where(F.col(domain).isNotNull()).groupBy(domain).count().collect()
+    labelled = docs.where(F.col(domain).isNotNull()).groupBy(domain).count().limit(MAX_DOMAINS + 1).collect()
+    if len(labelled) > MAX_DOMAINS:
+        raise ValueError(f"{domain} has more than {MAX_DOMAINS} values; group them into domains")
     domains = sorted(str(r[0]) for r in labelled)
     sample = bounded_sample(docs.where(F.col(domain).isNotNull() & F.col("text").isNotNull()).select("doc_id", F.col(domain).cast("string").alias("domain"), "text"), bound, "domain")
 
@@ -169,20 +173,13 @@ def apply_rates(docs: DataFrame, model: Classifier, fit: Fit, seed: int = 17) ->
     known = docs.sparkSession.sparkContext.broadcast((model, fit))
     names = docs.columns
     tokens, domain, rate, copies = (fresh(names, c) for c in ("_tokens", "_domain", "_rate", "_copies"))
-    from pyspark.sql.pandas.types import to_arrow_schema
-
-    kinds = to_arrow_schema(docs.schema)
-
-    def run(batches):
+    def judge(t: bt.Texts) -> list[pa.Array]:
         m, f = known.value
-        for batch in batches:
-            for part in bt.pieces(batch, names.index("text"), PIECE):
-                n, p = m.posteriors(bt.texts_of(part.column(names.index("text"))))
-                yield pa.RecordBatch.from_arrays([*(c.cast(k.type) for c, k in zip(part.columns, kinds, strict=True)), pa.array(n.astype(np.int64)), pa.array([m.domains[i] for i in p.argmax(1)], pa.string()), pa.array(f.rates(p))], names=[*names, tokens, domain, rate])
+        n, p = m.posteriors(t)
+        return [pa.array(n.astype(np.int64)), pa.array([m.domains[i] for i in p.argmax(1)], pa.string()), pa.array(f.rates(p))]
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
+    out = with_judged(docs, judge, [(tokens, "long"), (domain, "string"), (rate, "double")], PIECE)
     u = F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
-    out = docs.mapInArrow(run, schema + f", {tokens} long, {domain} string, {rate} double")
     return out.withColumn(copies, (F.floor(rate) + (u < F.col(rate) - F.floor(rate)).cast("int")).cast("int"))
 
 
@@ -190,12 +187,14 @@ def mix(docs: DataFrame, domain: str = "lang", weights: dict[str, float] | None
     """The documents with their rates, and how they came about.
 
     weights: shares of the domains (by default the present ones to the power 0.7); budget: all
-    tokens after mixing (by default as few as keep every domain at rate `least`)."""
+    tokens after mixing (by default, without weights, as few as keep every domain at rate `least`, or as many as now if that is 0)."""
     model = train(docs, domain)
     k = len(model.domains)
     table = posterior_table(docs, model)
     if weights is None:
-        targets = smoothed_targets(table, k, least=max(least, 1e-9))
+        targets = smoothed_targets(table, k, least=least or 1.0)
+        if not least:
+            targets = targets / max(targets.sum(), 1e-9) * (_sums(table, k, Fit(0.0)).sum() if budget is None else budget)
     else:
         if missing := set(weights) - set(model.domains):
             raise ValueError(f"no labelled row of {sorted(missing)}")
