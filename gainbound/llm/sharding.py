@@ -24,14 +24,16 @@ from __future__ import annotations
 import bisect
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from gainbound.llm.common import settle, small_join
+from gainbound.llm.common import fresh, integer_id, settle, small_join
 
 SPLIT = 512
-RANKS = 256
+#: Rows that an interval of doc_id should have when slots are numbered, and the bounds of the number of intervals.
+RANK_ROWS, MIN_RANKS, MAX_RANKS = 1 << 18, 64, 8192
 _NULL_ID = -(1 << 63)
 
 
@@ -135,11 +137,27 @@ def plan_cuts(groups: DataFrame, shards: int) -> tuple[int, list[int]]:
 
 def slots(placed: DataFrame, order: str = "doc_id") -> DataFrame:
     """placed with `slot`: the row's number within its shard by `order`, from 0."""
-    steps = placed.agg(F.percentile_approx(order, [i / RANKS for i in range(1, RANKS)], 10_000)).first()[0] or []
-    steps = sorted(set(steps))
-    part = F.size(F.filter(F.array(*[F.lit(x) for x in steps]), lambda x: x < F.col(order))) if steps else F.lit(0)
-    placed = placed.withColumn("_part", part)
-    counts = placed.groupBy("shard", "_part").count().collect()  # at most shards * RANKS rows
+    part = parts_of(placed, order)
+    placed = placed.withColumn("_part", part(F.col(order)))
+    counts = placed.groupBy("shard", "_part").count().collect()  # at most shards * MAX_RANKS rows
+    return numbered(placed, counts, order)
+
+
+def parts_of(rows: DataFrame, order: str):
+    """A function from the column `order` to the number of its interval: about RANK_ROWS rows each."""
+    ranks = max(MIN_RANKS, min(MAX_RANKS, rows.count() // RANK_ROWS))
+    steps = rows.agg(F.percentile_approx(order, [i / ranks for i in range(1, ranks)], 10 * ranks)).first()[0] or []
+    steps = np.array(sorted(set(steps)), np.int64)
+
+    @F.pandas_udf("int")
+    def part(x: pd.Series) -> pd.Series:
+        return pd.Series(np.searchsorted(steps, x.to_numpy(), "left").astype(np.int32))
+
+    return part
+
+
+def numbered(placed: DataFrame, counts: list, order: str) -> DataFrame:
+    """placed (shard, _part) with `slot`, given the rows of each (shard, _part)."""
     offset, total = [], {}
     for s, p, n in sorted(counts):
         offset.append((s, p, total.get(s, 0)))
@@ -149,25 +167,43 @@ def slots(placed: DataFrame, order: str = "doc_id") -> DataFrame:
     return placed.withColumn("_n", within).join(F.broadcast(at), ["shard", "_part"]).withColumn("slot", F.col("_n") + F.col("_before")).drop("_n", "_part", "_before")
 
 
-def sized(docs: DataFrame) -> DataFrame:
-    """doc_id, _id (never null), size, text_crc32 and the digest of the text."""
+def sized(docs: DataFrame, *columns: str) -> DataFrame:
+    """doc_id, `columns`, _id (never null), size, text_crc32 and the digest of the text."""
     return docs.select(
-        F.col("doc_id"), F.coalesce(F.col("doc_id").cast("long"), F.lit(_NULL_ID)).alias("_id"), (F.coalesce(F.octet_length("text"), F.lit(0)) + 1).cast("long").alias("size"),
+        F.col("doc_id"), *columns, F.coalesce(F.col("doc_id").cast("long"), F.lit(_NULL_ID)).alias("_id"), (F.coalesce(F.octet_length("text"), F.lit(0)) + 1).cast("long").alias("size"),
         F.coalesce(F.crc32("text"), F.lit(0)).cast("long").alias("text_crc32"), F.coalesce(F.unhex(F.sha2("text", 256)), F.lit(b"")).alias("_digest"),
     )
 
 
-def assign_shards(docs: DataFrame, shards: int = 16) -> DataFrame:
-    """doc_id, size, text_crc32, law (`bytes`), shard, slot and grown_shard (null) of each document."""
+def assign_shards(docs: DataFrame, shards: int = 16, carry: bool = False) -> DataFrame:
+    """doc_id, size, text_crc32, law (`bytes`), shard, slot and grown_shard (null) of each document.
+
+    carry: the columns of docs come first, and the new ones have more underscores where docs has such a column. Plans are made
+    of digests; with carry the texts are shuffled once, into their shards."""
+    integer_id(docs)
     rows = settle(sized(docs))
     groups = settle(rows.groupBy("_digest").agg(F.min("_id").alias("key"), F.sum("size").alias("size"), F.count("*").alias("n")))
     _, cuts = plan_cuts(groups.groupBy("key").agg(F.sum("size").alias("size")), shards)
     n = groups.where("n > 1").count()
     # a text that stands once needs no look-up: its key is its own id
-    shared = groups.where("n > 1").select("_digest", "key")
-    keyed = small_join(rows, shared, "_digest", "left", n, 56).withColumn("key", F.coalesce("key", "_id"))
-    shard = F.lit(0)
-    for c in cuts:
-        shard = shard + (F.col("key") >= F.lit(c)).cast("int")
-    placed = settle(keyed.select("doc_id", "_id", "size", "text_crc32", shard.cast("int").alias("shard")))
-    return slots(placed, "_id").select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", F.col("slot").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
+    shared = settle(groups.where("n > 1").select("_digest", "key"))
+
+    def placed(some: DataFrame, *columns: str) -> DataFrame:
+        keyed = small_join(some, shared, "_digest", "left", n, 56).withColumn("key", F.coalesce("key", "_id"))
+        shard = F.lit(0)
+        for c in cuts:
+            shard = shard + (F.col("key") >= F.lit(c)).cast("int")
+        return keyed.select(*columns, "_id", "size", "text_crc32", shard.cast("int").alias("shard"))
+
+    own = ["size", "text_crc32", "law", "shard", "slot", "grown_shard"]
+    result = [F.col("size"), F.col("text_crc32"), F.lit("bytes"), F.col("shard"), F.col("slot").cast("long"), F.lit(None).cast("int")]
+    slim = settle(placed(rows, "doc_id"))
+    if not carry:
+        return slots(slim, "_id").select("doc_id", *(c.alias(n) for c, n in zip(result, own, strict=True)))
+    part = parts_of(slim, "_id")
+    counts = slim.withColumn("_part", part(F.col("_id"))).groupBy("shard", "_part").count().collect()
+    # the document's columns travel in one struct, so that none of their names is in the way
+    whole = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), "doc_id", "text")
+    whole = sized(whole, "_row")
+    out = numbered(placed(whole, "_row").withColumn("_part", part(F.col("_id"))), counts, "_id")
+    return out.select(*(F.col("_row")[c].alias(c) for c in docs.columns), *(c.alias(fresh(docs.columns, n)) for c, n in zip(result, own, strict=True)))
