@@ -183,6 +183,91 @@ def test_conversation_in_blocks(spark):
     assert whole[None].cost == 0 and whole[None].n_turns == 2 and whole[2].n_insert == 1
 
 
+def test_blocks_are_cut_by_rank(spark):
+    """Null and repeated turn numbers, or no conversation at all, gather nowhere; runs of blocks are reduced in turn."""
+    rows = [(None, None, ("user", "assistant", None)[i % 3], f"m{i % 50}") for i in range(700)] + [(4, 3, "user" if i % 2 else "assistant", "same") for i in range(300)] + [(5, 1, "user", "x"), (5, 2, "assistant", "y")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    whole = {r.conv_id: r for r in chat.repair_roles(df, 10_000).collect()}
+    parts = {}
+    for r in chat.repair_roles(df.repartition(7), 16, 4).orderBy("conv_id", "part").collect():
+        parts.setdefault(r.conv_id, []).append(r)
+    for k, n in ((None, 700), (4, 300), (5, 2)):
+        assert [p.part for p in parts[k]] == list(range(-(-n // 16))) and all(p.n_turns <= 16 for p in parts[k])
+        assert sum(p.n_turns for p in parts[k]) == whole[k].n_turns == n and sum(p.cost for p in parts[k]) == whole[k].cost
+    assert "".join(p.rendered for p in parts[5]) == whole[5].rendered
+
+
+def test_samples_keep_their_bound(spark):
+    """A doc_id that many rows have counts once."""
+    rows = [(1, f"word{i} vile text", "en", "s", 0) for i in range(500)] + [(2, "calm text", "en", "s", 0)]
+    labels = spark.createDataFrame([(1, 1, 0), (2, 0, 1)], "doc_id long, toxic int, quality int")
+    assert toxicity.train(frame(spark, rows), labels, bound=10).known.size <= 3
+    trees = quality.train(quality.measure(frame(spark, rows)), labels, bound=10)
+    assert np.isfinite(trees.probability(np.zeros((1, len(quality.FEATURES))))).all()
+
+
+def test_score_of_the_machine_is_the_plain_sum():
+    """Bias, weights and all pairs' inner products, term by term."""
+    texts = ["insult group word insult", "group", "", None, "Insulting groups", "calm insult"]
+    r = np.random.default_rng(2)
+    _, h = toxicity.terms(bt.texts_of(pa.array(texts, pa.string())))
+    known = np.unique(h)
+    m = toxicity.Machine(known, -0.3, r.normal(size=len(known)), r.normal(size=(len(known), 3)))
+    doc, h = toxicity.terms(bt.texts_of(pa.array(texts, pa.string())))
+    want = []
+    for i in range(len(texts)):
+        at = [int(np.searchsorted(known, x)) for x in h[doc == i]]
+        raw = m.bias + sum(m.weight[a] for a in at) + sum(float(m.factor[a] @ m.factor[b]) for a, b in itertools.combinations(at, 2))
+        want.append(1 / (1 + np.exp(-raw)))
+    assert m.score(bt.texts_of(pa.array(texts, pa.string()))) == pytest.approx(want)
+
+
+def test_terms_of_a_wide_vocabulary(spark):
+    """Some thousand words of noise don't hide the telling ones."""
+    r = np.random.default_rng(4)
+    rows, labels = [], []
+    for i in range(2400):
+        y = i % 8 == 0
+        rows.append((i, " ".join([*(f"noise{k}" for k in r.integers(0, 6000, 25)), *(["grobian"] if y else [])]), "en", "s", 0))
+        labels.append((i, int(y)))
+    got = {x.doc_id: x for x in toxicity.classify(frame(spark, rows), spark.createDataFrame(labels, "doc_id long, toxic int")).where("held_out").collect()}
+    found = [got[i].predicted for i in got if labels[i][1]]
+    alarms = [got[i].predicted for i in got if not labels[i][1]]
+    assert np.mean(found) > 0.95 and np.mean(alarms) < 0.05
+
+
+def test_distances_against_a_plain_version(spark):
+    """The out-of-place distance, gram by gram, decides the language."""
+    docs = table(spark, "/root/testdata/sf0.001", "documents")
+    known = langid.profiles(docs.where(~F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(True))))
+    judge, size = langid.Judge(known, langid.PROFILE), langid.PROFILE
+    texts = [r.text for r in docs.orderBy("doc_id").limit(60).collect()]
+    lang, _ = judge.predict(texts)
+    for text, got in zip(texts, lang, strict=True):
+        _, gram, count = langid.ngram_counts([text])
+        own = [g for _, g in sorted(zip((-count).tolist(), gram.tolist(), strict=True))][:size]
+        if not own:
+            assert got == "und"
+            continue
+        away = {name: sum(abs(grams.index(g) - k) if g in grams else size for k, g in enumerate(own)) for name, grams in known.items()}
+        assert got == min(sorted(away), key=away.get)
+
+
+def test_rates_against_dense_least_squares(spark):
+    """Expected domain totals are those of nonnegative least squares solved in one piece."""
+    docs = table(spark, "/root/testdata/sf0.001", "documents").select("doc_id", "text", "lang")
+    mixed, model, fit = mixing.mix(docs, weights={"en": 0.1, "fr": 0.5, "de": 0.2, "es": 0.2}, least=0.0)
+    rows = mixed.collect()
+    n, p = model.posteriors(bt.texts_of(pa.array([x.text for x in rows], pa.string())))
+    a, x = (p * n[:, None]).T, np.ones(len(rows))
+    size = np.linalg.eigvalsh((p * n[:, None]).T @ p)[-1]
+    for _ in range(3000):  # plain projected gradient, scaled by length as the operator is
+        x = np.maximum(0, x - p @ (a @ x - fit.targets) / size)
+    scale = fit.targets.sum()
+    assert np.abs(a @ x - fit.targets).sum() < 1e-3 * scale and np.abs(fit.reached - a @ np.array([r._rate for r in rows])).sum() < 1e-6 * scale
+    assert np.abs(fit.reached - fit.targets).sum() < 1e-3 * scale and min(r._rate for r in rows) >= 0
+
+
 def test_mixing_meets_its_targets(spark):
     docs = table(spark, "/root/testdata/sf0.01", "documents").select("doc_id", "text", "lang")
     mixed, model, fit = mixing.mix(with_clashes(docs), weights={"en": 0.4, "fr": 0.2, "de": 0.2, "es": 0.2}, budget=300_000, least=0.0)

@@ -9,12 +9,13 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from gainbound.llm import decontaminate, entries, jaccard, toxicity, warc
+from gainbound.llm import decontaminate, entries, jaccard, sharding, toxicity, warc
 from gainbound.llm.common import table
 from tests.llm.helpers import SCHEMA, corpus, frame, with_clashes
 from tests.oracle import check, connect
 
 SF = "/root/testdata/sf0.001"
+ODD_PAGES = [(8, "http://f.example", "twice"), (8, "http://f.example", "twice"), (8, None, "twice"), (7, None, "twice"), (None, "a", "none"), (None, "b", "none"), (None, None, "twice")]
 PAGES = [(1, "http://a.example/x?y=1", "<p>é</p>"), (2, "http://b.example/", "<p>é</p>"), (3, None, None), (4, "not a url [", ""), (5, "http://c.example", "long " * 50000), (6, "http://d.example", "\r\n\r\nWARC/1.1\r\n\r\n"), (None, "http://e.example", "<p>é</p>")]
 
 
@@ -37,6 +38,17 @@ def test_archives_round_trip(spark, least):
     assert sorted((tuple(r) for r in warc.archive_and_read(pages, least).collect()), key=str) == _expected(PAGES, least)
 
 
+def test_every_row_is_a_capture(spark):
+    """Repeated page_ids and rows without one: as many rows as pages, all with records of their own."""
+    pages = spark.createDataFrame(ODD_PAGES, "page_id long, url string, html string").repartition(3)
+    got = warc.archive_and_read(pages).collect()
+    assert sorted((tuple(r) for r in got), key=str) == _expected(ODD_PAGES, 0)
+    records = warc.read_records(warc.write_archives(pages))
+    assert records.count() == records.select("record_id").distinct().count() == 3 * len(ODD_PAGES)
+    with pytest.raises(TypeError):
+        warc.archive_and_read(pages.withColumn("page_id", F.col("page_id").cast("string")))
+
+
 def test_payloads_and_captures_survive(spark):
     pages = spark.createDataFrame(PAGES[:6], "page_id long, url string, html string")
     archives = warc.write_archives(pages, archive_bytes=1)
@@ -115,3 +127,27 @@ def test_pipeline_stages_on_odd_tables(spark):
         assert stage(spark, spark.createDataFrame([], SCHEMA), SF).count() == 0
     kept = corpus_pipeline.keep_one_of_near_duplicates(spark, frame(spark, rows), SF)
     assert kept.where("doc_id = 0").count() == 1 and kept.where("doc_id is null").count() == 1
+
+
+def test_rows_are_judged_by_their_own_text(spark):
+    """A clean text that shares the doc_id of a toxic or contaminated one stays, and a row without a doc_id is judged too."""
+    toxic, clean = "vile " * 12, "plain words about the harbour and its boats in spring"
+    rows = [(i, toxic + f"w{i}" if i % 2 else clean + f" w{i}", "en", "s", 0) for i in range(400)]
+    labels = spark.createDataFrame([(i, i % 2) for i in range(400)], "doc_id long, toxic int")
+    odd = [(1, clean, "en", "x", 7), (None, toxic, "en", "x", 8), (1, toxic, "en", "x", 9)]
+    kept = {(r.doc_id, r.text) for r in toxicity.without_toxic(with_clashes(frame(spark, rows + odd)), labels).where("source = 'x'").collect()}
+    assert kept == {(1, clean)}
+    item = " ".join(f"q{i}" for i in range(13))
+    benchmark = spark.createDataFrame([(1, item)], "item_id long, text string")
+    odd = [(1, clean, "en", "x", 7), (None, item, "en", "x", 8), (1, item + " more", "en", "x", 9), (2, None, "en", "x", 1)]
+    kept = {(r.doc_id, r.text) for r in decontaminate.without_contaminated(with_clashes(frame(spark, odd)), benchmark).collect()}
+    assert kept == {(1, clean), (2, None)}
+
+
+def test_pipeline_keeps_the_corpus(spark):
+    docs = frame(spark, corpus(30))
+    out = corpus_pipeline.cut_shards(spark, with_clashes(docs), SF)
+    assert out.columns == [*with_clashes(docs).columns, "_size", "text_crc32", "law", "_shard", "_slot", "grown_shard"]
+    assert sorted(map(str, out.select("doc_id", "text", "lang").collect())) == sorted(map(str, docs.select("doc_id", "text", "lang").collect()))
+    plain = {(r.doc_id, r.text_crc32, r.shard) for r in sharding.assign_shards(docs, 16).collect()}
+    assert plain == {(r.doc_id, r.text_crc32, r._shard) for r in out.collect()}

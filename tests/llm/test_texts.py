@@ -84,6 +84,14 @@ def test_repeated_rows_do_not_remove_each_other(spark):
     assert substrings.dedup_substrings(frame(spark, [])).count() == 0
 
 
+def test_texts_that_share_a_doc_id_are_told_apart(spark):
+    w, u = " ".join(f"w{i}" for i in range(60)), " ".join(f"u{i}" for i in range(60))
+    got = substrings.dedup_substrings(frame(spark, [(1, w, "en", "s", 0), (2, w, "en", "s", 0), (2, u, "en", "s", 0), (3, u, "en", "s", 0), (None, u, "en", "s", 0)]), with_text=True).collect()
+    assert sorted((str(r.doc_id), r.n_words, r.n_removed, r.kept_text) for r in got) == [("1", 60, 0, w), ("2", 60, 0, u), ("2", 60, 60, ""), ("3", 60, 60, ""), ("None", 60, 0, u)]
+    with pytest.raises(TypeError):
+        substrings.dedup_substrings(frame(spark, []).withColumn("doc_id", F.col("doc_id").cast("string")))
+
+
 @settings(max_examples=40, deadline=None)
 @given(st.lists(st.integers(0, 3), max_size=60), st.integers(1, 4), st.integers(0, 10**6))
 def test_index_finds_what_is_there(symbols, length, seed):
@@ -170,6 +178,7 @@ def brute_classes(rows, size=5, threshold=0.8):
 @pytest.mark.parametrize("block", [384, 3])
 def test_similarity_classes_are_exact(spark, block, monkeypatch):
     monkeypatch.setattr(jaccard, "BLOCK_TEXTS", block)
+    monkeypatch.setattr(jaccard, "BLOCK_MEMBERS", block)
     rows, r = corpus(60, seed=6), random.Random(7)
     for k in range(12):
         words = rows[k][1].split()
@@ -189,6 +198,34 @@ def test_bands_reach_the_recall():
         assert bands * rows <= jaccard.HASHES and 1 - (1 - threshold**rows) ** bands >= recall
 
 
+def test_a_shared_passage_ties_nothing(spark):
+    """Texts that share 30 of 60 words agree on bands, but none is near another."""
+    r = random.Random(3)
+    shared = " ".join(f"common{i}" for i in range(30))
+    rows = [(i, shared + " " + " ".join(f"own{i}x{r.randrange(10**6)}" for _ in range(30)), "en", "s", 0) for i in range(1500)]
+    twin = rows[7][1].split()
+    twin[45] = "changed"
+    rows.append((5000, " ".join(twin), "en", "s", 0))
+    bands, size = jaccard.bands_for(jaccard.THRESHOLD, jaccard.RECALL)
+    keyed = jaccard._keyed(frame(spark, rows))
+    nodes = keyed.select("node", "id", "text").mapInArrow(jaccard._sign(bands, size, 5), "node binary, id long, bytes long, bands array<long>, " + jaccard._PLANES_SQL).cache()
+    shared_keys = nodes.select(F.explode("bands").alias("k")).groupBy("k").count().where("count > 10").count()
+    near = jaccard.components(jaccard.ties(nodes, jaccard.agreement_for(jaccard.THRESHOLD, bands * size) + 192 - bands * size, 8))
+    assert shared_keys > 0 and near.count() == 2
+    got = {x.doc_id: x for x in jaccard.similarity_classes(frame(spark, rows)).collect()}
+    assert got[5000].class_id == 7 and got[7].n_links == 1 and sum(x.n_links for x in got.values()) == 2
+
+
+def test_one_of_each_judges_rows(spark):
+    text, other = " ".join(f"a{i}" for i in range(30)), " ".join(f"b{i}" for i in range(30))
+    near = text.replace("a29", "zz")
+    rows = [(5, text, "en", "x", 0), (3, near, "en", "x", 0), (5, other, "en", "y", 0), (3, near, "fr", "z", 1), (None, text, "en", "x", 0), (None, None, "en", "n", 0), (None, None, "en", "n", 0), (9, "", "en", "e", 0), (10, "", "en", "e", 0)]
+    kept = sorted(((x.doc_id, x.text) for x in jaccard.one_of_each(with_clashes(frame(spark, rows))).collect()), key=str)
+    assert kept == sorted([(3, near), (5, other), (None, None), (None, None), (9, "")], key=str)
+    with pytest.raises(TypeError):
+        jaccard.similarity_classes(frame(spark, rows).withColumn("doc_id", F.col("doc_id").cast("string")))
+
+
 def test_components_of_a_path_and_a_star(spark):
     edges = [(i + 1, i) for i in range(40)] + [(100 + i, 100) for i in range(1, 50)]
     got = {r.node: r.root for r in jaccard.components(spark.createDataFrame(edges, "node int, root int")).collect()}
