@@ -2,8 +2,9 @@
 
 Each stage takes (spark, docs, sf_dir) and works on all that the stage before it kept. The first four
 return the columns of documents; the last adds the shard and slot of each row. Rows are lost only by a
-stage's own decision: toxic documents, documents of a group of near duplicates other than
-its smallest doc_id, and contaminated ones. Mixing repeats rows and drops none.
+stage's own decision about their own text: toxic documents, documents of a group of near duplicates other than
+the one with its smallest doc_id, and contaminated ones. A null or repeated doc_id changes nothing in that. Mixing repeats rows and drops none.
+An empty table passes as an empty table; extra columns go through.
 """
 
 from __future__ import annotations
@@ -14,41 +15,26 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gainbound.llm import decontaminate, jaccard, mixing, sharding, toxicity
-from gainbound.llm.common import fresh, settle, shared_dir, small_join, table
-
-
-def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
-    """docs without the rows whose doc_id is in gone; rows without a doc_id stay."""
-    gone = settle(gone.select("doc_id").distinct())
-    return small_join(docs, gone, "doc_id", "left_anti", gone.count(), 16)
+from gainbound.llm.common import fresh, shared_dir, table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the factorisation machine scores below the threshold."""
-    judged = toxicity.classify(docs, table(spark, sf_dir, "labels"))
-    return _without(docs, judged.where("predicted = 1"))
+    """Documents whose text the factorisation machine scores below the threshold; a null or empty text is scored by the bias alone."""
+    return toxicity.without_toxic(docs, table(spark, sf_dir, "labels"))
 
 
 def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest doc_id of each class of near duplicates, once."""
-    classes = settle(jaccard.similarity_classes(docs).where("doc_id is not null"))
-    kept = _without(docs, classes.where("class_id <> doc_id"))
-    twice = settle(classes.where("class_id = doc_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
-    n = twice.count()
-    if not n:
-        return kept
-    single = small_join(kept, twice, "doc_id", "left_semi", n, 16).dropDuplicates(["doc_id"])
-    return _without(kept, twice).unionByName(single)
+    """One document of each class of near duplicates, that with the smallest doc_id (rows without one last); null texts stay."""
+    return jaccard.one_of_each(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of which benchmark phrases cover less than a twentieth."""
-    found = decontaminate.contamination(docs, table(spark, sf_dir, "benchmark"))
-    return _without(docs, found.where(decontaminate.is_contaminated()))
+    """Documents of which benchmark phrases cover less than a twentieth; null and empty texts stay."""
+    return decontaminate.without_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mix_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents repeated by rates that bring the languages' expected tokens to smoothed shares."""
+    """Documents repeated by rates, each at least 1, that bring the languages' expected tokens to smoothed shares; texts without words stay once."""
     mixed, _, _ = mixing.mix(docs)
     copies = fresh(docs.columns, "_copies")
     again = fresh([*docs.columns, *mixed.columns], "_again")
@@ -56,8 +42,8 @@ def mix_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def cut_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, size, text_crc32, law, shard, slot and grown_shard of each row; rows of equal texts share a shard."""
-    return sharding.assign_shards(docs, 16)
+    """The documents with size, text_crc32, law, shard, slot and grown_shard; rows of equal texts share a shard. A null text has no bytes."""
+    return sharding.assign_shards(docs, 16, carry=True)
 
 
 STAGES = [
@@ -68,7 +54,7 @@ STAGES = [
     ("sharding", cut_shards),
 ]
 
-#: Two stages apply trained models, which SQL can't express; tests compare with brute force.
+#: Two stages apply trained models, which SQL can't express; tests compare each stage with a plain version of it.
 ORACLE_SQL = None
 
 
