@@ -197,7 +197,7 @@ def _grid(blocks, salt, parts: int):
     """Struct i, j, at for each pair of blocks that a row of block `_block` belongs to; at deals the pairs of one group evenly over the tasks."""
     i, j = F.least("_block", "_k"), F.greatest("_block", "_k")
     pair = i * (2 * blocks - i - 1) / F.lit(2) + j
-    return i.cast("int").alias("i"), j.cast("int").alias("j"), F.pmod(F.xxhash64(salt) + pair.cast("long"), F.lit(parts)).cast("int").alias("at")
+    return i.cast("int").alias("i"), j.cast("int").alias("j"), F.pmod(F.pmod(F.xxhash64(salt), F.lit(parts)) + pair.cast("long"), F.lit(parts)).cast("int").alias("at")
 
 
 def ties(nodes: DataFrame, limit: int, parts: int) -> DataFrame:
@@ -214,7 +214,8 @@ def ties(nodes: DataFrame, limit: int, parts: int) -> DataFrame:
     n_open = far.count()
     if not n_open:
         return direct
-    split = lambda n: F.when(F.col(n) <= BLOCK_MEMBERS, 1).otherwise(F.ceil(F.col(n) / BLOCK_MEMBERS)).cast("int")
+    # blocks grow with the bucket, so that a few large buckets still make many blocks to deal
+    split = lambda n: F.ceil(F.col(n) / F.least(F.greatest(2 * F.sqrt(n), F.lit(64)), F.lit(BLOCK_MEMBERS))).cast("int")
     wide = small_join(against.drop("root"), far, "key", "inner", n_open, 16).withColumn("_all", split("n")).withColumn("_far", split("n_far"))
     hashed = F.xxhash64("node")
     # a task has one block of far members and one block of all: a far member goes to all blocks, and every member to all blocks of far ones
@@ -222,7 +223,7 @@ def ties(nodes: DataFrame, limit: int, parts: int) -> DataFrame:
     as_far = F.when(~F.col("near"), F.transform(F.sequence(F.lit(0), F.col("_all") - 1), lambda k: F.struct((spot * F.col("_all") + k).alias("cell"), F.lit(True).alias("is_far"), F.lit(False).alias("is_any")))).otherwise(F.array())
     as_any = F.transform(F.sequence(F.lit(0), F.col("_far") - 1), lambda k: F.struct((k * F.col("_all") + own).alias("cell"), F.lit(False).alias("is_far"), F.lit(True).alias("is_any")))
     cells = wide.withColumn("c", F.explode(F.concat(as_far, as_any))).select("key", F.col("c.cell").alias("cell"), "node", F.col("c.is_far").alias("is_far"), F.col("c.is_any").alias("is_any"), *PLANES)
-    dealt = cells.withColumn("at", F.pmod(F.xxhash64("key") + F.col("cell"), F.lit(parts)).cast("int")).repartitionById(parts, "at").drop("at")
+    dealt = cells.withColumn("at", F.pmod(F.pmod(F.xxhash64("key"), F.lit(parts)) + F.col("cell"), F.lit(parts)).cast("int")).repartitionById(parts, "at").drop("at")
     met = dealt.sortWithinPartitions("key", "cell").mapInArrow(_meet(limit), "node binary, root binary")
     return direct.union(met)
 
