@@ -6,7 +6,7 @@ import math
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -68,6 +68,20 @@ def hilbert_keys(points: np.ndarray, bits: int) -> np.ndarray:
     return key
 
 
+def keys_of_grid(spark: SparkSession, axes: list[str], domains: list[tuple[int, int]], bits: int, name: str) -> DataFrame:
+    """Every point of small domains with its Hilbert key `name`."""
+    points, rest = [], F.col("id")
+    for x, (lo, hi) in reversed(list(zip(axes, domains, strict=True))):
+        width = hi - lo + 1
+        points.append((F.pmod(rest, F.lit(width)) + lo).cast("int").alias(x))
+        rest = F.floor(rest / width)
+    n = 1
+    for lo, hi in domains:
+        n *= hi - lo + 1
+    grid = spark.range(n).select(*reversed(points))
+    return grid.withColumn(name, hilbert_expr([grid_expr(F.col(x), lo, hi, bits) for x, (lo, hi) in zip(axes, domains, strict=True)], bits))
+
+
 def hilbert_expr(axes: list[Column], bits: int) -> Column:
     """Hilbert key as an Arrow-batched function of the axes."""
 

@@ -8,7 +8,19 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from gainbound.operators.perturb import Randomiser, reconstruct
+from gainbound.operators.settle import settle
+
 FLOOR = 1e-12
+#: Share of rows that a round of the exchangeable assignment may still change when it is called done, and most rounds.
+STOP, ROUNDS = 0.001, 60
+#: Most rows of the small tables that go to every task.
+MAX_SMALL = 1 << 20
+
+
+def small(df: DataFrame) -> DataFrame:
+    """df for a broadcast, if it has at most MAX_SMALL rows; a larger one is joined by a shuffle."""
+    return F.broadcast(df) if df.limit(MAX_SMALL + 1).count() <= MAX_SMALL else df
 
 
 def marginals(encoded: DataFrame, axes: list[str], weight: Column | None = None) -> DataFrame:
@@ -20,37 +32,50 @@ def marginals(encoded: DataFrame, axes: list[str], weight: Column | None = None)
 
 def conditionals(marginal: DataFrame, prior: DataFrame) -> DataFrame:
     """axis, value, sa and cond = n / prior_n."""
-    return marginal.join(F.broadcast(prior.select("sa", "prior_n")), "sa").select("axis", "value", "sa", (F.col("n") / F.col("prior_n")).alias("cond"))
+    overall = prior.select(F.col("sa").alias("_sa"), "prior_n")
+    return marginal.join(F.broadcast(overall), F.col("sa").eqNullSafe(F.col("_sa"))).select("axis", "value", "sa", (F.col("n") / F.col("prior_n")).alias("cond"))
+
+
+def reconstructed_marginals(published: DataFrame, axes: list[str], r: Randomiser) -> DataFrame:
+    """The marginals behind randomised rows: each value's counts reconstructed, negative ones set to 0."""
+    kind = published.schema["sa"].dataType.simpleString()
+    seen = marginals(published, axes).withColumnRenamed("n", "e")
+    return reconstruct(seen, r, ["axis", "value"], kind).select("axis", "value", "sa", F.greatest("n_hat", F.lit(0.0)).alias("n"))
 
 
 def box_marginals(published: DataFrame, axes: list[str], domains: list[tuple[int, int]]) -> DataFrame:
     """Rows of each sensitive value in groups whose box covers a value of an axis. published: (ec, sa, n, boxes).
 
-    Boxes that share an interval on an axis are first summed, so that the join with an axis's values sees distinct intervals only."""
-    spark, out = published.sparkSession, None
-    for i, (x, (lo, hi)) in enumerate(zip(axes, domains, strict=True)):
-        distinct = published.groupBy(f"{x}_lo", f"{x}_hi", "sa").agg(F.sum("n").alias("n"))
-        values = F.broadcast(spark.range(lo, hi + 1).withColumnRenamed("id", "value"))
-        part = distinct.join(values, F.col("value").between(F.col(f"{x}_lo"), F.col(f"{x}_hi"))).groupBy("value", "sa").agg(F.sum("n").alias("n")).select(F.lit(i + 1).alias("axis"), "value", "sa", "n")
-        out = part if out is None else out.union(part)
-    return out
+    An interval adds its rows where it begins and takes them away after its end; a running sum over an axis's values, of which
+    only those where something begins or ends are held, gives the counts between. No interval is compared with any value."""
+    steps = []
+    for i, x in enumerate(axes):
+        lo, hi = domains[i]
+        steps += [F.struct(F.lit(i + 1).alias("axis"), F.col(f"{x}_lo").cast("long").alias("at"), F.col("n").alias("d")), F.struct(F.lit(i + 1).alias("axis"), (F.col(f"{x}_hi").cast("long") + 1).alias("at"), (-F.col("n")).alias("d"))]
+    edges = published.select("sa", F.explode(F.array(*steps)).alias("s")).groupBy("sa", F.col("s.axis").alias("axis"), F.col("s.at").alias("at")).agg(F.sum("s.d").alias("d"))
+    # one axis and sensitive value: at most as many rows as the axis has values
+    w = Window.partitionBy("axis", "sa").orderBy("at")
+    runs = edges.select("axis", "sa", "at", F.sum("d").over(w).alias("n"), F.lead("at").over(w).alias("next")).where("n > 0 and next is not null")
+    return runs.select("axis", F.explode(F.sequence(F.col("at"), F.col("next") - 1)).alias("value"), "sa", "n")
 
 
 def bayes_predict(cells: DataFrame, axes: list[str], cond: DataFrame, prior: DataFrame) -> DataFrame:
     """The most probable sensitive value of each distinct combination of coordinates: axes and guess; ties go to the smallest value."""
     spots = cells.select(*axes).distinct()
+    # spots x values of the domain: each spot is scored for each value
     scored = spots.crossJoin(F.broadcast(prior.select("sa", F.ln("p").alias("score"))))
+    cond = settle(cond)
     for i, x in enumerate(axes):
         c = cond.where(F.col("axis") == i + 1).select(F.col("value").alias(f"_v{i}"), F.col("sa").alias(f"_s{i}"), "cond")
-        scored = scored.join(F.broadcast(c), (F.col(x) == F.col(f"_v{i}")) & (F.col("sa") == F.col(f"_s{i}")), "left").withColumn("score", F.col("score") + F.ln(F.greatest(F.coalesce("cond", F.lit(0.0)), F.lit(FLOOR)))).drop("cond", f"_v{i}", f"_s{i}")
+        scored = scored.join(small(c), (F.col(x) == F.col(f"_v{i}")) & F.col("sa").eqNullSafe(F.col(f"_s{i}")), "left").withColumn("score", F.col("score") + F.ln(F.greatest(F.coalesce("cond", F.lit(0.0)), F.lit(FLOOR)))).drop("cond", f"_v{i}", f"_s{i}")
     # rounded, so that scores equal but for the order of additions tie
-    best = F.max(F.struct(F.round("score", 9).alias("score"), (-F.col("sa")).alias("minus")))
-    return scored.groupBy(*axes).agg(best.alias("b")).select(*axes, (-F.col("b.minus")).cast("int").alias("guess"))
+    best = F.min(F.struct((-F.round("score", 9)).alias("behind"), F.col("sa").alias("guess")))
+    return scored.groupBy(*axes).agg(best.alias("b")).select(*axes, F.col("b.guess").alias("guess"))
 
 
 def success(cells: DataFrame, axes: list[str], guesses: DataFrame) -> DataFrame:
     """Share of rows whose sensitive value is guessed. cells: (axes, sa, n)."""
-    return cells.join(guesses, axes).agg((F.sum(F.when(F.col("sa") == F.col("guess"), F.col("n")).otherwise(0)) / F.sum("n")).alias("success"), F.sum("n").alias("n_rows"))
+    return cells.join(guesses, axes).agg((F.sum(F.when(F.col("sa").eqNullSafe(F.col("guess")), F.col("n")).otherwise(0)) / F.sum("n")).alias("success"), F.sum("n").alias("n_rows"))
 
 
 def laplace(u: Column, scale: float) -> Column:
@@ -66,69 +91,77 @@ def noisy(marginal: DataFrame, epsilon: float, n_axes: int, seed: int = 3) -> Da
     return marginal.select("axis", "value", "sa", F.greatest(F.col("n") + laplace(u, n_axes / epsilon), F.lit(0.1)).alias("n"))
 
 
-def _reassign(model, axes: list[str], values: list, names: list[str]):
+def _reassign(model, axes: list[str], names: list[str]):
     """A group's values given to its rows, best score first, each as often as the group has it."""
 
     def again(pdf: pd.DataFrame) -> pd.DataFrame:
-        table, size = model.value
+        table, prior = model.value
         pdf = pdf.sort_values("row_key").reset_index(drop=True)
-        score = np.log(size / size.sum())[None, :].repeat(len(pdf), 0)
-        for i, x in enumerate(axes):
-            for value in pdf[x].unique():
-                c = np.array([table.get((i + 1, int(value), v), 0) for v in values]) / np.maximum(size, 1)
-                score[pdf[x].to_numpy() == value] += np.log(np.maximum(c, FLOOR))
-        left = pdf["sa"].value_counts()
-        room = np.array([left.get(v, 0) for v in values])
-        given = np.empty(len(pdf), object)
-        free = np.ones(len(pdf), bool)
-        for at in np.argsort(-score, axis=None, kind="stable"):
-            r, v = divmod(int(at), len(values))
-            if free[r] and room[v]:
-                given[r], free[r] = values[v], False
+        own, room = np.unique(pdf["code"].to_numpy(), return_counts=True)
+        score = np.tile(prior[own], (len(pdf), 1))
+        for x, (seen, cond) in zip(axes, table, strict=True):
+            score += cond[np.searchsorted(seen, pdf[x].to_numpy())][:, own]
+        given, free = np.empty(len(pdf), np.int64), np.ones(len(pdf), bool)
+        room, width = room.tolist(), len(own)
+        left = len(pdf)
+        for at in np.argsort(-score, axis=None, kind="stable").tolist():
+            r, v = divmod(at, width)
+            if room[v] and free[r]:
+                given[r], free[r] = own[v], False
                 room[v] -= 1
-                if not free.any():
+                left -= 1
+                if not left:
                     break
-        return pdf.assign(given=given.astype(pdf["sa"].dtype))[names]
+        return pdf.assign(moved=(given != pdf["given"]).astype(np.int64), given=given)[names]
 
     return again
 
 
-def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = 20, seed: int = 5, stop: float = 0.001) -> tuple[float, float, int, float]:
+def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed: int = 5, stop: float = STOP) -> tuple[float, float, int, float]:
     """Assigns each group's sensitive values to its rows by an evolving naive Bayes model.
 
     rows: row_key, axes, sa, ec, where sa is used as each group's multiset and, at the end, as the truth. Returns the
     success rate, that of random assignment, the rounds taken and the share of rows that the last one changed, which is
-    above `stop` if the attack was cut. A group is a task's unit; the model is a small table."""
+    above `stop` if the attack was cut. A group is a task's unit; the model, axes' values by sensitive values, is a small table."""
     from gainbound.operators.model import domain
-    from gainbound.operators.settle import settle
 
-    values = sorted(v for v, _ in domain(rows, "sa"))
-    kinds = T.StructType([f for f in rows.schema.fields if f.name in ("row_key", "ec", "sa", *axes)] + [T.StructField("given", rows.schema["sa"].dataType)])
+    values = [v for v, _ in sorted(domain(rows, "sa"), key=lambda x: (x[0] is None, x[0]))]
+    spark, kind = rows.sparkSession, rows.schema["sa"].dataType.simpleString()
+    codes = spark.createDataFrame([(v, i) for i, v in enumerate(values)], f"_sa {kind}, code long")
+    coded = rows.select("row_key", *axes, "ec", "sa").join(F.broadcast(codes), F.col("sa").eqNullSafe(F.col("_sa"))).select("row_key", *axes, "ec", "code")
+    kinds = T.StructType([*coded.schema.fields, T.StructField("given", T.LongType()), T.StructField("moved", T.LongType())])
     names = [f.name for f in kinds.fields]
 
     def first(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("row_key")
         random = np.random.default_rng([seed, int(pdf["ec"].iloc[0])])
-        return pdf.assign(given=random.permutation(pdf["sa"].to_numpy()))[names]
+        return pdf.assign(given=random.permutation(pdf["code"].to_numpy()), moved=1)[names]
 
-    sc = rows.sparkSession.sparkContext
     # settled in each round: plans of rounds on top of each other would be planned ever longer
-    state = settle(rows.select("row_key", *axes, "sa", "ec").groupBy("ec").applyInPandas(first, kinds))
+    state = settle(coded.groupBy("ec").applyInPandas(first, kinds))
     total = state.count()
-    taken, changed = 0, 0
-    for taken in range(1, rounds + 1):
-        counts = marginals(state.select(*axes, F.col("given").alias("sa")), axes).collect()  # axes' domains x values
-        table = {(r.axis, r.value, r.sa): r.n for r in counts}
-        size = np.array([sum(r.n for r in counts if r.axis == 1 and r.sa == v) for v in values], float)
-        again = _reassign(sc.broadcast((table, size)), axes, values, names)
-        new = settle(state.groupBy("ec").applyInPandas(again, kinds))
-        changed = new.alias("a").join(state.alias("b"), "row_key").where("a.given <> b.given").count()
-        state = new
-        if changed <= stop * total:
-            break
-    hit = state.agg(F.avg((F.col("given") == F.col("sa")).cast("double"))).first()[0]
+    taken, changed = 0, total
+    while taken < rounds and changed > stop * total:
+        taken += 1
+        counts = marginals(state.select(*axes, F.col("given").alias("sa")), axes).limit(MAX_SMALL + 1).collect()  # axes' domains x values
+        if len(counts) > MAX_SMALL:
+            raise ValueError("the axes have too many values for a model; coarsen them")
+        size = np.zeros(len(values))
+        table = []
+        for i in range(len(axes)):
+            own = [(r.value, r.sa, r.n) for r in counts if r.axis == i + 1]
+            seen = np.unique(np.array([v for v, _, _ in own], np.int64))
+            n = np.zeros((len(seen), len(values)))
+            n[np.searchsorted(seen, [v for v, _, _ in own]), [c for _, c, _ in own]] = [k for _, _, k in own]
+            size = n.sum(0)
+            table.append((seen, n))
+        table = [(seen, np.log(np.maximum(n / np.maximum(size, 1), FLOOR))) for seen, n in table]
+        model = spark.sparkContext.broadcast((table, np.log(np.maximum(size, 1) / size.sum())))
+        state = settle(state.groupBy("ec").applyInPandas(_reassign(model, axes, names), kinds))
+        changed = state.agg(F.sum("moved")).first()[0]
+    hit = state.agg(F.avg((F.col("given") == F.col("code")).cast("double"))).first()[0]
     per = Window.partitionBy("ec")
-    q = state.groupBy("ec", "sa").agg(F.count("*").alias("n")).withColumn("size", F.sum("n").over(per))
+    q = state.groupBy("ec", "code").agg(F.count("*").alias("n")).withColumn("size", F.sum("n").over(per))
     chance = q.agg((F.sum(F.col("n") * F.col("n") / F.col("size")) / F.sum("n"))).first()[0]
     return float(hit), float(chance), taken, changed / max(1, total)
 
@@ -140,6 +173,18 @@ def corruption(hist: DataFrame, known: int) -> DataFrame:
     return top.select("ec", "size", (F.col("n_max") / F.col("size")).alias("before"), (F.col("n_max") / rest).alias("after"))
 
 
+def corruption_randomised(r: Randomiser, counts: dict, known: int) -> list[tuple]:
+    """Per published value: the posterior that it is the true one, before and after `known` rows of other values are learned, and whether the bound holds."""
+    total = sum(counts.values())
+    pull = sum(counts[v] * o for v, o in zip(r.values, r.off, strict=True))
+    out = []
+    for v, keep, off, f in zip(r.values, r.keep, r.off, r.f, strict=True):
+        own, others = counts[v] * keep, pull - counts[v] * off
+        rest = others * max(total - counts[v] - known, 0) / (total - counts[v])
+        out.append((v, own / (own + others), own / (own + rest), own / (own + others) <= f + 1e-9))
+    return out
+
+
 def composition(first: DataFrame, second: DataFrame) -> DataFrame:
     """Rows by how many sensitive values two releases of them leave possible. Both: (row_key, ec, sa)."""
     sets = [r.groupBy("ec").agg(F.collect_set("sa").alias("s")) for r in (first, second)]
@@ -151,6 +196,12 @@ def composition(first: DataFrame, second: DataFrame) -> DataFrame:
 def linkage(people: DataFrame, published: DataFrame, axis: str) -> DataFrame:
     """Candidates of each person by containment of a public attribute in the boxes. people: (person, value); published: (ec, size, boxes).
 
-    Boxes are first summed by interval, of which an axis has few."""
-    distinct = published.groupBy(f"{axis}_lo", f"{axis}_hi").agg(F.sum("size").alias("size"), F.count("*").alias("groups"))
-    return people.join(F.broadcast(distinct), F.col("value").between(F.col(f"{axis}_lo"), F.col(f"{axis}_hi")), "left").groupBy("person").agg(F.coalesce(F.sum("size"), F.lit(0)).alias("candidates"), F.coalesce(F.sum("groups"), F.lit(0)).alias("groups"))
+    Boxes become running sums over the axis's values, and a person looks up its own value."""
+    lo, hi = F.col(f"{axis}_lo").cast("long"), F.col(f"{axis}_hi").cast("long")
+    steps = F.array(F.struct(lo.alias("at"), F.col("size").alias("d"), F.lit(1).alias("g")), F.struct((hi + 1).alias("at"), (-F.col("size")).alias("d"), F.lit(-1).alias("g")))
+    edges = published.select(F.explode(steps).alias("s")).groupBy(F.col("s.at").alias("at")).agg(F.sum("s.d").alias("d"), F.sum("s.g").alias("g"))
+    # one row for each value of the axis at which a box begins or ends
+    w = Window.partitionBy(F.lit(0)).orderBy("at")
+    runs = edges.select("at", F.sum("d").over(w).alias("candidates"), F.sum("g").over(w).alias("groups"), F.lead("at").over(w).alias("next")).where("groups > 0 and next is not null")
+    by_value = runs.select(F.explode(F.sequence(F.col("at"), F.col("next") - 1)).alias("value"), "candidates", "groups")
+    return people.join(by_value, "value", "left").select("person", F.coalesce("candidates", F.lit(0)).cast("long").alias("candidates"), F.coalesce("groups", F.lit(0)).cast("long").alias("groups"))

@@ -7,12 +7,17 @@ needs an order of each bucket's rows along a space-filling curve:
   key cut each bucket into blocks, block counts give offsets, and a window ranks within a block, never within a bucket.
   A row then finds its group by walking the tree, so nothing is joined.
 * `curve`, `euclid` and `cosplit` cut the rows into shards by the top of the same tree, and fill each shard's
-  groups by a greedy or recursive search in one task. Sizes, and so the guarantee, are the same.
+  groups by a greedy or recursive search in one task. A shard that is a leaf already needs no search and gathers nowhere,
+  however large it is. Sizes, and so the guarantee, are the same.
+
+What is drawn at random (the order of the groups, and the row that each grows around) comes from hashes of the seed and the
+group's number: a retried task draws the same, and so does anyone who repeats the release elsewhere.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import hashlib
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
@@ -20,16 +25,19 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from gainbound.functions.curves import bits_for, curve_expr, grid_expr
+from gainbound.functions.curves import bits_for, curve_expr, grid_expr, keys_of_grid
 from gainbound.operators.model import MAX_DOMAIN
 from gainbound.operators.settle import settle
 from gainbound.plans import sizetree
 from gainbound.plans.buckets import Plan, plan_buckets
 from gainbound.plans.spec import CATEGORICAL, ReleaseSpec
 
-#: Blocks of a bucket's key range in distributed ranking, and parts of a single frequent key.
-BLOCKS, KEY_PARTS = 256, 16
-SHARD_ROWS = 1_000_000
+#: Rows of a block of the key range in distributed ranking, and the bounds of the number of blocks.
+BLOCK_ROWS, MIN_BLOCKS, MAX_BLOCKS = 1 << 17, 16, 4096
+#: Most rows that one task searches, along a curve and (quadratically) by true distances.
+SHARD_ROWS, EUCLID_ROWS = 1 << 17, 1 << 16
+#: Grids of at most so many cells get their Hilbert keys cell by cell, and rows look them up.
+GRID_CELLS = 1 << 19
 
 
 def encode(df: DataFrame, spec: ReleaseSpec) -> DataFrame:
@@ -63,11 +71,15 @@ def bucket_expr(values: dict, sa: Column) -> Column:
 
 def survey(encoded: DataFrame, spec: ReleaseSpec) -> tuple[list[tuple], list[tuple[int, int]]]:
     """Counts of the sensitive values and the axes' domains, in one pass."""
-    rows = encoded.groupBy("sa").agg(F.count("*").alias("n"), *(f(x) for x in spec.axes for f in (F.min, F.max))).limit(MAX_DOMAIN + 1).collect()
+    missing = [F.sum(F.col(x).isNull().cast("int")) for x in spec.axes]
+    rows = encoded.groupBy("sa").agg(F.count("*").alias("n"), *(f(x) for x in spec.axes for f in (F.min, F.max)), *missing).limit(MAX_DOMAIN + 1).collect()
     if len(rows) > MAX_DOMAIN:
         raise ValueError(f"{spec.sa} has more than {MAX_DOMAIN} values; discretise it")
     if not rows:
         raise ValueError("the table is empty")
+    for i, a in enumerate(spec.qi):
+        if any(r[2 + 2 * len(spec.qi) + i] for r in rows):
+            raise ValueError(f"{a.name} has nulls, which no box covers; give them a value or a leaf first")
     spans = []
     for i, a in enumerate(spec.qi):
         seen = [(r[2 + 2 * i], r[3 + 2 * i]) for r in rows if r[2 + 2 * i] is not None]
@@ -82,36 +94,57 @@ def prepare(df: DataFrame, spec: ReleaseSpec, beta: float, kind: str = "capped",
     spec.validate(df)
     encoded = settle(encode(df, spec))
     counts, domains = survey(encoded, spec)
+    return planned_on(encoded, spec, counts, domains, beta, kind, tie, slack, strict)
+
+
+def planned_on(encoded: DataFrame, spec: ReleaseSpec, counts: list[tuple], domains: list[tuple[int, int]], beta: float, kind: str = "capped", tie: str = "short", slack: float = 0.0, strict: bool = False) -> Dealing:
+    """A release planned on a table that is encoded and surveyed already: plans for other parameters cost no pass over it."""
     plan = plan_buckets(counts, beta, kind, tie, strict, slack)
     return Dealing(spec, encoded, domains, counts, plan, sizetree.grow(plan.sizes, sizetree.gain_rule(plan.caps)))
 
 
+def with_keys(d: Dealing, *curves: str) -> Dealing:
+    """The dealing on a settled table that holds its rows' keys, for several releases of it."""
+    table = d.encoded
+    for curve in curves:
+        table = _key(d, table, curve, f"key_{curve}")
+    return replace(d, encoded=settle(table))
+
+
+def _key(d: Dealing, rows: DataFrame, curve: str, name: str) -> DataFrame:
+    """rows with their keys along a curve."""
+    axes, n_cells = d.spec.axes, 1
+    for lo, hi in d.domains:
+        n_cells *= hi - lo + 1
+    if curve == "hilbert" and n_cells <= GRID_CELLS:
+        grid = keys_of_grid(rows.sparkSession, axes, d.domains, d.bits, name)  # at most GRID_CELLS rows
+        return rows.join(F.broadcast(grid), axes, "left").select(*rows.columns, name)
+    grid = [grid_expr(F.col(x), lo, hi, d.bits) for x, (lo, hi) in zip(axes, d.domains, strict=True)]
+    return rows.withColumn(name, curve_expr(curve, grid, d.bits))
+
+
 def keyed(d: Dealing, curve: str = "hilbert") -> DataFrame:
     """The encoded table with its bucket and curve key."""
-    grid = [grid_expr(F.col(x), lo, hi, d.bits) for x, (lo, hi) in zip(d.spec.axes, d.domains, strict=True)]
-    return d.encoded.withColumn("bucket", bucket_expr(d.plan.bucket_of, F.col("sa"))).withColumn("key", curve_expr(curve, grid, d.bits))
+    columns = [c for c in d.encoded.columns if not c.startswith("key_")]
+    rows = d.encoded.withColumnRenamed(f"key_{curve}", "key") if f"key_{curve}" in d.encoded.columns else _key(d, d.encoded, curve, "key")
+    return rows.select(*columns, bucket_expr(d.plan.bucket_of, F.col("sa")).alias("bucket"), "key")
 
 
-def rank_in_bucket(rows: DataFrame, blocks: int = BLOCKS) -> DataFrame:
-    """rows with `rank`: place in its bucket by (key, row_key), from 0.
+def rank_in_bucket(rows: DataFrame, n_rows: int, blocks: int | None = None) -> DataFrame:
+    """rows with `rank`: place in its bucket by (key, row_key), from 0. n_rows: about how many there are.
 
     Blocks come from quantiles of the key over the whole table; a key so frequent that it is a
     quantile twice has its rows split by their row_key's first digits, which keep the order."""
+    blocks = blocks or max(MIN_BLOCKS, min(MAX_BLOCKS, n_rows // BLOCK_ROWS))
     steps = rows.agg(F.percentile_approx("key", [i / blocks for i in range(1, blocks)], 10_000)).first()[0] or []
     distinct = sorted(set(steps))
     hot = sorted({a for a, b in zip(steps, steps[1:], strict=False) if a == b})
     # a hot key is a block of its own: the steps just below and at it are both cuts
     cuts = sorted(set(distinct) | {h - 1 for h in hot})
-    edges = np.array(cuts, np.int64)
-
-    @F.pandas_udf("int")
-    def block_of(key: pd.Series) -> pd.Series:
-        return pd.Series(np.searchsorted(edges, key.to_numpy(), "left").astype(np.int32))
-
-    at = block_of(F.col("key")) if cuts else F.lit(0)
+    at = _count_below(cuts, F.col("key"))
     part = F.when(F.col("key").isin(hot), F.conv(F.substring("row_key", 1, 1), 16, 10).cast("int")).otherwise(0) if hot else F.lit(0)
     rows = rows.withColumn("_block", at).withColumn("_part", F.coalesce(part, F.lit(0)))
-    # buckets x blocks x parts rows at most, whatever the table's size
+    # buckets x blocks x parts rows at most
     counts = rows.groupBy("bucket", "_block", "_part").count().collect()
     before, offsets = {}, []
     for b, k, p, n in sorted(counts):
@@ -124,6 +157,19 @@ def rank_in_bucket(rows: DataFrame, blocks: int = BLOCKS) -> DataFrame:
     return ranked.withColumn("rank", (F.col("_within") + F.col("_before")).cast("long")).drop("_within", "_before", "_block", "_part")
 
 
+def _count_below(cuts: list[int], x: Column) -> Column:
+    """How many of the sorted cuts are below x: as comparisons while they are few, else by a binary search over Arrow batches."""
+    if len(cuts) <= 64:
+        return sum(((x > c).cast("int") for c in cuts), F.lit(0))
+    edges = np.array(cuts, np.int64)
+
+    @F.pandas_udf("int")
+    def below(key: pd.Series) -> pd.Series:
+        return pd.Series(np.searchsorted(edges, key.to_numpy(), "left").astype(np.int32))
+
+    return below(x)
+
+
 def walk_expr(d: Dealing, bucket: Column, rank: Column, depth: int | None = None) -> Column:
     """Struct of group number, node and rank there, by an Arrow-batched walk of the tree."""
     tree = d.encoded.sparkSession.sparkContext.broadcast(d.tree)
@@ -138,52 +184,96 @@ def walk_expr(d: Dealing, bucket: Column, rank: Column, depth: int | None = None
 
 def deal_rank(d: Dealing, curve: str = "zorder") -> DataFrame:
     """row_key, coordinates, sa, bucket, rank and ec."""
-    ranked = rank_in_bucket(keyed(d, curve))
+    ranked = rank_in_bucket(keyed(d, curve), sum(d.plan.sizes))
     return ranked.withColumn("ec", walk_expr(d, F.col("bucket"), F.col("rank"))["ec"]).drop("key")
 
 
 def _nearest_run(keys: np.ndarray, x: int, n: int) -> int:
     """Start of the n sorted keys that are nearest to x: a run, as distances grow to both sides."""
-    lo, hi = max(0, int(np.searchsorted(keys, x)) - n), len(keys) - n
-    best = min(lo, hi)
-    at, end = best, min(int(np.searchsorted(keys, x)), hi)
+    place = int(np.searchsorted(keys, x))
+    at, end = min(max(0, place - n), len(keys) - n), min(place, len(keys) - n)
     # the run slides right while the key that it would gain is nearer than the one it would lose
-    starts = np.arange(at, end + 1)
-    if len(starts) < 2:
-        return at
-    worse = np.abs(keys[starts[:-1] + n] - x) >= np.abs(keys[starts[:-1]] - x)
-    stop = np.flatnonzero(worse)
-    return int(starts[stop[0]] if len(stop) else starts[-1])
+    starts = np.arange(at, end)
+    stop = np.flatnonzero(np.abs(keys[starts + n] - x) >= np.abs(keys[starts] - x))
+    return int(starts[stop[0]]) if len(stop) else max(at, end)
+
+
+class Pool:
+    """A bucket's rows in the order of their keys, of which runs are taken away; counts by stretch find the k-th row that is left."""
+
+    STRETCH = 256
+
+    def __init__(self, keys: np.ndarray, rows: np.ndarray):
+        self.keys, self.rows, self.here = keys, rows, np.ones(len(keys), bool)
+        self.counts = np.bincount(np.arange(len(keys)) // self.STRETCH, minlength=1)
+
+    @property
+    def left(self) -> int:
+        return int(self.counts.sum())
+
+    def places(self, first: int, end: int) -> np.ndarray:
+        """Places of the rows that are first, first + 1, ... end - 1 among those left."""
+        till = np.cumsum(self.counts)
+        a, b = int(np.searchsorted(till, first, "right")), int(np.searchsorted(till, end - 1, "right"))
+        at = np.flatnonzero(self.here[a * self.STRETCH : (b + 1) * self.STRETCH]) + a * self.STRETCH
+        skip = first - (int(till[a - 1]) if a else 0)
+        return at[skip : skip + end - first]
+
+    def key(self, k: int) -> int:
+        return int(self.keys[self.places(k, k + 1)[0]])
+
+    def take_nearest(self, x: int, n: int) -> np.ndarray:
+        """Takes the n rows whose keys are nearest to x. Only the n rows left on either side of x are looked at."""
+        place = int(np.searchsorted(self.keys, x))
+        whole = place // self.STRETCH
+        before = int(self.counts[:whole].sum()) + int(self.here[whole * self.STRETCH : place].sum())
+        some = self.places(max(0, before - n), min(self.left, before + n))
+        at = _nearest_run(self.keys[some], x, n)
+        gone = some[at : at + n]
+        self.here[gone] = False
+        np.subtract.at(self.counts, gone // self.STRETCH, 1)
+        return self.rows[gone]
+
+
+def _share(seed: int, what: str, group: int) -> float:
+    """A uniform in [0, 1) that belongs to a group."""
+    return int(hashlib.md5(f"{seed}|{what}|{group}".encode()).hexdigest()[:13], 16) / (1 << 52)
+
+
+def _by_lot(seed: int, first: int, n: int) -> list[int]:
+    """Groups first .. first + n - 1 in the order of their hashes."""
+    return sorted(range(n), key=lambda i: hashlib.md5(f"{seed}|group|{first + i}".encode()).hexdigest())
+
+
+def _chosen(need: np.ndarray, seed: int, group: int) -> int:
+    """The bucket that a group's first row comes from."""
+    some = np.flatnonzero(need)
+    return int(some[int(_share(seed, "bucket", group) * len(some))])
+
 
+def fill_curve(buckets: list[np.ndarray], keys: list[np.ndarray], leaves: np.ndarray, first: int = 0, seed: int = 1) -> list[tuple[int, int, np.ndarray]]:
+    """Greedy filling: for each leaf, in an order by lot, a row drawn by lot draws its nearest along the curve from every bucket. Returns (leaf, bucket, rows).
 
-def fill_curve(buckets: list[np.ndarray], keys: list[np.ndarray], leaves: np.ndarray, random: np.random.Generator) -> list[tuple[int, int, np.ndarray]]:
-    """Greedy filling: for each leaf in random order, a random row draws its nearest along the curve from every bucket. Returns (leaf, bucket, rows)."""
-    left = [(k.copy(), r.copy()) for k, r in zip(keys, buckets, strict=True)]
+    buckets and keys: rows and sorted keys of each bucket; first: number of the first leaf's group."""
+    pools = [Pool(k, r) for k, r in zip(keys, buckets, strict=True)]
     out = []
-    for leaf in random.permutation(len(leaves)):
+    for leaf in _by_lot(seed, first, len(leaves)):
         need = leaves[leaf]
-        some = np.flatnonzero(need)
-        k = left[random.choice(some)][0]
-        x = int(k[random.integers(len(k))])
-        for j in some:
-            k, r = left[j]
-            at = _nearest_run(k, x, need[j])
-            out.append((leaf, j, r[at : at + need[j]]))
-            gone = slice(at, at + need[j])
-            left[j] = (np.delete(k, gone), np.delete(r, gone))
+        own = pools[_chosen(need, seed, first + leaf)]
+        x = own.key(int(_share(seed, "row", first + leaf) * own.left))
+        out += [(leaf, j, pools[j].take_nearest(x, int(need[j]))) for j in np.flatnonzero(need).tolist()]
     return out
 
 
-def fill_euclid(buckets: list[np.ndarray], points: list[np.ndarray], leaves: np.ndarray, random: np.random.Generator) -> list[tuple[int, int, np.ndarray]]:
+def fill_euclid(buckets: list[np.ndarray], points: list[np.ndarray], leaves: np.ndarray, first: int = 0, seed: int = 1) -> list[tuple[int, int, np.ndarray]]:
     """The same with true distances between normalised points: quadratic, for small shards."""
     left = [(p.copy(), r.copy()) for p, r in zip(points, buckets, strict=True)]
     out = []
-    for leaf in random.permutation(len(leaves)):
+    for leaf in _by_lot(seed, first, len(leaves)):
         need = leaves[leaf]
-        some = np.flatnonzero(need)
-        p = left[random.choice(some)][0]
-        x = p[random.integers(len(p))]
-        for j in some:
+        p = left[_chosen(need, seed, first + leaf)][0]
+        x = p[int(_share(seed, "row", first + leaf) * len(p))]
+        for j in np.flatnonzero(need):
             p, r = left[j]
             near = np.argsort(((p - x) ** 2).sum(1), kind="stable")[: need[j]]
             out.append((leaf, j, r[near]))
@@ -217,20 +307,36 @@ def fill_cosplit(tree: sizetree.SizeTree, root: int, buckets: list[np.ndarray],
     return out
 
 
-def deal_sharded(d: Dealing, draw: str = "curve", curve: str = "hilbert", seed: int = 1, shard_rows: int = SHARD_ROWS) -> DataFrame:
-    """row_key, coordinates, sa, bucket and ec, by a search within shards of about shard_rows rows.
+def deal_sharded(d: Dealing, draw: str = "curve", curve: str = "hilbert", seed: int = 1, shard_rows: int | None = None) -> DataFrame:
+    """row_key, coordinates, sa, bucket and ec, by a search within shards of at most about shard_rows rows.
 
     A shard is a subtree, cut off at the depth at which vectors have that size; its rows are the runs of each bucket's
-    ranks that the walk to the subtree's root selects. A shard's outcome depends on its rows and the seed alone."""
+    ranks that the walk to the subtree's root selects. A shard's outcome depends on its rows and the seed alone. A subtree
+    of one leaf is a group as it stands, and its rows go past the search."""
+    if draw not in ("curve", "euclid", "cosplit"):
+        raise ValueError(draw)
+    shard_rows = shard_rows or (EUCLID_ROWS if draw == "euclid" else SHARD_ROWS)
     total, depth = sum(d.plan.sizes), 0
     while (total >> depth) > shard_rows:
         depth += 1
-    rows = rank_in_bucket(keyed(d, curve)).withColumn("_at", walk_expr(d, F.col("bucket"), F.col("rank"), depth))
-    rows = rows.withColumn("_first", F.col("_at.ec")).withColumn("_node", F.col("_at.node")).drop("_at", "rank")
+    names = [*("row_key", *d.spec.axes), "sa", "bucket"]
+    rows = keyed(d, curve)
+    if d.tree.left[0] < 0:
+        return rows.select(*names, F.lit(0).cast("long").alias("ec"))
+    if depth:
+        rows = rank_in_bucket(rows, total).withColumn("_at", walk_expr(d, F.col("bucket"), F.col("rank"), depth))
+        rows = rows.select(*names, "key", F.col("_at.ec").alias("_first"), F.col("_at.node").alias("_node"))
+    else:
+        rows = rows.select(*names, "key", F.lit(0).cast("long").alias("_first"), F.lit(0).cast("long").alias("_node"))
+    # a depth has few distinct nodes, whatever the table's size
+    reached = {0}
+    for _ in range(depth):
+        reached = {int(c) for i in reached for c in ((d.tree.left[i], d.tree.right[i]) if d.tree.left[i] >= 0 else (i,))}
+    done = sorted(i for i in reached if d.tree.left[i] < 0)
+    closed = F.col("_node").isin(done)
     tree, axes = rows.sparkSession.sparkContext.broadcast(d.tree), d.spec.axes
     low, extent = np.array([lo for lo, _ in d.domains], float), np.array([max(1, hi - lo) for lo, hi in d.domains], float)
-    kinds = T.StructType([f for f in rows.schema.fields if f.name not in ("_first", "_node", "key")] + [T.StructField("ec", T.LongType())])
-    names = [f.name for f in kinds.fields]
+    kinds = T.StructType([*(rows.schema[c] for c in names), T.StructField("ec", T.LongType())])
 
     def fill(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["key", "row_key"], kind="stable").reset_index(drop=True)
@@ -239,25 +345,26 @@ def deal_sharded(d: Dealing, draw: str = "curve", curve: str = "hilbert", seed:
         bucket = pdf["bucket"].to_numpy()
         parts = [np.flatnonzero(bucket == j) for j in range(n)]
         leaves = tree.value.leaf_vectors(node)
-        random = np.random.default_rng([seed, first])
-        points = (pdf[axes].to_numpy(float) - low) / extent
         if draw == "curve":
-            filled = fill_curve(parts, [pdf["key"].to_numpy()[p] for p in parts], leaves, random)
-        elif draw == "euclid":
-            filled = fill_euclid(parts, [points[p] for p in parts], leaves, random)
-        elif draw == "cosplit":
-            filled = fill_cosplit(tree.value, node, parts, [points[p] for p in parts])
+            filled = fill_curve(parts, [pdf["key"].to_numpy()[p] for p in parts], leaves, first, seed)
         else:
-            raise ValueError(draw)
+            points = (pdf[axes].to_numpy(float) - low) / extent
+            some = [points[p] for p in parts]
+            filled = fill_euclid(parts, some, leaves, first, seed) if draw == "euclid" else fill_cosplit(tree.value, node, parts, some)
         ec = np.empty(len(pdf), np.int64)
         for leaf, _, some in filled:
             ec[some] = first + leaf
-        return pdf.assign(ec=ec)[names]
+        return pdf.assign(ec=ec)[[*names, "ec"]]
 
-    return rows.groupBy("_first", "_node").applyInPandas(fill, kinds)
+    if not done:
+        return rows.groupBy("_first", "_node").applyInPandas(fill, kinds)
+    whole = rows.where(closed).select(*names, F.col("_first").alias("ec"))
+    if len(done) == len(reached):
+        return whole
+    return rows.where(~closed).groupBy("_first", "_node").applyInPandas(fill, kinds).union(whole)
 
 
-def deal(d: Dealing, draw: str = "curve", curve: str | None = None, seed: int = 1, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def deal(d: Dealing, draw: str = "curve", curve: str | None = None, seed: int = 1, shard_rows: int | None = None) -> DataFrame:
     """Groups by any of the four ways of drawing."""
     if draw == "rank":
         return deal_rank(d, curve or "zorder").drop("rank")

@@ -19,7 +19,7 @@ from gainbound.plans.spec import ReleaseSpec
 
 def plan_by_order(counts: list[tuple], t: float, share: float = 0.5) -> Plan:
     """Buckets of consecutive values of the sensitive order, split where mass times diameter is largest."""
-    pairs = sorted((v, n) for v, n in counts if n)
+    pairs = sorted(((v, n) for v, n in counts if n), key=lambda x: (x[0] is None, x[0]))
     n, m = [c for _, c in pairs], len(pairs)
     total, step = sum(n), 1 / max(1, m - 1)
     segments = [(0, m)]
@@ -57,6 +57,10 @@ def prepare(df, spec: ReleaseSpec, t: float, share: float = 0.5) -> Dealing:
     """A planned release for closeness t; deal it as any other."""
     spec.validate(df)
     encoded = settle(encode(df, spec))
-    counts, domains = survey(encoded, spec)
+    return planned_on(encoded, spec, *survey(encoded, spec), t, share)
+
+
+def planned_on(encoded, spec: ReleaseSpec, counts: list[tuple], domains: list[tuple[int, int]], t: float, share: float = 0.5) -> Dealing:
+    """The same on a table that is encoded and surveyed already."""
     plan = plan_by_order(counts, t, share)
     return Dealing(spec, encoded, domains, counts, plan, sizetree.grow(plan.sizes, closeness_rule(plan, t)))

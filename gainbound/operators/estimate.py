@@ -2,41 +2,77 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from gainbound.operators import meet
 from gainbound.operators.perturb import Randomiser, reconstruct
-from gainbound.operators.workload import inside
 
 
 def from_boxes(queries: DataFrame, published: DataFrame, axes: list[str]) -> DataFrame:
     """Rows of a group are taken to spread evenly over its box: each counts by the product of its overlaps.
 
-    published: (ec, sa, n, x1_lo, x1_hi, ...). Counts are first summed over the query's sensitive range by group."""
-    share, meets = F.col("n").cast("double"), F.col("sa").between(F.col("sa_lo"), F.col("sa_hi"))
-    for x in axes:
-        lo, hi, a, b = (F.col(f"{x}_{k}") for k in ("lo", "hi", "a", "b"))
-        overlap = F.least(hi, b) - F.greatest(lo, a) + 1
-        share = share * overlap / (hi - lo + 1)
-        meets = meets & (lo <= b) & (hi >= a)
-    return published.join(F.broadcast(queries), meets).groupBy("qid").agg(F.sum(share).alias("est"))
+    published: (ec, sa, n, x1_lo, x1_hi, ...). A group is one row with its counts, whose running sum gives the rows in any sensitive range."""
+    sides = [f"{x}_{k}" for x in axes for k in ("lo", "hi")]
+    # one entry for each value of the domain at most
+    groups = published.groupBy("ec", *sides).agg(F.array_sort(F.collect_list(F.struct(F.col("sa").cast("long").alias("sa"), F.col("n").cast("double").alias("n")))).alias("counts"))
+    groups = groups.select(*sides, F.col("counts.sa").alias("sas"), F.col("counts.n").alias("ns"))
+
+    def spread(share: np.ndarray, columns: list, q: meet.Asked) -> np.ndarray:
+        out = np.zeros(len(q.qid))
+        for row, sas, ns in zip(share, *(c.to_pylist() for c in columns), strict=True):
+            some = np.flatnonzero(row)
+            run = np.concatenate(([0.0], np.cumsum(ns)))
+            out[some] += row[some] * (run[np.searchsorted(sas, q.sa_high[some], "right")] - run[np.searchsorted(sas, q.sa_low[some], "left")])
+        return out
+
+    found = meet.sums(groups, [(f"{x}_lo", f"{x}_hi") for x in axes], ["sas", "ns"], meet.asked(queries, axes), meet.overlap, spread)
+    return found.where("v > 0").withColumnRenamed("v", "est")
 
 
 def observed(queries: DataFrame, cells: DataFrame, axes: list[str]) -> DataFrame:
     """qid, sa and e: randomised rows in the query's quasi-identifier ranges by published value."""
-    return cells.join(F.broadcast(queries.drop("sa_lo", "sa_hi")), inside(axes)).groupBy("qid", "sa").agg(F.sum("n").alias("e"))
+    spots = cells.groupBy("sa", *axes).agg(F.sum("n").alias("n"))
+    q, out = meet.asked(queries, axes), None
+    # one pass for each value of the domain: only the clipped answers need the values apart
+    for r in cells.select("sa").distinct().collect():
+        part = meet.sums(spots.where(F.col("sa") == F.lit(r[0])), [(x, x) for x in axes], ["n"], q, meet.inside, lambda met, columns, _: columns[0].to_numpy(zero_copy_only=False).astype(float) @ met)
+        part = part.select("qid", F.lit(r[0]).alias("sa"), F.round("v").cast("long").alias("e"))
+        out = part if out is None else out.union(part)
+    return out
 
 
 def from_randomised(queries: DataFrame, cells: DataFrame, axes: list[str], r: Randomiser, post: str = "raw") -> DataFrame:
-    """Reconstructed counts summed over the sensitive range; post `clip` sets negative ones to 0."""
-    estimated = reconstruct(observed(queries, cells, axes), r, ["qid"])
-    n_hat = F.greatest("n_hat", F.lit(0.0)) if post == "clip" else F.col("n_hat")
-    ranged = estimated.join(F.broadcast(queries.select("qid", "sa_lo", "sa_hi")), "qid").where(F.col("sa").between(F.col("sa_lo"), F.col("sa_hi")))
-    return ranged.groupBy("qid").agg(F.sum(n_hat).alias("est"))
+    """Reconstructed counts summed over the sensitive range; post `clip` sets negative ones to 0.
+
+    The reconstruction is linear, so a row of published value v adds 1 / alpha_v to the queries whose sensitive range holds v, and takes
+    (1 / alpha_v - 1) times the range's share of all 1 / alpha from every query that holds the row: answers need no counts by value."""
+    if post == "clip":
+        estimated = reconstruct(observed(queries, cells, axes), r, ["qid"]).where("n_hat > 0")
+        ranged = estimated.join(F.broadcast(queries.select("qid", "sa_lo", "sa_hi").limit(meet.MAX_QUERIES)), "qid").where(F.col("sa").between(F.col("sa_lo"), F.col("sa_hi")))
+        return ranged.groupBy("qid").agg(F.sum("n_hat").alias("est"))
+    values, inverse = np.array(r.values, np.int64), 1 / np.array(r.alpha)
+    run = np.concatenate(([0.0], np.cumsum(inverse))) / inverse.sum()
+
+    def estimate(met: np.ndarray, columns: list, q: meet.Asked) -> np.ndarray:
+        sa, n = (c.to_numpy(zero_copy_only=False) for c in columns)
+        weight = inverse[np.searchsorted(values, sa)]
+        share = run[np.searchsorted(values, q.sa_high, "right")] - run[np.searchsorted(values, q.sa_low, "left")]
+        taken = (n * (weight - 1)) @ met * share
+        met &= (sa[:, None] >= q.sa_low) & (sa[:, None] <= q.sa_high)
+        return (n * weight) @ met - taken
+
+    return meet.sums(cells, [(x, x) for x in axes], ["sa", "n"], meet.asked(queries, axes), meet.inside, estimate).withColumnRenamed("v", "est")
 
 
 def from_separate(queries: DataFrame, cells: DataFrame, axes: list[str], prior: DataFrame) -> DataFrame:
     """The baseline of two separate tables: rows in the ranges times the sensitive range's overall share."""
-    hits = cells.join(F.broadcast(queries), inside(axes)).groupBy("qid").agg(F.sum("n").alias("rows"))
-    share = queries.select("qid", "sa_lo", "sa_hi").join(F.broadcast(prior.select("sa", "p")), F.col("sa").between(F.col("sa_lo"), F.col("sa_hi"))).groupBy("qid").agg(F.sum("p").alias("share"))
-    return hits.join(share, "qid").select("qid", (F.col("rows") * F.col("share")).alias("est"))
+    p = sorted((int(x.sa), x.p) for x in prior.select("sa", "p").collect())  # one row for each value of the domain
+    values, run = np.array([v for v, _ in p]), np.concatenate(([0.0], np.cumsum([x for _, x in p])))
+
+    def estimate(met: np.ndarray, columns: list, q: meet.Asked) -> np.ndarray:
+        share = run[np.searchsorted(values, q.sa_high, "right")] - run[np.searchsorted(values, q.sa_low, "left")]
+        return columns[0].to_numpy(zero_copy_only=False).astype(float) @ met * share
+
+    return meet.sums(cells, [(x, x) for x in axes], ["n"], meet.asked(queries, axes), meet.inside, estimate).withColumnRenamed("v", "est")

@@ -7,9 +7,12 @@ of the seed and the query's number, so a workload is a function of its parameter
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from gainbound.operators import meet
+
 
 def _uniform(*parts) -> Column:
     digest = F.md5(F.concat_ws("|", *[p if isinstance(p, Column) else F.lit(str(p)) for p in parts]))
@@ -50,19 +53,16 @@ def cube(encoded: DataFrame, axes: list[str]) -> DataFrame:
     return encoded.groupBy(*axes, "sa").agg(F.count("*").alias("n"))
 
 
-def inside(axes: list[str]) -> Column:
-    """Whether a cell's coordinates lie in a query's intervals."""
-    out = F.lit(True)
-    for x in axes:
-        out = out & F.col(x).between(F.col(f"{x}_a"), F.col(f"{x}_b"))
-    return out
+def exact(queries: DataFrame, cells: DataFrame, axes: list[str]) -> DataFrame:
+    """qid and prec, the number of rows in the ranges. The workload is a stated query set of checked size and goes to all cells, which stay where they are."""
 
+    def count(met: np.ndarray, columns: list, q: meet.Asked) -> np.ndarray:
+        sa, n = (c.to_numpy(zero_copy_only=False) for c in columns)
+        met &= (sa[:, None] >= q.sa_low) & (sa[:, None] <= q.sa_high)
+        return n.astype(float) @ met
 
-def exact(queries: DataFrame, cells: DataFrame, axes: list[str]) -> DataFrame:
-    """qid and prec, the number of rows in the ranges. The workload is small (a stated query set) and goes to all cells, which stay where they are."""
-    within = inside(axes) & F.col("sa").between(F.col("sa_lo"), F.col("sa_hi"))
-    hits = cells.join(F.broadcast(queries), within).groupBy("qid").agg(F.sum("n").alias("prec"))
-    return queries.select("qid").join(hits, "qid", "left").select("qid", F.coalesce("prec", F.lit(0)).alias("prec"))
+    hits = meet.sums(cells, [(x, x) for x in axes], ["sa", "n"], meet.asked(queries, axes), meet.inside, count)
+    return queries.select("qid").join(hits, "qid", "left").select("qid", F.coalesce(F.round("v").cast("long"), F.lit(0)).alias("prec"))
 
 
 def relative_errors(answers: DataFrame, truth: DataFrame) -> DataFrame:

@@ -7,13 +7,15 @@ import math
 import numpy as np
 from pyspark.sql import functions as F
 
-from gainbound.operators import attack, deal, emddeal, kdcut, loss, model, publish, workload
+from gainbound.operators import attack, deal, emddeal, kdcut, loss, model, perturb, publish, workload
 from gainbound.operators.search import search
 from gainbound.operators.settle import settle
 from gainbound.plans import sizetree
 from gainbound.plans.buckets import plan_buckets
 from gainbound.queries import chain as sql
+from gainbound.queries import cuts
 from gainbound.queries.chain import chain
+from gainbound.queries.perturbation import SECRET, coins_sql, gamma_sql
 from gainbound.queries.registry import frame, query, r6
 from gainbound.queries.release import BETA, C3, C5, census, grouped, hist_and_prior, planned
 from gainbound.sources.tables import table
@@ -25,14 +27,14 @@ _COVER = """, pc as materialized (select ec, sa, n, x1_lo, x1_hi, case when x2_l
 _BOX_MARGIN = _COVER + ", ml as materialized (" + " union all ".join(f"select {i} as axis, value::bigint as value, sa, sum(n) as n from pc join (select unnest(range(x{i}_l, x{i}_h + 1)) as value from dom) on value between x{i}_lo and x{i}_hi group by 2, 3" for i in (1, 2, 3)) + ")\n"
 
 
-def _predict(cond_n: str = "n") -> str:
-    """ac: success of the arg-max guess, from marginals ml."""
+def _predict(cond_n: str = "n", more: str = "") -> str:
+    """Success of the arg-max guess, from marginals ml."""
     joins = " ".join(f"left join cd c{i} on c{i}.axis = {i} and c{i}.value = s.x{i} and c{i}.sa = d.sa" for i in (1, 2, 3))
     score = "ln(d.p) + " + " + ".join(f"ln(greatest(coalesce(c{i}.cond, 0), 1e-12::double))" for i in (1, 2, 3))
     return f""", cd as materialized (select axis, value, ml.sa, ml.{cond_n} / d.n as cond from ml join d using (sa)),
 cl as materialized (select x1, x2, x3, sa, count(*) as n from enc group by all),
 gs as materialized (select x1, x2, x3, arg_max(sa, (round(score, 9), -sa)) as guess from (select s.*, d.sa, {score} as score from (select distinct x1, x2, x3 from cl) as s cross join d {joins}) group by 1, 2, 3)
-select round(sum(case when sa = guess then n else 0 end) / sum(n), 6) as success, cast(sum(n) as bigint) as n_rows from cl join gs using (x1, x2, x3)"""
+select round(sum(case when sa = guess then n else 0 end) / sum(n), 6) as success, cast(sum(n) as bigint) as n_rows{more} from cl join gs using (x1, x2, x3)"""
 
 
 def _prior(spark, d):
@@ -55,12 +57,31 @@ def nb_attack_boxes(spark, sf_dir):
     return _attack(workload.cube(d.encoded, _AXES), attack.box_marginals(publish.counts(rows, C3), _AXES, d.domains), _prior(spark, d))
 
 
-@query("nb_attack_noisy")
+_NOISY = ", nz as materialized (select axis, value, sa, greatest(n - sign(c) * 3 * ln(greatest(1 - 2 * abs(c), 1e-300::double)), 0.1::double) as n from (select *, cast('0x' || substr(md5('3|' || axis || '|' || value || '|' || sa), 1, 13) as bigint) / 4503599627370496 - 0.5::double as c from ml))\n"
+
+
+@query("nb_attack_noisy", chain(upto="dist") + _MARGIN + _NOISY + _predict().replace("ml", "nz"))
 def nb_attack_noisy(spark, sf_dir):
     d = planned(spark, sf_dir)
     return _attack(workload.cube(d.encoded, _AXES), attack.noisy(attack.marginals(d.encoded, _AXES), 1.0, 3), _prior(spark, d))
 
 
+_PERTURBED = chain(upto="dist") + gamma_sql(BETA) + coins_sql() + ", mo as materialized (" + " union all ".join(f"select {i} as axis, x{i}::bigint as value, pub as sa, count(*) as e from rz group by 2, 3" for i in (1, 2, 3)) + """),
+mg as materialized (select g.axis, g.value, tm.sa, alpha, coalesce(e, 0) as e from (select distinct axis, value from mo) as g cross join tm left join mo on mo.axis = g.axis and mo.value = g.value and mo.sa = tm.sa),
+mk as (select axis, value, (sum(e / alpha) - sum(e)) / sum(1 / alpha) as k from mg group by axis, value),
+ml as materialized (select axis, value, sa, greatest((e - k) / alpha, 0.0::double) as n from mg join mk using (axis, value))
+"""
+
+
+@query("nb_attack_randomised", _PERTURBED + _predict())
+def nb_attack_randomised(spark, sf_dir):
+    """The attack on perturbed rows: each axis's counts are reconstructed first."""
+    d = planned(spark, sf_dir)
+    r = perturb.randomiser(d.counts, BETA)
+    published = perturb.randomise(d.encoded, "sa", "row_key", r, SECRET)
+    return _attack(workload.cube(d.encoded, _AXES), attack.reconstructed_marginals(published, _AXES, r), _prior(spark, d))
+
+
 @query("noisy_counts", chain(upto="dist") + _MARGIN + """select axis, value, sa, round(greatest(n - sign(c) * 3 * ln(greatest(1 - 2 * abs(c), 1e-300::double)), 0.1::double), 6) as n
 from (select *, cast('0x' || substr(md5('3|' || axis || '|' || value || '|' || sa), 1, 13) as bigint) / 4503599627370496 - 0.5::double as c from ml)""")
 def noisy_counts(spark, sf_dir):
@@ -96,14 +117,14 @@ def majority(spark, sf_dir):
 def exchange_attack(spark, sf_dir):
     _, rows = grouped(spark, sf_dir)
     hit, chance, rounds, changed = attack.exchange_attack(rows, _AXES)
-    return frame(spark, [(round(hit, 6), round(chance, 6), rounds, round(changed, 6))], "success double, chance double, rounds int, changed double")
+    return frame(spark, [(round(hit, 6), round(chance, 6), rounds, round(changed, 6), changed <= attack.STOP)], "success double, chance double, rounds int, changed double, converged boolean")
 
 
 @query("minimality_invariant", "select 0::bigint as moved")
 def minimality_invariant(spark, sf_dir):
     """Rows whose group changes when every sensitive value is replaced by its bucket: the dealing sees buckets only."""
     d, rows = grouped(spark, sf_dir)
-    blind = deal.rank_in_bucket(deal.keyed(d, "zorder").withColumn("sa", F.lit(None).cast("int")))
+    blind = deal.rank_in_bucket(deal.keyed(d, "zorder").withColumn("sa", F.lit(None).cast("int")), sum(d.plan.sizes))
     again = blind.withColumn("ec2", deal.walk_expr(d, F.col("bucket"), F.col("rank"))["ec"]).select("row_key", "ec2")
     return rows.join(again, "row_key").where("ec <> ec2").agg(F.count("*").alias("moved"))
 
@@ -113,7 +134,19 @@ def corruption_boxes(spark, sf_dir):
     return attack.corruption(hist_and_prior(spark, sf_dir)[0], 20).select("ec", "size", r6("before"), r6("after"))
 
 
-@query("composition")
+@query("corruption_randomised", chain(upto="dist") + gamma_sql(BETA) + """, tot as (select sum(n) as total, sum(n * off) as pull from tm join d using (sa))
+select tm.sa, round(d.n * keep / (d.n * keep + pull - d.n * off), 6) as before, round(d.n * keep / (d.n * keep + (pull - d.n * off) * greatest(total - d.n - 20, 0) / (total - d.n)), 6) as after, d.n * keep / (d.n * keep + pull - d.n * off) <= f + 1e-9 as ok from tm join d using (sa), tot""")
+def corruption_randomised(spark, sf_dir):
+    """The randomiser under corruption: 20 others with other values are known, which tells next to nothing, as rows are perturbed apart."""
+    counts = model.domain(census(spark, sf_dir), "price_class")
+    rows = attack.corruption_randomised(perturb.randomiser(counts, BETA), dict(counts), 20)
+    return frame(spark, rows, "sa int, before double, after double, ok boolean").select("sa", r6("before"), r6("after"), "ok")
+
+
+_TWICE = ", ".join(f"r{i} as materialized (select row_key, ec, sa from ({chain(beta=b, upto='dealt')} select row_key, ec, sa from dealt)), s{i} as (select ec, list(distinct sa) as s from r{i} group by ec)" for i, b in ((1, 4.0), (2, 2.0)))
+
+
+@query("composition", f"with {_TWICE}, bo as (select r1.ec as e1, r2.ec as e2, count(*) as n from r1 join r2 using (row_key) group by 1, 2) select cast(len(list_intersect(s1.s, s2.s)) as integer) as possible, cast(sum(n) as bigint) as n_rows from bo join s1 on s1.ec = e1 join s2 on s2.ec = e2 group by 1")
 def composition(spark, sf_dir):
     """What two releases of the same rows leave open."""
     return attack.composition(grouped(spark, sf_dir, beta=4.0)[1], grouped(spark, sf_dir, beta=2.0)[1])
@@ -132,28 +165,46 @@ def linkage(spark, sf_dir):
 # median cuts and emd-deal
 
 
+DRAW = "curve"
+
+
 class Compared:
-    """Releases of one view by all methods, with the measures that the comparisons use."""
+    """Releases of one view by all methods, with the measures that the comparisons use.
+
+    The view is encoded and settled once, with the keys that the draws sort by; a release of it costs its plan and its dealing."""
 
     def __init__(self, spark, sf_dir, spec=C3, df=None):
-        self.spark, self.spec, self._seen = spark, spec, {}
-        self.df = (census(spark, sf_dir) if df is None else df).select(spec.key, *(a.name for a in spec.qi), spec.sa)
-        self.encoded = deal.encode(self.df, spec)
-        self.counts = model.domain(self.df, spec.sa)
-        self.domains = loss.axis_domains(self.encoded, spec)
-        self.values = sorted(v for v, _ in self.counts)
+        self.spark, self.spec, self._seen, self._keyed, self._cells = spark, spec, {}, {}, None
+        df = census(spark, sf_dir) if df is None else df
+        spec.validate(df)
+        self.encoded = settle(deal.encode(df, spec))
+        self.counts, self.domains = deal.survey(self.encoded, spec)
+        self.values = [v for v, _ in sorted(self.counts, key=lambda x: (x[0] is None, x[0]))]
         total = sum(n for _, n in self.counts)
         self.p = np.array([dict(self.counts)[v] / total for v in self.values])
-        self.prior = model.prior_frame(spark, self.counts, self.df.schema[spec.sa].dataType.simpleString())
+        self.prior = model.prior_frame(spark, self.counts, self.encoded.schema["sa"].dataType.simpleString())
+
+    @property
+    def cells(self):
+        if self._cells is None:
+            self._cells = settle(workload.cube(self.encoded, self.spec.axes))
+        return self._cells
+
+    def _dealt(self, draw: str, plan):
+        """rows of a release, with n = 1. plan: from an encoded table to a dealing."""
+        curve = "zorder" if draw == "rank" else "hilbert"
+        if curve not in self._keyed:
+            self._keyed[curve] = deal.with_keys(plan(self.encoded), curve).encoded
+        return deal.deal(plan(self._keyed[curve]), draw, curve).withColumn("n", F.lit(1).cast("long"))
 
-    def ours(self, beta: float, draw: str = "rank", **options):
-        return deal.deal(deal.prepare(self.df, self.spec, beta, **options), draw).withColumn("n", F.lit(1).cast("long"))
+    def ours(self, beta: float, draw: str = DRAW, **options):
+        return self._dealt(draw, lambda encoded: deal.planned_on(encoded, self.spec, self.counts, self.domains, beta, **options))
 
     def kd(self, rule, choice: str = "any"):
-        return kdcut.kd_cut(workload.cube(self.encoded, self.spec.axes), self.spec, self.domains, self.values, rule, choice)
+        return kdcut.kd_cut(self.cells, self.spec, self.domains, self.values, rule, choice)
 
     def emd_deal(self, t: float):
-        return deal.deal_rank(emddeal.prepare(self.df, self.spec, t)).withColumn("n", F.lit(1).cast("long"))
+        return self._dealt("rank", lambda encoded: emddeal.planned_on(encoded, self.spec, self.counts, self.domains, t))
 
     def measured(self, method: str, x: float) -> dict:
         """Measures of a method's release at a parameter, once for each plan: near parameters often have the same one."""
@@ -177,7 +228,7 @@ class Compared:
     def measures(self, rows, t: bool = False) -> dict:
         """Groups, AIL, achieved gain and, if asked for, closeness and diversity. rows: (axes, sa, ec, n)."""
         ext = [f(x).alias(f"{x}_{k}") for x in self.spec.axes for f, k in ((F.min, "lo"), (F.max, "hi"))]
-        per = model.with_sizes(rows.groupBy("ec", "sa").agg(F.sum("n").alias("n"), *ext)).join(F.broadcast(self.prior), "sa")
+        per = model.joined(model.with_sizes(rows.groupBy("ec", "sa").agg(F.sum("n").alias("n"), *ext)), self.prior)
         q, p = F.col("q"), F.col("p")
         groups = per.groupBy("ec").agg(F.max("size").alias("size"), F.max(q / p - 1).alias("gain"), F.max("q").alias("top"), *[f(f"{x}_{k}").alias(f"{x}_{k}") for x in self.spec.axes for f, k in ((F.min, "lo"), (F.max, "hi"))])
         lost = loss.group_loss(groups, self.spec, self.domains)
@@ -188,21 +239,24 @@ class Compared:
         return {k: round(v, 6) if isinstance(v, float) else v for k, v in got.items()}
 
 
-def _kd(name: str, rule, choice: str = "any"):
-    @query(name)
+_FOUR = "groups, ail, beta as achieved_beta, l"
+
+
+def _kd(name: str, rule, rule_sql: str, choice: str = "any"):
+    @query(name, f"select {_FOUR} from ({cuts.measured(cuts.cut(C3, rule_sql, choice))})")
     def run(spark, sf_dir):
         c = Compared(spark, sf_dir)
         m = c.measures(c.kd(rule(c), choice))
         return frame(spark, [(m["groups"], m["ail"], m["beta"], m["l"])], "groups long, ail double, achieved_beta double, l double")
 
 
-_kd("kd_k", lambda c: kdcut.rule_k(100))
-_kd("kd_gain", lambda c: kdcut.rule_gain(c.p, BETA))
-_kd("kd_gain_widest", lambda c: kdcut.rule_gain(c.p, BETA), "widest")
-_kd("kd_logratio", lambda c: kdcut.rule_logratio(c.p, kdcut.delta_for(c.p, BETA)))
-_kd("kd_emd", lambda c: kdcut.rule_emd(c.p, 0.1))
-_kd("kd_emd_equal", lambda c: kdcut.rule_emd(c.p, 0.3, "equal"))
-_kd("kd_ldiv", lambda c: kdcut.rule_ldiv(7.0))
+_kd("kd_k", lambda c: kdcut.rule_k(100), cuts.rule_k(100))
+_kd("kd_gain", lambda c: kdcut.rule_gain(c.p, BETA), cuts.rule_gain(BETA))
+_kd("kd_gain_widest", lambda c: kdcut.rule_gain(c.p, BETA), cuts.rule_gain(BETA), "widest")
+_kd("kd_logratio", lambda c: kdcut.rule_logratio(c.p, kdcut.delta_for(c.p, BETA)), cuts.rule_logratio(BETA))
+_kd("kd_emd", lambda c: kdcut.rule_emd(c.p, 0.1), cuts.rule_emd(0.1))
+_kd("kd_emd_equal", lambda c: kdcut.rule_emd(c.p, 0.3, "equal"), cuts.rule_emd_equal(0.3))
+_kd("kd_ldiv", lambda c: kdcut.rule_ldiv(7.0), cuts.rule_ldiv(7.0))
 
 
 @query("kd_first_cut", chain(upto="dist") + ", tot as (select sum(n) as total from d)\n" + " union all ".join(
@@ -232,7 +286,7 @@ def delta_for_beta(spark, sf_dir):
     return frame(spark, [(float(b), kdcut.delta_for(p, b)) for b in range(1, 6)], "beta double, delta double").select("beta", r6("delta"))
 
 
-@query("emd_deal")
+@query("emd_deal", f"select groups, ail, beta as achieved_beta, t, avg_t from ({cuts.measured(cuts.emd_deal(C3, 0.1), True)})")
 def emd_deal(spark, sf_dir):
     c = Compared(spark, sf_dir)
     m = c.measures(c.emd_deal(0.1), t=True)
@@ -247,11 +301,6 @@ def closeness_of(spark, sf_dir):
     return model.t_summary(model.t_level(*hist_and_prior(spark, sf_dir), "ordered")).select(r6("t"), r6("avg_t"))
 
 
-def _settled(spark, sf_dir) -> Compared:
-    """A comparison on a settled view: a search makes some dozen releases of it."""
-    return Compared(spark, sf_dir, df=settle(census(spark, sf_dir).select(C3.key, *(a.name for a in C3.qi), C3.sa)))
-
-
 #: Bisection steps, points of the grid re-check and range of t of a search, and how far a loss may be from the one asked for.
 STEPS, GRID, T_RANGE, NEAR = 20, 16, (0.001, 1.0), 0.02
 NOTHING = (None, None)
@@ -274,18 +323,18 @@ def best_t(method: str, c: Compared, loss_at_least: float, steps: int = STEPS, g
 
 @query("search_beta_t")
 def search_beta_t(spark, sf_dir):
-    beta, t = best_beta(_settled(spark, sf_dir), "t", 0.1)
+    beta, t = best_beta(Compared(spark, sf_dir), "t", 0.1)
     return frame(spark, [(beta, t)], "beta double, t double")
 
 
 @query("search_beta_ail")
 def search_beta_ail(spark, sf_dir):
-    beta, ail = best_beta(_settled(spark, sf_dir), "ail", 0.3)
+    beta, ail = best_beta(Compared(spark, sf_dir), "ail", 0.3)
     return frame(spark, [(beta, ail)], "beta double, ail double")
 
 
 @query("search_t_ail")
 def search_t_ail(spark, sf_dir):
-    c = _settled(spark, sf_dir)
+    c = Compared(spark, sf_dir)
     t, ail = best_t("emd-deal", c, 0.2)
     return frame(spark, [(t, ail)], "t double, ail double")

@@ -1,40 +1,50 @@
 """The experiment workloads on the census view: sweeps of each parameter, with all methods beside each other.
 
-Each query returns one row per setting and method. The sensitive column of the query experiments is `corr_class`, which
-depends on the first attribute as sensitive data do, beside `price_class`, which doesn't. A workload has 10,000 queries; those with SQL keep the 200 that their SQL states.
+Each query returns one row per setting and method; releases are drawn by the greedy search along the Hilbert curve. Sweeps that answer queries
+do so for `corr_class`, which depends on the first attribute as sensitive data do, and for `price_class`, which doesn't. A workload has
+10,000 queries; those with SQL keep the 200 that their SQL states. Seconds are measured by bench.py.
 """
 
 from __future__ import annotations
 
-import time
-
 import numpy as np
 from pyspark.sql import functions as F
 
-from gainbound.operators import attack, deal, estimate, kdcut, model, perturb, publish, workload
+from gainbound.operators import attack, estimate, kdcut, model, perturb, publish, workload
 from gainbound.operators.settle import settle
-from gainbound.queries.attacks import Compared, best_beta, best_t
-from gainbound.queries.perturbation import SECRET, SEED
+from gainbound.queries import cuts
+from gainbound.queries.attacks import _BOX_MARGIN, Compared, _predict, best_beta, best_t
+from gainbound.queries.chain import chain
+from gainbound.queries.perturbation import SECRET, SEED, gamma_sql
 from gainbound.queries.registry import frame, query
 from gainbound.queries.release import BETA, C3, C5, census
 from gainbound.sources import views
 
 BETAS = (1.0, 2.0, 3.0, 4.0, 5.0)
 N_QUERIES = 10_000
-DRAW = "curve"
 NAN = float("nan")
 
 
-def _compared(spark, sf_dir, spec=C3, df=None) -> Compared:
-    """Methods on a settled view, so that a sweep joins the tables once."""
-    columns = [spec.key, *(a.name for a in spec.qi), spec.sa]
-    return Compared(spark, sf_dir, spec, settle((census(spark, sf_dir) if df is None else df).select(*dict.fromkeys(columns))))
+def _ours_sql(beta: float, spec=C3, t: bool = False, **options) -> str:
+    return cuts.measured(chain(spec, beta, draw="curve", **options), t)
+
+
+def _reached(beta: float) -> str:
+    """CTE ot: the closeness that ours reaches."""
+    return f"ot as materialized (select t from ({_ours_sql(beta, t=True)}))"
+
 
+def _same_t_sql(b: float) -> list[tuple[str, str, str]]:
+    lead, t = f"{b}::double as beta", "(select t from ot)"
+    kd = cuts.measured(cuts.cut(C3, cuts.rule_emd(t), before=_reached(b))) + f", {t} as t"
+    emd = cuts.measured(cuts.emd_deal(C3, t, _reached(b))) + f", {t} as t"
+    return [(lead, body, f"t, '{name}' as method, beta as achieved_beta, ail") for name, body in (("bucket-and-deal", _ours_sql(b, t=True)), ("kd-cut[emd]", kd), ("emd-deal", emd))]
 
-@query("w_same_t_from_beta")
+
+@query("w_same_t_from_beta", cuts.rows_of([x for b in BETAS for x in _same_t_sql(b)]))
 def w_same_t_from_beta(spark, sf_dir):
     """Ours at each beta; the closeness methods at the closeness that ours happens to reach."""
-    c, out = _compared(spark, sf_dir), []
+    c, out = Compared(spark, sf_dir), []
     for b in BETAS:
         ours = c.measures(c.ours(b), t=True)
         kd, emd = c.measures(c.kd(kdcut.rule_emd(c.p, ours["t"]))), c.measures(c.emd_deal(ours["t"]))
@@ -44,7 +54,7 @@ def w_same_t_from_beta(spark, sf_dir):
 
 @query("w_same_t")
 def w_same_t(spark, sf_dir):
-    c, out = _compared(spark, sf_dir), []
+    c, out = Compared(spark, sf_dir), []
     for t in (0.05, 0.1, 0.15, 0.2, 0.25):
         beta, reached = best_beta(c, "t", t)
         ours = None if beta is None else c.measured("ours", beta)["beta"]
@@ -54,7 +64,7 @@ def w_same_t(spark, sf_dir):
 
 @query("w_same_loss")
 def w_same_loss(spark, sf_dir):
-    c, out = _compared(spark, sf_dir), []
+    c, out = Compared(spark, sf_dir), []
     for level in (0.2, 0.3, 0.4, 0.5):
         beta, ail = best_beta(c, "ail", level)
         out.append((level, "bucket-and-deal", beta, ail, None if beta is None else c.measured("ours", beta)["beta"]))
@@ -65,27 +75,31 @@ def w_same_loss(spark, sf_dir):
 
 
 def _three(c: Compared, beta: float) -> list[tuple]:
-    """Groups, loss, achieved gain and seconds of ours and both adapted median cuts."""
+    """Groups, loss and achieved gain of ours and both adapted median cuts."""
     out = []
-    for name, run in (("bucket-and-deal", lambda: c.ours(beta, DRAW)), ("kd-cut[gain]", lambda: c.kd(kdcut.rule_gain(c.p, beta))), ("kd-cut[logratio]", lambda: c.kd(kdcut.rule_logratio(c.p, kdcut.delta_for(c.p, beta))))):
-        began = time.perf_counter()
+    for name, run in (("bucket-and-deal", lambda: c.ours(beta)), ("kd-cut[gain]", lambda: c.kd(kdcut.rule_gain(c.p, beta))), ("kd-cut[logratio]", lambda: c.kd(kdcut.rule_logratio(c.p, kdcut.delta_for(c.p, beta))))):
         m = c.measures(run())
-        out.append((name, m["groups"], m["ail"], m["beta"], round(time.perf_counter() - began, 3)))
+        out.append((name, m["groups"], m["ail"], m["beta"]))
     return out
 
 
-_THREE = "method string, groups long, ail double, achieved_beta double, seconds double"
+def _three_sql(lead: str, beta: float, spec=C3, where: str = "") -> list[tuple[str, str, str]]:
+    bodies = (("bucket-and-deal", _ours_sql(beta, spec, where=where)), ("kd-cut[gain]", cuts.measured(cuts.cut(spec, cuts.rule_gain(beta), where=where))), ("kd-cut[logratio]", cuts.measured(cuts.cut(spec, cuts.rule_logratio(beta), where=where))))
+    return [(lead, body, f"'{name}' as method, groups, ail, beta as achieved_beta") for name, body in bodies]
+
 
+_THREE = "method string, groups long, ail double, achieved_beta double"
 
-@query("w_vary_beta")
+
+@query("w_vary_beta", cuts.rows_of([x for b in BETAS for x in _three_sql(f"{b}::double as beta", b)]))
 def w_vary_beta(spark, sf_dir):
-    c = _compared(spark, sf_dir)
+    c = Compared(spark, sf_dir)
     return frame(spark, [(b, *r) for b in BETAS for r in _three(c, b)], "beta double, " + _THREE)
 
 
-@query("w_vary_qi")
+@query("w_vary_qi", cuts.rows_of([x for n in range(1, 6) for x in _three_sql(f"{n} as n_qi", BETA, C5.with_qi(n))]))
 def w_vary_qi(spark, sf_dir):
-    return frame(spark, [(n, *r) for n in range(1, 6) for c in [_compared(spark, sf_dir, C5.with_qi(n))] for r in _three(c, BETA)], "n_qi int, " + _THREE)
+    return frame(spark, [(n, *r) for n in range(1, 6) for c in [Compared(spark, sf_dir, C5.with_qi(n))] for r in _three(c, BETA)], "n_qi int, " + _THREE)
 
 
 def first_by_hash(df, share: float):
@@ -93,7 +107,11 @@ def first_by_hash(df, share: float):
     return df.where(F.conv(F.substring(F.md5(F.concat(F.lit("sample|"), "row_key")), 1, 8), 16, 10).cast("long") < int(share * (1 << 32)))
 
 
-@query("w_vary_rows")
+def _first_sql(share: float) -> str:
+    return f"where cast('0x' || substr(md5('sample|' || row_key), 1, 8) as bigint) < {int(share * (1 << 32))}"
+
+
+@query("w_vary_rows", cuts.rows_of([x for k in range(1, 6) for x in _three_sql(f"{k} as sixths", BETA, where=_first_sql(k / 6))]))
 def w_vary_rows(spark, sf_dir):
     whole, out = settle(census(spark, sf_dir).select("row_key", "ship_month", "l_linestatus", "disc_pct", "price_class")), []
     for k in range(1, 6):
@@ -106,7 +124,7 @@ class _Queried:
     """Errors of boxes, randomised rows and separate tables on one workload."""
 
     def __init__(self, spark, sf_dir, spec):
-        self.c = _compared(spark, sf_dir, spec)
+        self.c = Compared(spark, sf_dir, spec)
         self.spark, self.spec = spark, spec
         self.cells = settle(workload.cube(self.c.encoded, spec.axes))
         self.r: dict = {}
@@ -120,7 +138,7 @@ class _Queried:
         return workload.median_error(workload.relative_errors(est, truth)).first()[0]
 
     def boxes(self, beta: float):
-        return settle(publish.counts(self.c.ours(beta, DRAW).drop("n"), self.spec))
+        return settle(publish.counts(self.c.ours(beta).drop("n"), self.spec))
 
     def cut(self, rule):
         rows = self.c.kd(rule)
@@ -142,92 +160,75 @@ class _Queried:
         return [("randomiser", self.error(estimate.from_randomised(queries, cells, self.spec.axes, r), truth)), ("separate-release", self.error(estimate.from_separate(queries, self.cells, self.spec.axes, self.c.prior), truth))]
 
 
-_CORR3, _CORR5 = C3.with_sa("corr_class"), C5.with_sa("corr_class")
+SENSITIVE = ("price_class", "corr_class")
+THETAS = (0.05, 0.1, 0.15, 0.2, 0.25)
+_ERRORS = "method string, median_error double"
 
 
-@query("w_q_lambda")
-def w_q_lambda(spark, sf_dir):
-    q, out = _Queried(spark, sf_dir, C5), []
-    p = q.published(BETA)
-    for width in range(1, 6):
-        out += [(width, *r) for r in q.box_rows(p, *q.ask(width, 0.1))]
-    return frame(spark, out, "width int, method string, median_error double")
+def _boxes_of(q: _Queried, asked: dict, beta: float = BETA) -> list[tuple]:
+    published = q.published(beta)
+    return [(k, *r) for k, (queries, truth) in asked.items() for r in q.box_rows(published, queries, truth)]
 
 
-@query("w_q_beta")
-def w_q_beta(spark, sf_dir):
-    q = _Queried(spark, sf_dir, C3)
-    asked = q.ask(3, 0.1)
-    return frame(spark, [(b, *r) for b in BETAS for r in q.box_rows(q.published(b), *asked)], "beta double, method string, median_error double")
+def _perturbed_of(q: _Queried, asked: dict, beta: float = BETA) -> list[tuple]:
+    published = q.randomised(beta)
+    return [(k, *r) for k, (queries, truth) in asked.items() for r in q.row_rows(published, queries, truth)]
 
 
-@query("w_q_qi")
-def w_q_qi(spark, sf_dir):
-    out = []
-    for n in range(1, 6):
-        q = _Queried(spark, sf_dir, C5.with_qi(n))
-        out += [(n, *r) for r in q.box_rows(q.published(BETA), *q.ask(min(3, n), 0.1))]
-    return frame(spark, out, "n_qi int, method string, median_error double")
+def _sweep(name: str, answers, what: str, rows) -> None:
+    """A sweep for both sensitive columns. rows: from a view with a sensitive column to (setting, method, error)."""
 
+    @query(name)
+    def run(spark, sf_dir):
+        out = [(sa, *r) for sa in SENSITIVE for r in rows(spark, sf_dir, sa, answers)]
+        return frame(spark, out, f"sa string, {what}, {_ERRORS}")
 
-@query("w_q_theta")
-def w_q_theta(spark, sf_dir):
-    q, out = _Queried(spark, sf_dir, C3), []
-    p = q.published(BETA)
-    for theta in (0.05, 0.1, 0.15, 0.2, 0.25):
-        out += [(theta, *r) for r in q.box_rows(p, *q.ask(3, theta))]
-    return frame(spark, out, "theta double, method string, median_error double")
+    run.__doc__ = f"Median relative errors by {what.split()[0]}."
 
 
-@query("w_p_lambda")
-def w_p_lambda(spark, sf_dir):
-    q, out = _Queried(spark, sf_dir, _CORR5), []
-    p = q.randomised(BETA)
-    for width in range(1, 6):
-        out += [(width, *r) for r in q.row_rows(p, *q.ask(width, 0.1))]
-    return frame(spark, out, "width int, method string, median_error double")
+def _by_width(spark, sf_dir, sa, answers):
+    q = _Queried(spark, sf_dir, C5.with_sa(sa))
+    return answers(q, {width: q.ask(width, 0.1) for width in range(1, 6)})
 
 
-@query("w_p_beta")
-def w_p_beta(spark, sf_dir):
-    out = []
-    for spec in (_CORR3, C3):
-        q = _Queried(spark, sf_dir, spec)
-        asked = q.ask(3, 0.1)
-        out += [(spec.sa, b, *r) for b in BETAS for r in q.row_rows(q.randomised(b), *asked)]
-    return frame(spark, out, "sa string, beta double, method string, median_error double")
+def _by_beta(spark, sf_dir, sa, answers):
+    q = _Queried(spark, sf_dir, C3.with_sa(sa))
+    asked = q.ask(3, 0.1)
+    return [r for b in BETAS for r in answers(q, {b: asked}, b)]
 
 
-@query("w_p_qi")
-def w_p_qi(spark, sf_dir):
-    out = []
-    for n in range(1, 6):
-        q = _Queried(spark, sf_dir, _CORR5.with_qi(n))
-        out += [(n, *r) for r in q.row_rows(q.randomised(BETA), *q.ask(min(3, n), 0.1))]
-    return frame(spark, out, "n_qi int, method string, median_error double")
+def _by_qi(spark, sf_dir, sa, answers):
+    qs = ((n, _Queried(spark, sf_dir, C5.with_qi(n).with_sa(sa))) for n in range(1, 6))
+    return [r for n, q in qs for r in answers(q, {n: q.ask(min(3, n), 0.1)})]
+
 
+def _by_theta(spark, sf_dir, sa, answers):
+    q = _Queried(spark, sf_dir, C3.with_sa(sa))
+    return answers(q, {theta: q.ask(3, theta) for theta in THETAS})
 
-@query("w_p_theta")
-def w_p_theta(spark, sf_dir):
-    q, out = _Queried(spark, sf_dir, _CORR3), []
-    p = q.randomised(BETA)
-    for theta in (0.05, 0.1, 0.15, 0.2, 0.25):
-        out += [(theta, *r) for r in q.row_rows(p, *q.ask(3, theta))]
-    return frame(spark, out, "theta double, method string, median_error double")
 
+for _kind, _answers in (("q", _boxes_of), ("p", _perturbed_of)):
+    _sweep(f"w_{_kind}_lambda", _answers, "width int", _by_width)
+    _sweep(f"w_{_kind}_beta", _answers, "beta double", _by_beta)
+    _sweep(f"w_{_kind}_qi", _answers, "n_qi int", _by_qi)
+    _sweep(f"w_{_kind}_theta", _answers, "theta double", _by_theta)
 
-@query("w_t_l_table")
+
+@query("w_t_l_table", cuts.rows_of([(f"{b}::double as beta", _ours_sql(b, t=True), "t, avg_t, l, avg_l") for b in BETAS]))
 def w_t_l_table(spark, sf_dir):
     """Closeness and diversity that come with each beta."""
-    c = _compared(spark, sf_dir)
-    out = [(b, m["t"], m["avg_t"], m["l"], m["avg_l"]) for b in BETAS for m in [c.measures(c.ours(b, DRAW), t=True)]]
+    c = Compared(spark, sf_dir)
+    out = [(b, m["t"], m["avg_t"], m["l"], m["avg_l"]) for b in BETAS for m in [c.measures(c.ours(b), t=True)]]
     return frame(spark, out, "beta double, t double, avg_t double, l double, avg_l double")
 
 
-@query("w_nb")
+_TOP = ", (select round(max(p), 6) from d) as top_share"
+
+
+@query("w_nb", cuts.rows_of([(f"{b}::double as beta", chain(beta=b, draw="curve", upto="boxes") + _BOX_MARGIN + _predict(more=_TOP), "success, top_share") for b in BETAS]))
 def w_nb(spark, sf_dir):
     """Success of the naive Bayes attack on releases, beside the share of the most frequent value."""
-    c, axes = _compared(spark, sf_dir), C3.axes
+    c, axes = Compared(spark, sf_dir), C3.axes
     cells, top = settle(workload.cube(c.encoded, axes)), float(np.max(c.p))
     out = []
     for b in BETAS:
@@ -237,7 +238,7 @@ def w_nb(spark, sf_dir):
     return frame(spark, out, "beta double, success double, top_share double")
 
 
-@query("ex_six")
+@query("ex_six", "select i::bigint as ec, 3::bigint as size, 1.0::double as max_gain, true as ok, false as ok_below from range(2) as t(i)")
 def ex_six(spark, sf_dir):
     """Six individuals of six values in two groups of three: valid at beta 1 and not below."""
     rows = frame(spark, [(f"r{i}", i % 2, i) for i in range(6)], "row_key string, ec long, sa int")
@@ -257,11 +258,13 @@ def ex_nineteen(spark, sf_dir):
     return frame(spark, [(i, ",".join(map(str, v))) for i, v in enumerate(leaves)], "ec long, sizes string")
 
 
-@query("w_outlier")
+_ALPHAS = ", (select round(min(alpha), 6) from tm) as alpha_min, (select round(max(alpha), 6) from tm) as alpha_max, (select any_value(applied) from tm) as cap_applied"
+
+
+@query("w_outlier", cuts.rows_of([(f"{b}::double as beta", chain(views.EVENTS, b, draw="curve") + gamma_sql(b) + "select " + cuts.MEASURES + _ALPHAS, "groups, ail, alpha_min, alpha_max, cap_applied") for b in BETAS]))
 def w_outlier(spark, sf_dir):
     """Values of a single row: groups collapse, the randomiser doesn't."""
-    df = views.events_view(spark, sf_dir)
-    c, out = Compared(spark, sf_dir, views.EVENTS, df), []
+    c, out = Compared(spark, sf_dir, views.EVENTS, views.events_view(spark, sf_dir)), []
     for b in BETAS:
         m = c.measures(c.ours(b))
         r = perturb.randomiser(c.counts, b)
@@ -269,11 +272,14 @@ def w_outlier(spark, sf_dir):
     return frame(spark, out, "beta double, groups long, ail double, alpha_min double, alpha_max double, cap_applied boolean")
 
 
-@query("w_slack")
+SLACKS = (0.0, 0.05, 0.1, 0.2)
+
+
+@query("w_slack", cuts.rows_of([(f"{x}::double as slack", _ours_sql(3.0, slack=x), "groups, ail") for x in SLACKS]))
 def w_slack(spark, sf_dir):
     """Looser packing leaves room for more halvings."""
-    c = _compared(spark, sf_dir)
-    return frame(spark, [(s, m["groups"], m["ail"]) for s in (0.0, 0.05, 0.1, 0.2) for m in [c.measures(c.ours(3.0, slack=s))]], "slack double, groups long, ail double")
+    c = Compared(spark, sf_dir)
+    return frame(spark, [(s, m["groups"], m["ail"]) for s in SLACKS for m in [c.measures(c.ours(3.0, slack=s))]], "slack double, groups long, ail double")
 
 
 @query("w_draws")
@@ -281,17 +287,20 @@ def w_draws(spark, sf_dir):
     """The ways of filling the same sizes, for both kinds of sensitive column."""
     out = []
     for sa in ("price_class", "corr_class"):
-        c = _compared(spark, sf_dir, C3.with_sa(sa))
+        c = Compared(spark, sf_dir, C3.with_sa(sa))
         out += [(sa, draw, m["groups"], m["ail"], m["beta"]) for draw in ("rank", "curve", "cosplit") for m in [c.measures(c.ours(BETA, draw))]]
     return frame(spark, out, "sa string, draw string, groups long, ail double, achieved_beta double")
 
 
-@query("view_releases")
+_VIEWS = (("orders", views.ORDERS, views.orders_view), ("customers", views.CUSTOMERS, views.customer_view), ("talk", views.TALK, views.talk_view), ("docs", views.DOCS, views.docs_view), ("vectors", views.vector_spec(4), lambda spark, sf_dir: views.vector_view(spark, sf_dir, 4)))
+
+
+@query("view_releases", cuts.rows_of([(f"'{name}' as view", cuts.measured(chain(spec, 2.0)), "groups, ail, beta as achieved_beta") for name, spec, _ in _VIEWS]))
 def view_releases(spark, sf_dir):
     """The method on the other views."""
     out = []
-    for name, spec, df in (("orders", views.ORDERS, views.orders_view(spark, sf_dir)), ("customers", views.CUSTOMERS, views.customer_view(spark, sf_dir)), ("talk", views.TALK, views.talk_view(spark, sf_dir)), ("docs", views.DOCS, views.docs_view(spark, sf_dir)), ("vectors", views.vector_spec(4), views.vector_view(spark, sf_dir, 4))):
-        c = Compared(spark, sf_dir, spec, df)
-        m = c.measures(deal.deal(deal.prepare(df, spec, 2.0), "rank").withColumn("n", F.lit(1).cast("long")))
+    for name, spec, view in _VIEWS:
+        c = Compared(spark, sf_dir, spec, view(spark, sf_dir))
+        m = c.measures(c.ours(2.0, "rank"))
         out.append((name, m["groups"], m["ail"], m["beta"]))
     return frame(spark, out, "view string, groups long, ail double, achieved_beta double")

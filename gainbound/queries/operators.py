@@ -421,7 +421,7 @@ def stream_sessions(spark, sf_dir):
     return got.select("user_id", *(F.date_format(c, "yyyy-MM-dd HH:mm:ss.SSSSSS").alias(name) for c, name in (("begin", "begin"), ("end", "finish"))), "n")
 
 
-@query("stream_late")
+@query("stream_late", "select event_id, event_type from events")
 def stream_late(spark, sf_dir):
     """Each event once, although it is sent twice."""
     e = _stream(spark, sf_dir)
@@ -429,7 +429,7 @@ def stream_late(spark, sf_dir):
     return stream.drain(stream.deduplicated(twice, "40 days").select("event_id", "event_type"), _name("late"))
 
 
-@query("stream_randomise")
+@query("stream_randomise", "select count(*) as n, count(*) as same from events")
 def stream_randomise(spark, sf_dir):
     """The stream's rows are those of the batch: coins belong to rows."""
     r = perturb.randomiser(model.domain(table(spark, sf_dir, "events"), "event_type"), 2.0)

@@ -147,7 +147,14 @@ def reconstruct_clip(spark, sf_dir):
     return perturb.reconstruct(published.groupBy("sa").agg(F.count("*").alias("e")), r).select("sa", F.round(F.greatest("n_hat", F.lit(0.0)), 4).alias("n_hat"))
 
 
-@query("reconstruct_em")
+@query("reconstruct_em", _P + gamma_sql(BETA) + coins_sql() + """, ob as (select tm.sa, alpha, off, coalesce(e, 0) as e from tm left join (select pub as sa, count(*) as e from rz group by pub) as o using (sa)),
+ls as materialized (select list(sa order by sa) as vs, list(alpha order by sa) as al, list(off order by sa) as of, list(e order by sa) as es from ob),
+em(round, x) as (
+    select 0, list_transform(es, lambda e: list_sum(es) / len(es)) from ls
+    union all
+    select round + 1, list_transform(range(1, len(x) + 1), lambda i: x[i] * (al[i] * ra[i] + of[i] * list_sum(ra)))
+    from (select *, list_transform(range(1, len(x) + 1), lambda i: es[i] / (al[i] * x[i] + pull)) as ra from (select *, list_sum(list_transform(range(1, len(x) + 1), lambda i: of[i] * x[i])) as pull from em, ls where round < 200)))
+select unnest(vs) as sa, round(unnest(x), 6) as n_hat from em, ls where round = 200""")
 def reconstruct_em(spark, sf_dir):
     """Non-negative counts by iterating Bayes' rule on the observed ones."""
     _, r, published = _randomised(spark, sf_dir)

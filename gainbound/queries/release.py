@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from gainbound.functions.bounds import cap_expr, gain_expr, sign_expr
 from gainbound.functions.curves import curve_expr, grid_expr
 from gainbound.operators import deal, loss, model, publish
+from gainbound.operators.settle import settle
 from gainbound.plans import sizetree
 from gainbound.plans.buckets import can_share, ordered, plan_buckets, proportional_groups
 from gainbound.plans.spec import ReleaseSpec
@@ -134,7 +135,18 @@ def merge_monotone(spark, sf_dir):
     return merged.join(parts, "ec").select("ec", r6("merged_gain"), r6("parts_gain"), (F.col("merged_gain") <= F.col("parts_gain") + 1e-9).alias("ok"))
 
 
-@query("repair_merge")
+_MERGING = f""", mp(k, ec, target) as (
+    select 0, ec, ec from (select distinct ec from hg)
+    union all
+    (with mh as (select k, target, sa, n / sum(n) over (partition by target) as q from (select k, target, sa, sum(n) as n from mp join hg using (ec) group by k, target, sa)),
+    bd as (select distinct target // (cast(1 as bigint) << (k + 1)) as b from mh join d using (sa) where q > {sql.cap('p', 2.0)} + 1e-12)
+    select k + 1, ec, case when bd.b is null then target else bd.b * (cast(1 as bigint) << (k + 1)) end from mp left join bd on target // (cast(1 as bigint) << (k + 1)) = bd.b where exists (select 1 from bd) and k < 62)),
+mf as materialized (select ec, target from mp where k = (select max(k) from mp)),
+mh as materialized (select target as ec, sa, n, sum(n) over (partition by target) as size from (select target, sa, sum(n) as n from mf join hg using (ec) group by target, sa))
+select ec, cast(max(size) as bigint) as size, round(greatest(max((mh.n / size - p) / p), 0.0), 6) as max_gain, not bool_or(mh.n / size > {sql.cap('p', 2.0)} + 1e-12) as ok from mh join d using (sa) group by ec"""
+
+
+@query("repair_merge", chain(upto="hist") + _MERGING)
 def repair_merge(spark, sf_dir):
     """A release dealt for beta 4 is repaired for beta 2."""
     hist, prior = hist_and_prior(spark, sf_dir)
@@ -322,7 +334,7 @@ def lex_keys(spark, sf_dir):
     return deal.keyed(planned(spark, sf_dir, C5), "lex").select("row_key", "key")
 
 
-@query("hilbert_keys")
+@query("hilbert_keys", chain(upto="key", curve="hilbert") + "select distinct x1, x2, x3, key from kd")
 def hilbert_keys(spark, sf_dir):
     """Keys of distinct cells only."""
     d = planned(spark, sf_dir)
@@ -331,6 +343,12 @@ def hilbert_keys(spark, sf_dir):
     return cells.withColumn("key", curve_expr("hilbert", grid, d.bits))
 
 
+@query("hilbert_keys_five", chain(C5, upto="key", curve="hilbert") + "select row_key, key from kd")
+def hilbert_keys_five(spark, sf_dir):
+    """Five axes, whose grid is too large for a table of its points."""
+    return deal.keyed(planned(spark, sf_dir, C5), "hilbert").select("row_key", "key")
+
+
 # dealing and publication
 
 _DEALT = chain(upto="dealt") + "select row_key, x1, x2, x3, sa, bucket, rank, ec from dealt"
@@ -346,28 +364,53 @@ def deal_rank_orders(spark, sf_dir):
     return deal.deal_rank(deal.prepare(views.orders_view(spark, sf_dir), views.ORDERS, 1.0)).select("row_key", "sa", "bucket", "rank", "ec")
 
 
-def _drawn(name: str, draw: str, sa: str = "price_class", qi: int = 3):
-    @query(name)
+@query("deal_curve", chain(upto="dealt", draw="curve") + "select row_key, sa, bucket, ec from dealt")
+def deal_curve(spark, sf_dir):
+    """The greedy search along the Hilbert curve: every row's group."""
+    return deal.bucket_and_deal(census(spark, sf_dir), C3, BETA, draw="curve").select("row_key", "sa", "bucket", "ec")
+
+
+_SIZED = ", rc as materialized (select bucket, cast(sum(cast('0x' || substr(row_key, 1, 8) as bigint)) as bigint) as checksum from enc join plan on enc.sa is not distinct from plan.sa group by bucket)\nselect ec, bucket, cnt as n, checksum from runs join rc using (bucket) where cnt > 0"
+
+
+def _sized(name: str, draw: str, sa: str):
+    @query(name, chain(C3.with_sa(sa), upto="tree") + _SIZED)
     def run(spark, sf_dir):
-        rows = deal.bucket_and_deal(census(spark, sf_dir), C5.with_qi(qi).with_sa(sa), BETA, draw=draw)
-        return rows.groupBy("ec").agg(F.count("*").alias("size"), *(f(x).alias(f"{x}_{n}") for x in ("x1", "x2", "x3")[:qi] for f, n in ((F.min, "lo"), (F.max, "hi"))))
+        rows = deal.bucket_and_deal(census(spark, sf_dir), C3.with_sa(sa), BETA, draw=draw)
+        taken = rows.groupBy("ec", "bucket").agg(F.count("*").alias("n"), F.sum(F.conv(F.substring("row_key", 1, 8), 16, 10).cast("long")).alias("part"))
+        return taken.select("ec", "bucket", "n", F.sum("part").over(Window.partitionBy("bucket")).alias("checksum"))
 
+    run.__doc__ = "Rows of each group and bucket, which the plan fixes, beside a checksum of each bucket's rows, of which none is lost or doubled."
 
-_drawn("deal_curve", "curve")
-_drawn("deal_euclid", "euclid")
-_drawn("deal_cosplit", "cosplit")
 
+_sized("deal_euclid", "euclid", "corr_class")
+_sized("deal_cosplit", "cosplit", "price_class")
 
-@query("flagship_release", chain(upto="losses") + "select ec, cast(any_value(size) as bigint) as size, round(any_value(loss), 6) as loss, " + ", ".join(f"any_value({x}_{n}) as {x}_{n}" for x in ("x1", "x2", "x3") for n in ("lo", "hi")) + f", round(greatest(max((q - p) / p), 0.0), 6) as max_gain, not bool_or(q > {sql.cap('p', BETA)} + 1e-12) as ok from ls join hp using (ec, size) group by ec")
-def flagship_release(spark, sf_dir):
-    """The whole method with its audit: boxes, loss and largest gain of each group."""
-    d, rows = grouped(spark, sf_dir)
+
+_AUDITED = "select ec, cast(any_value(size) as bigint) as size, round(any_value(loss), 6) as loss, " + ", ".join(f"any_value({x}_{n}) as {x}_{n}" for x in ("x1", "x2", "x3") for n in ("lo", "hi")) + f", round(greatest(max((q - p) / p), 0.0), 6) as max_gain, not bool_or(q > {sql.cap('p', BETA)} + 1e-12) as ok from ls join hp using (ec, size) group by ec"
+
+
+def _audited(d: deal.Dealing, rows: DataFrame) -> DataFrame:
+    """Box, loss and largest gain of each group."""
     lost = loss.group_loss(loss.boxes(rows, d.spec), d.spec, d.domains)
-    prior = model.prior_frame(spark, d.counts, "int")
+    prior = model.prior_frame(rows.sparkSession, d.counts, "int")
     audited = model.audit(model.histogram(rows, "sa"), prior, BETA).select("ec", "max_gain", "ok")
     return lost.join(audited, "ec").select("ec", "size", r6("loss"), *(f"{x}_{n}" for x in d.spec.axes for n in ("lo", "hi")), r6("max_gain"), "ok")
 
 
+@query("flagship_release", chain(upto="losses") + _AUDITED)
+def flagship_release(spark, sf_dir):
+    """The whole method with its audit, drawn by rank along the z-order."""
+    return _audited(*grouped(spark, sf_dir))
+
+
+@query("flagship_curve", chain(upto="losses", draw="curve") + _AUDITED)
+def flagship_curve(spark, sf_dir):
+    """The whole method with its audit, drawn by the greedy search along the Hilbert curve."""
+    d = planned(spark, sf_dir)
+    return _audited(d, settle(deal.deal(d, "curve")))
+
+
 def _cover_sql(spec: ReleaseSpec) -> str:
     """Text of each axis's interval, from the boxes bx."""
     out = []

@@ -43,7 +43,7 @@ def test_partitioning_does_not_matter(people):
 
 def test_ranks_of_frequent_keys(spark):
     rows = spark.createDataFrame([(f"{i * 7919 % 1000:03x}", i % 2, 5 if i % 4 else i) for i in range(1000)], "row_key string, bucket int, key long")
-    got = sorted((r.bucket, r.key, r.row_key, r["rank"]) for r in deal.rank_in_bucket(rows, 16).collect())
+    got = sorted((r.bucket, r.key, r.row_key, r["rank"]) for r in deal.rank_in_bucket(rows, 1000, 16).collect())
     for b in (0, 1):
         assert [r[3] for r in got if r[0] == b] == list(range(500))
 
