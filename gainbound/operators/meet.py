@@ -68,7 +68,8 @@ def sums(rows: DataFrame, bounds: list[tuple[str, str]], weights: list[str], q:
     """qid, v (sum over rows of what value makes of a block's shares) for the queries that some row meets.
 
     bounds: names of each axis's low and high column; weights: further columns, which value gets as arrays (lists of a block's rows)."""
-    known = rows.sparkSession.sparkContext.broadcast(q)
+    context = rows.sparkSession.sparkContext
+    known = context.broadcast(q)
     columns = list(dict.fromkeys([*(c for pair in bounds for c in pair), *weights]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -84,4 +85,6 @@ def sums(rows: DataFrame, bounds: list[tuple[str, str]], weights: list[str], q:
                 total += value(some, [part.column(columns.index(w)) for w in weights], asked)
         yield pa.RecordBatch.from_arrays([pa.array(asked.qid[met]), pa.array(total[met])], names=["qid", "v"])
 
-    return rows.select(*columns).mapInArrow(run, "qid long, v double").groupBy("qid").agg(F.sum("v").alias("v"))
+    # a row is few bytes and as many comparisons as there are queries, so rows are spread by number and not by size
+    spread = rows.select(*columns).repartition(max(context.defaultParallelism, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    return spread.mapInArrow(run, "qid long, v double").groupBy("qid").agg(F.sum("v").alias("v"))

@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from gainbound.functions.bounds import EPS, cap_expr, gain_expr, sign_expr
+from gainbound.operators.settle import settle
 
 #: Largest domain of a sensitive column that is planned on the driver.
 MAX_DOMAIN = 100_000
@@ -182,15 +183,15 @@ def repair_by_merging(hist: DataFrame, prior: DataFrame, beta: float, kind: str
     """Merges failing groups with their neighbours along the numbering, doubling blocks, until every group keeps the bound.
 
     Returns the map (ec, to) of groups and the merged histogram. A block of 2**k neighbours is merged only if a failing group is in it."""
-    groups = hist.select("ec").distinct()
-    mapping = groups.withColumn("to", F.col("ec"))
+    hist = settle(hist)
+    mapping = settle(hist.select("ec").distinct().withColumn("to", F.col("ec")))
     merged = hist
     for k in range(1, rounds):
-        bad = audit(merged, prior, beta, kind).where(~F.col("ok")).select("ec")
+        bad = settle(audit(merged, prior, beta, kind).where(~F.col("ok")).select("ec"))
         if bad.isEmpty():
             break
         block = F.floor(F.col("to") / (1 << k)).cast("long")
         hit = bad.select(F.floor(F.col("ec") / (1 << k)).cast("long").alias("b")).distinct()
-        mapping = mapping.withColumn("b", block).join(hit.withColumn("hit", F.lit(True)), "b", "left").select("ec", F.when(F.col("hit"), F.col("b") * (1 << k)).otherwise(F.col("to")).alias("to"))
+        mapping = settle(mapping.withColumn("b", block).join(hit.withColumn("hit", F.lit(True)), "b", "left").select("ec", F.when(F.col("hit"), F.col("b") * (1 << k)).otherwise(F.col("to")).alias("to")))
         merged = with_sizes(hist.join(mapping, "ec").groupBy(F.col("to").alias("ec"), "sa").agg(F.sum("n").alias("n")))
     return mapping, merged
