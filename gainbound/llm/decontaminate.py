@@ -2,7 +2,7 @@
 
 Texts are lower-cased (A-Z) and cut into runs of letters and digits. A phrase is 13
 consecutive words of a benchmark item, or the whole item if it has fewer. A task gathers
-texts into shards of about half a million words. A shard's words are numbered by the
+texts into shards of about a quarter of a million words. A shard's words are numbered by the
 vocabulary of the phrases; words that no phrase has, and text ends, become separators,
 which no phrase crosses. The suffixes of that sequence are sorted, the last column of the
 sorted rotations goes into a wavelet matrix, and all phrases are searched backwards at
@@ -30,11 +30,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gainbound.llm import bytetext as bt
-from gainbound.llm.common import fresh, settle, shared_uri
+from gainbound.llm.common import fresh, settle, shared_uri, with_judged
 
 WINDOW = 13
-SHARD_WORDS = 1 << 19
-PIECE = 2 << 20
+SHARD_WORDS = 1 << 18
+PIECE = 1 << 20
 BLOCK_BYTES = 16 << 20
 #: Shards are larger by up to this factor where there are many blocks.
 MANY_BLOCKS = 8
@@ -207,15 +207,20 @@ class Shard:
         return tuple(np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64),) * 4
 
 
+def _words(part: pa.RecordBatch, at: int) -> tuple[np.ndarray, np.ndarray]:
+    """Word hashes of a batch's texts, and each text's number of words."""
+    t = bt.texts_of(part.column(at))
+    start, end, ranges = bt.find_words(t, bt.ALNUM)
+    return bt.hash_spans(bt.LOWER[t.buf], start, end), np.diff(ranges)
+
+
 def _shards(batches, at: int, most: int):
-    """Runs of rows of about `most` words: the rows, their word hashes and numbers of words."""
+    """Runs of rows of about `most` words: the ids, word hashes and numbers of words of each piece."""
     held, words = [], 0
     for batch in batches:
         for part in bt.pieces(batch, at, PIECE):
-            t = bt.texts_of(part.column(at))
-            start, end, ranges = bt.find_words(t, bt.ALNUM)
-            held.append((part, bt.hash_spans(bt.LOWER[t.buf], start, end), np.diff(ranges)))
-            words += len(start)
+            held.append((part.column(0), *_words(part, at)))
+            words += len(held[-1][1])
             if words >= most:
                 yield held
                 held, words = [], 0
@@ -223,24 +228,29 @@ def _shards(batches, at: int, most: int):
         yield held
 
 
-def _locate(blocks: Blocks, at: int, carried: list[int], kinds: pa.Schema, most: int):
-    """Judges the texts in column `at`; the carried columns go on."""
+def _hits(words: np.ndarray, n: np.ndarray, blocks: Blocks) -> tuple[np.ndarray, np.ndarray, list[set[str]]]:
+    """Of texts of n words each: which words are hit, the texts' ranges, and the items found in each."""
+    ranges = np.concatenate(([0], np.cumsum(n)))
+    edge, names = np.zeros(len(words) + 1, np.int64), [set() for _ in range(len(n))]
+    shard = None
+    for block in blocks.each():
+        shard = shard or Shard(words, ranges, block["vocabulary"] if blocks.single else None)
+        doc, first, length, item = shard.search(block)
+        np.add.at(edge, first, 1)
+        np.add.at(edge, first + length, -1)
+        for pair in np.unique(doc * (len(block["items"]) + 1) + item).tolist():
+            d, i = divmod(pair, len(block["items"]) + 1)
+            names[d].add(block["items"][i])
+    return np.cumsum(edge[:-1]) > 0, ranges, names
+
+
+def _locate(blocks: Blocks, id_type: pa.DataType, most: int):
+    kinds = pa.schema([("doc_id", id_type), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())])))])
 
     def run(batches):
-        for held in _shards(batches, at, most):
+        for held in _shards(batches, 1, most):
             words, n = np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held])
-            ranges = np.concatenate(([0], np.cumsum(n)))
-            edge, names = np.zeros(len(words) + 1, np.int64), [set() for _ in range(len(n))]
-            shard = None
-            for block in blocks.each():
-                shard = shard or Shard(words, ranges, block["vocabulary"] if blocks.single else None)
-                doc, first, length, item = shard.search(block)
-                np.add.at(edge, first, 1)
-                np.add.at(edge, first + length, -1)
-                for pair in np.unique(doc * (len(block["items"]) + 1) + item).tolist():
-                    d, i = divmod(pair, len(block["items"]) + 1)
-                    names[d].add(block["items"][i])
-            hit = np.cumsum(edge[:-1]) > 0
+            hit, ranges, names = _hits(words, n, blocks)
             n_hit = bt.per_text(hit, ranges)
             spans = [None] * len(n)
             for d in range(len(n)):
@@ -248,12 +258,8 @@ def _locate(blocks: Blocks, at: int, carried: list[int], kinds: pa.Schema, most:
                 if n_hit[d]:
                     x = np.flatnonzero(np.diff(hit[ranges[d] : ranges[d + 1]].astype(np.int8), prepend=0, append=0))
                     spans[d] = [{"first": int(x[i]), "end": int(x[i + 1])} for i in range(0, len(x), 2)]
-            row = 0
-            for part, _, some in held:
-                till = row + len(some)
-                judged = [pa.array(n[row:till], pa.int64()), pa.array(n_hit[row:till], pa.int64()), pa.array([sorted(x) for x in names[row:till]], pa.list_(pa.string())), pa.array(spans[row:till], kinds.field(len(kinds) - 1).type)]
-                yield pa.RecordBatch.from_arrays([*(part.column(k).cast(kinds.field(j).type) for j, k in enumerate(carried)), *judged], schema=kinds)
-                row = till
+            ids = pa.concat_arrays([h[0] for h in held]).cast(id_type)
+            yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(n_hit, pa.int64()), pa.array([sorted(x) for x in names], kinds.field("items").type), pa.array(spans, kinds.field("spans").type)], schema=kinds)
 
     return run
 
@@ -314,31 +320,28 @@ def benchmark_blocks(benchmark: DataFrame, window: int, limit: int | None = None
     return Blocks(None, [r.path for r in settle(items.mapInArrow(write, "path string")).collect()])
 
 
-_FOUND = "`{}` long, `{}` long, `{}` array<string>, `{}` array<struct<first:long,end:long>>"
-
-
-def _judged(docs: DataFrame, columns: list[str], carried: list[str], benchmark: DataFrame, window: int, found: list[str]) -> DataFrame:
+def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+    """doc_id, n_words, n_hit, items (found in it) and spans (merged intervals of hit words) of each document."""
     from pyspark.sql.pandas.types import to_arrow_type
 
-    blocks = benchmark_blocks(benchmark, window)
-    some = docs.select(*(F.col(f"`{c}`") for c in columns))
-    spans = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))
-    kinds = pa.schema([*((c, to_arrow_type(docs.schema[c].dataType)) for c in carried), *zip(found, [pa.int64(), pa.int64(), pa.list_(pa.string()), spans], strict=True)])
+    blocks, kind = benchmark_blocks(benchmark, window), docs.schema["doc_id"].dataType
     most = SHARD_WORDS * max(1, min(MANY_BLOCKS, len(blocks.paths)))
-    ddl = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carried]
-    return some.mapInArrow(_locate(blocks, columns.index("text"), [columns.index(c) for c in carried], kinds, most), ", ".join([*ddl, _FOUND.format(*found)]))
+    return docs.select("doc_id", "text").mapInArrow(_locate(blocks, to_arrow_type(kind), most), f"doc_id {kind.simpleString()}, n_words long, n_hit long, items array<string>, spans array<struct<first:long,end:long>>")
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """doc_id, n_words, n_hit, items (found in it) and spans (merged intervals of hit words) of each document."""
-    return _judged(docs, ["doc_id", "text"], ["doc_id"], benchmark, window, ["n_words", "n_hit", "items", "spans"])
+def without_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, percent: int = 5) -> DataFrame:
+    """The rows of docs whose own text isn't contaminated, as they are; a shard is what of an Arrow batch comes to so many words."""
+    blocks = benchmark_blocks(benchmark, window)
 
+    def judge(part: pa.RecordBatch) -> list[pa.Array]:
+        words, n = _words(part, 0)
+        hit, ranges, _ = _hits(words, n, blocks)
+        return [pa.array(n, pa.int64()), pa.array(bt.per_text(hit, ranges), pa.int64())]
 
-def without_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, percent: int = 5) -> DataFrame:
-    """The rows of docs whose own text isn't contaminated, as they are."""
-    found = [fresh(docs.columns, c) for c in ("_words", "_hit", "_items", "_spans")]
-    judged = _judged(docs, docs.columns, docs.columns, benchmark, window, found)
-    return judged.where(~is_contaminated(percent, *found[:2])).select(*(F.col(f"`{c}`") for c in docs.columns))
+    found = [fresh(docs.columns, c) for c in ("_words", "_hit")]
+    # about six bytes a word
+    judged = with_judged(docs, judge, [(c, "long") for c in found], 6 * SHARD_WORDS * max(1, min(MANY_BLOCKS, len(blocks.paths))))
+    return judged.where(~is_contaminated(percent, *found)).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def is_contaminated(percent: int = 5, n_words: str = "n_words", n_hit: str = "n_hit"):

@@ -38,7 +38,7 @@ WORDS = 5
 THRESHOLD = 0.8
 RECALL = 0.9999
 HASHES = 192
-PIECE = 2 << 20
+PIECE = 1 << 20
 #: Most texts and bytes of one block of a component, most members of one block of a bucket.
 BLOCK_TEXTS, BLOCK_BYTES, BLOCK_MEMBERS = 384, 16 << 20, 256
 #: Standard deviations below the expected agreement at which two nodes count as far, and the columns of the bits (two planes of three words).

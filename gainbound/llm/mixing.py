@@ -35,7 +35,7 @@ TRAIN_ROWS = 2_000
 MAX_DOMAINS = 256
 SOFT_WORDS = 24
 BUCKET_BITS = 16
-PIECE = 2 << 20
+PIECE = 1 << 20
 
 
 def _words(t: bt.Texts) -> tuple[np.ndarray, np.ndarray]:
@@ -173,9 +173,9 @@ def apply_rates(docs: DataFrame, model: Classifier, fit: Fit, seed: int = 17) ->
     known = docs.sparkSession.sparkContext.broadcast((model, fit))
     names = docs.columns
     tokens, domain, rate, copies = (fresh(names, c) for c in ("_tokens", "_domain", "_rate", "_copies"))
-    def judge(t: bt.Texts) -> list[pa.Array]:
+    def judge(part: pa.RecordBatch) -> list[pa.Array]:
         m, f = known.value
-        n, p = m.posteriors(t)
+        n, p = m.posteriors(bt.texts_of(part.column(0)))
         return [pa.array(n.astype(np.int64)), pa.array([m.domains[i] for i in p.argmax(1)], pa.string()), pa.array(f.rates(p))]
 
     out = with_judged(docs, judge, [(tokens, "long"), (domain, "string"), (rate, "double")], PIECE)

@@ -25,7 +25,7 @@ from gainbound.llm.common import bounded_sample, fresh, in_fold, settle, with_ju
 TRAIN_ROWS = 20_000
 TERMS = 1024
 FACTORS = 4
-PIECE = 2 << 20
+PIECE = 1 << 20
 PREFIXES = (4, 5, 6)
 THRESHOLD = 0.3
 #: Terms must tell this share of what the luckiest of as many meaningless terms would.
@@ -196,7 +196,7 @@ def _machine(docs: DataFrame, labels: DataFrame, bound: int) -> Machine:
 def without_toxic(docs: DataFrame, labels: DataFrame, bound: int = TRAIN_ROWS) -> DataFrame:
     """The rows of docs whose own text scores below the threshold, as they are."""
     model, name = docs.sparkSession.sparkContext.broadcast(_machine(docs, labels, bound)), fresh(docs.columns, "_score")
-    scored = with_judged(docs, lambda t: [pa.array(model.value.score(t))], [(name, "double")], PIECE)
+    scored = with_judged(docs, lambda part: [pa.array(model.value.score(bt.texts_of(part.column(0))))], [(name, "double")], PIECE)
     return scored.where(F.col(name) < THRESHOLD).drop(name)
 
 
