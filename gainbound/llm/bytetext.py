@@ -17,7 +17,8 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 U64 = np.uint64
-_BLOCK = 1 << 18
+#: Elements of a pass; tables of powers, which a worker keeps, are twice as long.
+_BLOCK = 1 << 16
 
 
 def _splitmix(x: np.ndarray) -> np.ndarray:

@@ -14,6 +14,8 @@ from gainbound.llm import bytetext as bt
 
 #: A side of a join is broadcast only if its rows, counted first, fit in this many bytes.
 BROADCAST_BYTES = 32 << 20
+#: Most rows of an Arrow batch of texts: by Spark's default of 10,000, texts of a few kilobytes make batches of tens of megabytes on both sides.
+BATCH_ROWS = 2_000
 #: Most values of a class label.
 MAX_CLASSES = 10_000
 
@@ -37,8 +39,16 @@ def shared_uri(spark: SparkSession) -> str:
     return "file://" + path.removeprefix("file:") if path.startswith("file:/") and not path.startswith("file://") else path if "://" in path else "file://" + path
 
 
+def bound_batches(spark: SparkSession) -> None:
+    """Lowers the session's rows of an Arrow batch to BATCH_ROWS, a setting that may change while a session runs."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def settle(df: DataFrame) -> DataFrame:
     """df computed once and kept in the shared folder, where the loss of executors can't reach it."""
+    bound_batches(df.sparkSession)
     shared_dir(df.sparkSession)
     return df.checkpoint(eager=True)
 
@@ -83,6 +93,7 @@ def with_judged(docs: DataFrame, judge: Callable[[pa.RecordBatch], list[pa.Array
         parts = [pa.StructArray.from_arrays(judge(part), names=names) for part in bt.pieces(batch, 0, piece)]
         return pa.concat_arrays(parts) if parts else pa.StructArray.from_arrays(judge(batch), names=names)
 
+    bound_batches(docs.sparkSession)
     held = fresh([*docs.columns, *(n for n, _ in new)], "_verdict")
     judged = docs.withColumn(held, run(F.col("text")))
     return judged.select(*(F.col(f"`{c}`") for c in docs.columns), *(F.col(held)[v].alias(n) for v, (n, _) in zip(names, new, strict=True)))
