@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from gainbound.operators import deal, emddeal, kdcut, loss, model, publish, workload
+from gainbound.operators import attack, deal, emddeal, kdcut, loss, model, publish, workload
 from gainbound.operators.search import search
 from gainbound.plans.hierarchy import Hierarchy
 from gainbound.plans.spec import CATEGORICAL, Attribute, ReleaseSpec
@@ -35,6 +35,63 @@ def test_releases_keep_the_bound(spark, people, draw, kind):
     assert model.audit(model.histogram(rows, "sa"), prior, 2.0, kind).where("not ok").isEmpty()
 
 
+def test_one_group_is_not_searched(spark, people):
+    """A plan whose root can't be halved needs no task that holds the table."""
+    lonely = people.withColumn("sa", F.when(F.col("id") == "00007", 99).otherwise(F.col("sa")))
+    d = deal.prepare(lonely, SPEC, 0.5)
+    rows = deal.deal(d, "curve")
+    assert d.tree.n_leaves == 1 and rows.select("ec").distinct().count() == 1 and rows.count() == 3000
+    assert "FlatMapGroupsInPandas" not in rows._jdf.queryExecution().toString()
+
+
+def test_pools_are_the_plain_greedy_search():
+    """Runs taken by stretches against lists that are cut."""
+    random = np.random.default_rng(8)
+    keys = [np.sort(random.integers(0, 400, n)) for n in (700, 90, 40)]
+    rows = [np.arange(len(k)) + 1000 * j for j, k in enumerate(keys)]
+    leaves = np.array([[35, 4, 2]] * 15 + [[175, 30, 10]])
+    got = {(leaf, j): r.tolist() for leaf, j, r in deal.fill_curve(rows, keys, leaves, 5, 1)}
+    left = [list(zip(k.tolist(), r.tolist(), strict=True)) for k, r in zip(keys, rows, strict=True)]
+    for leaf in deal._by_lot(1, 5, len(leaves)):
+        own = left[deal._chosen(leaves[leaf], 1, 5 + leaf)]
+        x = own[int(deal._share(1, "row", 5 + leaf) * len(own))][0]
+        for j, need in enumerate(leaves[leaf].tolist()):
+            taken = [r for _, r in left[j] if r in set(got[leaf, j])]
+            assert len(taken) == need and taken == got[leaf, j]
+            far = max(abs(k - x) for k, r in left[j] if r in set(taken))
+            rest = [abs(k - x) for k, r in left[j] if r not in set(taken)]
+            assert not rest or min(rest) >= far
+            left[j] = [p for p in left[j] if p[1] not in set(taken)]
+    assert not any(left)
+
+
+def test_null_coordinates_are_refused(spark, people):
+    with pytest.raises(ValueError, match="age has nulls"):
+        deal.prepare(people.withColumn("age", F.when(F.col("id") > "00002", F.col("age"))), SPEC, 2.0)
+
+
+def test_attacks_on_text_and_null_values(spark, people):
+    named = people.withColumn("sa", F.when(F.col("sa") > 0, F.concat(F.lit("v"), F.col("sa").cast("string"))))
+    d = deal.prepare(named, SPEC, 2.0)
+    prior = model.prior_frame(spark, d.counts, "string")
+    cells = workload.cube(d.encoded, SPEC.axes)
+    guesses = attack.bayes_predict(cells, SPEC.axes, attack.conditionals(attack.marginals(d.encoded, SPEC.axes), prior), prior)
+    hit = attack.success(cells, SPEC.axes, guesses).first()
+    assert hit.n_rows == 3000 and 0.2 < hit.success < 0.6
+    rate, chance, rounds, changed = attack.exchange_attack(deal.deal(d, "rank"), SPEC.axes, rounds=3)
+    assert 0 < rate < 1 and 0 < chance < 1 and 1 <= rounds <= 3 and 0 <= changed <= 1
+
+
+def test_boxes_are_summed_as_if_compared(spark):
+    published = spark.createDataFrame([(0, 1, 5, 0, 3), (1, 1, 2, 2, 6), (2, 2, 7, 9, 9)], "ec long, sa int, n long, x1_lo int, x1_hi int")
+    got = {(r.value, r.sa): r.n for r in attack.box_marginals(published, ["x1"], [(0, 9)]).collect()}
+    want = {}
+    for _, sa, n, lo, hi in published.collect():
+        for v in range(lo, hi + 1):
+            want[v, sa] = want.get((v, sa), 0) + n
+    assert got == want
+
+
 def test_partitioning_does_not_matter(people):
     a = deal.bucket_and_deal(people.repartition(9), SPEC, 2.0, draw="curve")
     b = deal.bucket_and_deal(people.coalesce(1), SPEC, 2.0, draw="curve")
