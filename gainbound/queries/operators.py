@@ -2,16 +2,17 @@
 
 from __future__ import annotations
 
-import shutil
-import tempfile
 import uuid
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from gainbound.functions import sqlapi
 from gainbound.functions.bounds import cap_expr
 from gainbound.operators import loss, model, perturb
+from gainbound.operators.settle import remove, shared
 from gainbound.plans import sizetree
 from gainbound.plans.buckets import plan_buckets
 from gainbound.queries import chain as sql
@@ -44,15 +45,13 @@ def _round_trip(kind: str):
     @query(f"sink_{kind}", _V + "select nation, count(*) as n, sum(ship_month)::bigint as months from census group by nation")
     def run(spark, sf_dir):
         """The view written in another format and read back."""
-        folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-        path = f"{folder.rstrip('/')}/sink-{uuid.uuid4().hex}"
+        path = f"{shared(spark)}/sink-{uuid.uuid4().hex}"
         rows = census(spark, sf_dir).select("ship_month", "nation")
         tables.write(rows, path, kind, ["nation"] if kind == "parquet" else None)
         back = tables.read(spark, path, kind, "ship_month int, nation string" if kind != "parquet" else None)
         result = back.groupBy("nation").agg(F.count("*").alias("n"), F.sum("ship_month").alias("months"))
         kept = frame(spark, [tuple(r) for r in result.collect()], "nation string, n long, months long")  # one row a nation
-        if path.startswith(("/", "file:")):
-            shutil.rmtree(path.removeprefix("file://").removeprefix("file:"), ignore_errors=True)
+        remove(spark, path)
         return kept
 
 
@@ -60,6 +59,21 @@ for _kind in ("parquet", "csv", "json", "orc"):
     _round_trip(_kind)
 
 
+@query("sink_bucketed", "select c_mktsegment, count(*) as n from customer join orders on o_custkey = c_custkey group by c_mktsegment")
+def sink_bucketed(spark, sf_dir):
+    """Two tables written in equal buckets of the key, whose join then needs no exchange."""
+    names = [f"{t}_{uuid.uuid4().hex}" for t in ("customer", "orders")]
+    try:
+        for t, key, name in (("customer", "c_custkey", names[0]), ("orders", "o_custkey", names[1])):
+            table(spark, sf_dir, t).repartition(8, key).write.bucketBy(8, key).sortBy(key).saveAsTable(name)
+        c, o = (spark.table(n) for n in names)
+        result = c.join(o.hint("merge"), F.col("c_custkey") == F.col("o_custkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+        return frame(spark, [tuple(r) for r in result.collect()], "c_mktsegment string, n long")  # one row a segment
+    finally:
+        for n in names:
+            spark.sql(f"drop table if exists {n}")
+
+
 @query("deidentify", "select c_mktsegment, round(c_acctbal, 2) as c_acctbal, c_nationkey from customer")
 def deidentify(spark, sf_dir):
     return table(spark, sf_dir, "customer").drop("c_custkey", "c_name").select("c_mktsegment", F.round("c_acctbal", 2).alias("c_acctbal"), "c_nationkey")
@@ -83,6 +97,19 @@ def join_broadcast(spark, sf_dir):
     return d.encoded.join(F.broadcast(model.prior_frame(spark, d.counts, "int")), "sa").groupBy("sa").agg(F.count("*").alias("n"), r6(F.first("p"), "p"))
 
 
+def _strategy(hint: str):
+    @query(f"join_{hint}", "select o_orderstatus, count(*) as n, sum(l_linenumber)::bigint as lines from lineitem join orders on o_orderkey = l_orderkey group by o_orderstatus")
+    def run(spark, sf_dir):
+        """An equi-join of two large tables by the physical way that the hint names."""
+        o = table(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus")
+        rows = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber").join(o.hint(hint), F.col("o_orderkey") == F.col("l_orderkey"))
+        return rows.groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.sum("l_linenumber").alias("lines"))
+
+
+for _hint in ("merge", "shuffle_hash"):
+    _strategy(_hint)
+
+
 @query("join_boxes", chain(upto="boxes") + "select row_key, dealt.ec, x1_lo, x1_hi, x1 between x1_lo and x1_hi as inside from dealt join bx on bx.ec = dealt.ec")
 def join_boxes(spark, sf_dir):
     d, rows = grouped(spark, sf_dir)
@@ -275,6 +302,18 @@ def sample_prefix(spark, sf_dir):
     return first_by_hash(census(spark, sf_dir), 0.1).select("row_key")
 
 
+#: Share of each stratum's rows, as the part of 2^32 that a row's hash falls below.
+_STRATA = {"F": 429496729, "O": 858993459}
+
+
+@query("sample_strata", _V + "select row_key, l_linestatus from census where cast('0x' || substr(md5('strata|' || row_key), 1, 8) as bigint) < case l_linestatus " + " ".join(f"when '{k}' then {v}" for k, v in _STRATA.items()) + " end")
+def sample_strata(spark, sf_dir):
+    """A stratified sample: a share of its own for each line status, drawn by the row's hash, so a retry draws the same rows."""
+    lot = F.conv(F.substring(F.md5(F.concat(F.lit("strata|"), F.col("row_key"))), 1, 8), 16, 10).cast("long")
+    share = F.create_map(*[F.lit(x) for kv in _STRATA.items() for x in kv])
+    return census(spark, sf_dir).where(lot < share[F.col("l_linestatus")]).select("row_key", "l_linestatus")
+
+
 @query("str_mask", "select c_custkey, left(c_name, 4) || regexp_replace(substr(c_name, 5), '[0-9]', '*', 'g') as masked, upper(left(c_mktsegment, 3)) as seg, lpad(cast(c_nationkey as varchar), 3, '0') as nation, md5('k|' || c_name) as pseudonym from customer")
 def str_mask(spark, sf_dir):
     name = F.col("c_name")
@@ -366,6 +405,17 @@ def udf_cap(spark, sf_dir):
     return spark.sql(f"select sa, round(gain_cap(p, {BETA}D), 6) as cap from sa_tmp")
 
 
+@query("map_batches", "select c_custkey, least(4, greatest(0, floor((c_acctbal + 1000) / 2200)))::integer as band from customer")
+def map_batches(spark, sf_dir):
+    """A user's function over batches of rows: balances to five bands."""
+
+    def bands(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            yield pd.DataFrame({"c_custkey": b["c_custkey"], "band": ((b["c_acctbal"] + 1000) // 2200).clip(0, 4).astype("int32")})
+
+    return table(spark, sf_dir, "customer").select("c_custkey", "c_acctbal").mapInPandas(bands, "c_custkey long, band int")
+
+
 @query("udtf_leaves", chain(upto="tree") + "select ec, bucket, cnt from runs")
 def udtf_leaves(spark, sf_dir):
     plan = plan_buckets(model.domain(census(spark, sf_dir), "price_class"), BETA)
@@ -384,19 +434,15 @@ def _stream(spark, sf_dir):
     return stream.events_stream(spark, f"{sf_dir}/events.parquet")
 
 
-def _name(what: str) -> str:
-    return f"{what}_{uuid.uuid4().hex[:12]}"
-
-
 @query("stream_scan", "select event_type, count(*) as n from events group by event_type")
 def stream_scan(spark, sf_dir):
-    return stream.drain(_stream(spark, sf_dir).groupBy("event_type").agg(F.count("*").alias("n")), _name("scan"), "complete")
+    return stream.drain(_stream(spark, sf_dir).groupBy("event_type").agg(F.count("*").alias("n")), "scan", "complete")
 
 
 def _windows(name: str, slide: str | None, sql_text: str):
     @query(name, sql_text)
     def run(spark, sf_dir):
-        got = stream.drain(stream.window_counts(_stream(spark, sf_dir), "event_type", "1 day", slide), _name("w"), "complete")
+        got = stream.drain(stream.window_counts(_stream(spark, sf_dir), "event_type", "1 day", slide), "w", "complete")
         return got.select(F.date_format("begin", "yyyy-MM-dd HH:mm:ss").alias("begin"), "sa", "n")
 
 
@@ -409,7 +455,7 @@ select strftime(b, '%Y-%m-%d %H:%M:%S') as begin, cast(any_value(size) as bigint
 def stream_gain_tumbling(spark, sf_dir):
     """The privacy monitor: gains of each day's groups over the frozen prior."""
     prior = model.prior_frame(spark, model.domain(table(spark, sf_dir, "events"), "event_type"), "string")
-    counts = stream.drain(stream.window_counts(_stream(spark, sf_dir), "event_type"), _name("g"), "complete")
+    counts = stream.drain(stream.window_counts(_stream(spark, sf_dir), "event_type"), "g", "complete")
     return stream.window_gains(counts, prior).select(F.date_format("begin", "yyyy-MM-dd HH:mm:ss").alias("begin"), "size", r6("max_gain"))
 
 
@@ -426,7 +472,28 @@ def stream_late(spark, sf_dir):
     """Each event once, although it is sent twice."""
     e = _stream(spark, sf_dir)
     twice = e.union(_stream(spark, sf_dir))
-    return stream.drain(stream.deduplicated(twice, "40 days").select("event_id", "event_type"), _name("late"))
+    return stream.drain(stream.deduplicated(twice, "40 days").select("event_id", "event_type"), "late")
+
+
+@query("stream_dropped", """with a as (select date_trunc('milliseconds', max(ts)) - interval '1 day' as mark from events where hour(ts) >= 12)
+select count_if(hour(ts) >= 12 or ts > mark)::bigint as kept, count_if(hour(ts) < 12 and ts <= mark)::bigint as dropped from events, a""")
+def stream_dropped(spark, sf_dir):
+    """Mornings arrive when the stream has seen all afternoons: a second run goes on from the first one's checkpoint and drops what is later than its watermark."""
+    folder = f"{shared(spark)}/arrivals-{uuid.uuid4().hex}"
+    e, dropped = table(spark, sf_dir, "events"), 0
+    for part in (F.hour("ts") >= 12, F.hour("ts") < 12):
+        e.where(part).write.mode("append").parquet(f"{folder}/in")
+        arriving = stream.deduplicated(stream.events_stream(spark, f"{folder}/in", 1_000), "1 day")
+        dropped += stream.to_parquet(arriving.select("event_id"), f"{folder}/out", f"{folder}/log")
+    kept = spark.read.schema("event_id long").parquet(f"{folder}/out").count()
+    remove(spark, folder)
+    return frame(spark, [(kept, dropped)], "kept long, dropped long")
+
+
+@query("stream_update", "select event_type, count(*) as n from events group by event_type")
+def stream_update(spark, sf_dir):
+    """Update mode: batches write only the counts that changed, and the newest of each type is read."""
+    return stream.drain(_stream(spark, sf_dir).groupBy("event_type").agg(F.count("*").alias("n")), "update", "update", ["event_type"])
 
 
 @query("stream_randomise", "select count(*) as n, count(*) as same from events")
@@ -434,7 +501,7 @@ def stream_randomise(spark, sf_dir):
     """The stream's rows are those of the batch: coins belong to rows."""
     r = perturb.randomiser(model.domain(table(spark, sf_dir, "events"), "event_type"), 2.0)
     rows = views.events_of(_stream(spark, sf_dir)).select("row_key", "event_type")
-    got = stream.drain(stream.randomise_stream(rows, "event_type", "row_key", r, "secret"), _name("r"))
+    got = stream.drain(stream.randomise_stream(rows, "event_type", "row_key", r, "secret"), "r")
     batch = perturb.randomise(views.events_view(spark, sf_dir).select("row_key", "event_type"), "event_type", "row_key", r, "secret")
     return got.join(batch.withColumnRenamed("event_type", "again"), "row_key").agg(F.count("*").alias("n"), F.count_if(F.col("event_type") == F.col("again")).alias("same"))
 
@@ -442,7 +509,7 @@ def stream_randomise(spark, sf_dir):
 @query("stream_join", "select event_type, count(*) as n from events group by event_type")
 def stream_join(spark, sf_dir):
     prior = model.prior_frame(spark, model.domain(table(spark, sf_dir, "events"), "event_type"), "string")
-    got = stream.drain(stream.with_prior(_stream(spark, sf_dir), prior, "event_type").select("event_id", "event_type", "p"), _name("j"))
+    got = stream.drain(stream.with_prior(_stream(spark, sf_dir), prior, "event_type").select("event_id", "event_type", "p"), "j")
     return got.groupBy("event_type").agg(F.count("*").alias("n"))
 
 
@@ -452,7 +519,7 @@ def stream_interval_join(spark, sf_dir):
     a = _stream(spark, sf_dir).where("event_type = 'view'").select("event_id", "user_id", "ts")
     b = _stream(spark, sf_dir).where("event_type = 'purchase'").select("event_id", "user_id", "ts")
     got = stream.within(a, b, "user_id", 3600, "2 hours").select(F.col("a.event_id").alias("a"), F.col("b.event_id").alias("b"))
-    return stream.drain(got, _name("ij")).agg(F.count("*").alias("n"))
+    return stream.drain(got, "ij").agg(F.count("*").alias("n"))
 
 
 @query("stream_deal")
@@ -465,7 +532,7 @@ def stream_deal(spark, sf_dir):
 
     rows = views.events_of(_stream(spark, sf_dir)).select(F.lit(0).alias("shard"), bucket_expr(plan.bucket_of, F.col("value_band")).alias("bucket"), "row_key", F.col("value_band").alias("sa"))
     with stream.rocksdb(spark):
-        dealt = stream.drain(stream.deal_stream(rows, tree.leaf_vectors()), _name("deal"))
+        dealt = stream.drain(stream.deal_stream(rows, tree.leaf_vectors()), "deal")
     every = _events(spark, sf_dir).select("row_key", F.col("value_band").alias("sa"))
     merged, left = stream.merge_left(every, dealt, model.prior_frame(spark, counts, "int"), 5.0)
     groups = dealt.select("ec").withColumn("kind", F.lit("dealt")).union(merged.select("ec").withColumn("kind", F.lit("merged")))

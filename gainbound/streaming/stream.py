@@ -6,9 +6,11 @@ so a replayed row is published with the same value and an observer can't average
 
 from __future__ import annotations
 
+import uuid
 from collections import Counter
 from collections.abc import Iterable, Iterator
 from contextlib import contextmanager
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -19,6 +21,7 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from gainbound.functions.bounds import gain_expr
 from gainbound.operators.model import audit, histogram
 from gainbound.operators.perturb import Randomiser, randomise
+from gainbound.operators.settle import shared
 from gainbound.sources.tables import SCHEMAS
 
 
@@ -149,13 +152,36 @@ def rocksdb(spark: SparkSession) -> Iterator[None]:
         spark.conf.set(key, before)
 
 
-def drain(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs a stream over what there is into a table in memory, for tests and small results, and returns the table."""
-    q = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
+def drain(stream: DataFrame, name: str, mode: str = "append", keys: list[str] | None = None) -> DataFrame:
+    """Runs a stream over what there is into a folder of its own in the shared one, and returns the rows written.
+
+    append: the file sink. complete: each batch's whole result, of which the last one counts. update: the
+    newest row of each value of keys. A batch that is run again overwrites what it wrote before."""
+    spark = stream.sparkSession
+    folder = f"{shared(spark)}/{name}-{uuid.uuid4().hex}"
+    if mode == "append":
+        to_parquet(stream, f"{folder}/rows", f"{folder}/log")
+        return spark.read.schema(stream.schema).parquet(f"{folder}/rows")
+    if mode == "update" and not keys:
+        raise ValueError("update mode needs the keys whose newest rows are wanted")
+    written: list[int] = []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/rows/{number}")
+        written.append(number)
+
+    stream.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", f"{folder}/log").trigger(availableNow=True).start().awaitTermination()
+    if not written:
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        return spark.read.schema(stream.schema).parquet(f"{folder}/rows/{max(written)}")
+    every = reduce(DataFrame.union, (spark.read.schema(stream.schema).parquet(f"{folder}/rows/{i}").withColumn("_batch", F.lit(i)) for i in sorted(set(written))))
+    newest = every.groupBy(*keys).agg(F.max_by(F.struct(*stream.columns), "_batch").alias("_row"))
+    return newest.select("_row.*")
+
+
+def to_parquet(stream: DataFrame, path: str, checkpoint: str) -> int:
+    """Runs a stream over what there is into a folder, once for each row whatever happens; returns how many rows came later than the watermark (of the run's last 100 batches, as many as Spark remembers)."""
+    q = stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     q.awaitTermination()
-    return stream.sparkSession.table(name)
-
-
-def to_parquet(stream: DataFrame, path: str, checkpoint: str) -> None:
-    """Runs a stream over what there is into a folder, once for each row whatever happens."""
-    stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return sum(o.numRowsDroppedByWatermark for p in q.recentProgress for o in p.stateOperators)
