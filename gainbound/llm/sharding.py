@@ -33,7 +33,7 @@ from gainbound.llm.common import fresh, integer_id, settle, small_join
 
 SPLIT = 512
 #: Rows that an interval of doc_id should have when slots are numbered, and the bounds of the number of intervals.
-RANK_ROWS, MIN_RANKS, MAX_RANKS = 1 << 18, 64, 8192
+RANK_ROWS, MIN_RANKS, MAX_RANKS = 1 << 18, 1024, 8192
 _NULL_ID = -(1 << 63)
 
 
