@@ -3,8 +3,8 @@
 A node's attributes are tried in order of their normalised extent; each is cut at its weighted median, and the
 first cut whose two sides both keep the rule is made. It runs on cells (equal rows counted once).
 While nodes have more cells than fit a task, all of them progress together, level by level: histograms, medians and both sides'
-counts are aggregations, and the driver sees a few rows for each large node. Once a node fits, one task
-finishes it. Both ways make the same cuts.
+counts are aggregations, a task judges a node's cuts, and the driver learns only how many nodes are large. Once a node fits, one
+task finishes it. Both ways make the same cuts.
 """
 
 from __future__ import annotations
@@ -18,12 +18,17 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from gainbound.functions.bounds import EPS, cap
+from gainbound.operators.deal import bucket_expr
 from gainbound.operators.settle import settle
 from gainbound.plans.spec import CATEGORICAL, ReleaseSpec
 
 LIMIT_CELLS = 1_000_000
+#: Rows about large nodes (one for each axis) that are sent to all tasks; more are joined by a shuffle.
+SENT_ROWS = 200_000
 #: A rule takes counts by sensitive value (values x sides) and says which sides keep it.
 Rule = Callable[[np.ndarray], np.ndarray]
+#: Sends rows about nodes to all tasks if they are few.
+Beside = Callable[[DataFrame], DataFrame]
 
 
 def rule_k(k: int) -> Rule:
@@ -104,44 +109,65 @@ class Cutter:
         return out
 
 
+def _medians(long: DataFrame, beside: Beside) -> DataFrame:
+    """_node, axis, lo, hi, cut of every axis of a node that has two values or more.
+
+    Two passes, by the upper and the lower half of a value's bits, so that neither orders more than the root of an axis's
+    domain; both are aggregations, and only the rows of the upper half's median are told apart in the second."""
+    w = Window.partitionBy("_node", "axis")
+    coarse = long.groupBy("_node", "axis", "part").agg(F.sum("n").alias("n"), F.min("value").alias("lo"), F.max("value").alias("hi"))
+    run = coarse.select("_node", "axis", "part", "n", F.sum("n").over(w.orderBy("part")).alias("run"), F.sum("n").over(w).alias("total"), F.min("lo").over(w).alias("lo"), F.max("hi").over(w).alias("hi"))
+    at = run.where("lo < hi and 2 * run >= total and 2 * (run - n) < total").select("_node", "axis", F.col("part").alias("at"), (F.col("run") - F.col("n")).alias("before"), "total", "lo", "hi")
+    told = F.when(F.col("part") == F.col("at"), F.col("value")).alias("told")
+    fine = long.join(beside(at), ["_node", "axis"]).groupBy("_node", "axis", "before", "total", "lo", "hi", told).agg(F.sum("n").alias("n"), F.max(F.when(F.col("value") < F.col("hi"), F.col("value"))).alias("under"))
+    here = F.col("before") + F.sum(F.when(F.col("told").isNotNull(), F.col("n")).otherwise(0)).over(w.orderBy("told"))
+    median = F.min(F.when(F.col("told").isNotNull() & (2 * F.col("run") >= F.col("total")), F.col("told")))
+    return fine.withColumn("run", here).groupBy("_node", "axis", "lo", "hi").agg(F.least(median, F.max("under")).alias("cut"))
+
+
 def kd_cut(cells: DataFrame, spec: ReleaseSpec, domains: list[tuple[int, int]], values: list, rule: Rule, choice: str = "any", limit: int = LIMIT_CELLS) -> DataFrame:
-    """cells (axes, sa, n) with `ec`, a text that names the cuts. values: the sensitive domain in order; rules see counts in that order."""
+    """cells (axes, sa, n) with `ec`, a text that names the cuts. values: the sensitive domain in order, a null in it too; rules see counts in that order."""
     axes, cutter = spec.axes, Cutter(spec, domains, rule, len(values), choice)
-    number = {v: i for i, v in enumerate(values)}
-    state = cells.withColumn("_node", F.lit("")).withColumn("_open", F.lit(True))
+    state = cells.withColumn("_value", bucket_expr({v: i for i, v in enumerate(values)}, F.col("sa"))).withColumn("_node", F.lit("")).withColumn("_open", F.lit(True))
+    place = [F.col(x).cast("long") for x in axes]
+    halves = [(int(lo), (int(hi) - int(lo)).bit_length() // 2) for lo, hi in domains]
+    along = F.array(*[F.struct(F.lit(i).alias("axis"), x.alias("value"), F.shiftright(x - lo, half).alias("part")) for i, (x, (lo, half)) in enumerate(zip(place, halves, strict=True))])
+
+    def choose(pdf: pd.DataFrame) -> pd.DataFrame:
+        """The cut of one node: axes x values rows."""
+        bounds, tally, cuts = [(0, 0)] * len(axes), {}, {}
+        for axis, rows in pdf.groupby("axis"):
+            bounds[axis], cuts[axis] = (int(rows["lo"].iloc[0]), int(rows["hi"].iloc[0])), int(rows["cut"].iloc[0])
+            tally[axis] = np.zeros((cutter.m, 2))
+            tally[axis][rows["_value"].to_numpy()] = rows[["left", "right"]].to_numpy(float)
+        axis = next((i for i in cutter.order(bounds) if cutter.rule(tally[i]).all()), -1)
+        return pd.DataFrame({"_node": pdf["_node"].iloc[:1], "axis": [axis], "cut": [cuts.get(axis, 0)]})
+
     while True:
-        big = [r[0] for r in state.where("_open").groupBy("_node").count().where(F.col("count") > limit).collect()]
-        if not big:
+        big = state.where("_open").groupBy("_node").count().where(F.col("count") > limit).select("_node")
+        n_big = big.count()
+        if not n_big:
             break
-        here = state.where(F.col("_node").isin(big))
-        long = here.select("_node", "n", F.explode(F.array(*[F.struct(F.lit(i).alias("axis"), F.col(x).cast("long").alias("value")) for i, x in enumerate(axes)])).alias("a"))
-        hist = long.groupBy("_node", F.col("a.axis").alias("axis"), F.col("a.value").alias("value")).agg(F.sum("n").alias("n"))
-        w = Window.partitionBy("_node", "axis")
-        run = hist.withColumn("run", F.sum("n").over(w.orderBy("value"))).withColumn("total", F.sum("n").over(w)).withColumn("hi", F.max("value").over(w)).withColumn("lo", F.min("value").over(w))
-        found = run.groupBy("_node", "axis").agg(F.min(F.when(F.col("run") * 2 >= F.col("total"), F.col("value"))).alias("median"), F.max(F.when(F.col("value") < F.col("hi"), F.col("value"))).alias("before"), F.max("lo").alias("lo"), F.max("hi").alias("hi")).collect()
-        cuts = {(r["_node"], r.axis): (min(r.median, r.before) if r.before is not None else None) for r in found}
-        bounds = {(r["_node"], r.axis): (r.lo, r.hi) for r in found}
-        table = F.broadcast(state.sparkSession.createDataFrame([(k, i, c) for (k, i), c in cuts.items() if c is not None] or [("-", 0, 0)], "_node string, axis int, cut long"))
-        coordinate = F.element_at(F.array(*[F.col(x).cast("long") for x in axes]), F.col("axis") + 1)
-        sides = here.join(table, "_node").groupBy("_node", "axis", "sa").agg(F.sum(F.when(coordinate <= F.col("cut"), F.col("n")).otherwise(0)).alias("l"), F.sum("n").alias("t")).collect()
-        tally: dict = {}
-        for r in sides:
-            c = tally.setdefault((r["_node"], r.axis), np.zeros((len(values), 2)))
-            c[number[r.sa]] = (r.l, r.t - r.l)
-        made = []
-        for k in big:
-            axis = next((i for i in cutter.order([bounds[k, j] for j in range(len(axes))]) if cutter.rule(tally[k, i]).all()), None)
-            made.append((k, axis, cuts[k, axis] if axis is not None else None))
-        made_table = F.broadcast(state.sparkSession.createDataFrame(made, "_node string, axis int, cut long"))
-        state = settle(state.join(made_table.withColumn("hit", F.lit(True)), "_node", "left").withColumn("_open", F.col("_open") & (F.col("hit").isNull() | F.col("axis").isNotNull()))
-                       .withColumn("_node", F.when(F.col("axis").isNull(), F.col("_node")).otherwise(F.concat("_node", F.when(coordinate <= F.col("cut"), "0").otherwise("1")))).drop("axis", "cut", "hit"))
+
+        def beside(few: DataFrame, n: int = n_big * len(axes)) -> DataFrame:
+            # beyond that many nodes, none has so large a share of the rows that a shuffle by node is skewed
+            return F.broadcast(few) if n <= SENT_ROWS else few
+
+        long = state.join(beside(big), "_node").select("_node", "_value", "n", F.inline(along))
+        right = F.when(F.col("value") > F.col("cut"), F.col("n")).otherwise(0)
+        sides = long.join(beside(_medians(long, beside)), ["_node", "axis"]).groupBy("_node", "axis", "lo", "hi", "cut", "_value").agg(F.sum(F.col("n") - right).alias("left"), F.sum(right).alias("right"))
+        chosen = sides.groupBy("_node").applyInPandas(choose, "_node string, axis int, cut long")
+        made = big.join(chosen, "_node", "left").select("_node", F.coalesce("axis", F.lit(-1)).alias("axis"), "cut")
+        side = F.when(F.element_at(F.array(*place), F.col("axis") + 1) <= F.col("cut"), "0").otherwise("1")
+        # a node that wasn't large has no row in made and stays as it is
+        state = settle(state.join(beside(made), "_node", "left").withColumn("_open", F.col("_open") & F.coalesce(F.col("axis") >= 0, F.lit(True)))
+                       .withColumn("_node", F.when(F.col("axis") >= 0, F.concat("_node", side)).otherwise(F.col("_node"))).drop("axis", "cut"))
 
     kinds = T.StructType([*cells.schema.fields, T.StructField("ec", T.StringType())])
     names = [f.name for f in kinds.fields]
 
     def finish(pdf: pd.DataFrame) -> pd.DataFrame:
-        sa = pdf["sa"].map(number).to_numpy(np.int64)
-        group = cutter.finish(pdf[axes].to_numpy(np.int64), sa, pdf["n"].to_numpy(float))
+        group = cutter.finish(pdf[axes].to_numpy(np.int64), pdf["_value"].to_numpy(np.int64), pdf["n"].to_numpy(float))
         return pdf.assign(ec=[f"{k}.{g}" for k, g in zip(pdf["_node"], group, strict=True)])[names]
 
     done = state.where("_open").groupBy("_node").applyInPandas(finish, kinds)

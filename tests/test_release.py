@@ -204,6 +204,21 @@ def test_median_cuts_are_the_same_in_tasks_and_across_them(spark, people, choice
             assert len(whole) == 1 or rule(c).all()
 
 
+def test_median_cuts_of_a_wide_axis_with_null_values(spark, people):
+    wide = people.select("id", (F.pow(F.col("age"), F.lit(6)) - 10**9 + F.col("id").cast("long") % 7).cast("long").alias("age"), "colour", F.when(F.col("sa") != 3, F.col("sa")).alias("sa"))
+    d = deal.prepare(wide, SPEC, 2.0)
+    values = [v for v, _ in sorted(d.counts, key=lambda x: (x[0] is None, x[0]))]
+    assert values[-1] is None
+    cells = workload.cube(d.encoded, SPEC.axes).cache()
+    found = []
+    for limit in (10**6, 400):
+        out = {}
+        for r in kdcut.kd_cut(cells, SPEC, d.domains, values, kdcut.rule_k(150), limit=limit).collect():
+            out.setdefault(r.ec, []).append((r.x1, r.x2, -1 if r.sa is None else r.sa, r.n))
+        found.append(sorted(sorted(g) for g in out.values()))
+    assert found[0] == found[1] and len(found[0]) > 4 and sum(c[3] for g in found[0] for c in g) == 3000
+
+
 def test_emd_deal_keeps_its_budget(spark, people):
     d = emddeal.prepare(people, SPEC, 0.15)
     hist = model.histogram(deal.deal_rank(d), "sa")
