@@ -24,10 +24,11 @@ def grid_expr(x: Column, low: int, high: int, bits: int) -> Column:
 
 
 def zorder_expr(axes: list[Column], bits: int) -> Column:
+    """Bits are joined by OR, as sums of longs are checked for overflow one by one. axes are used once a bit: columns, not expressions."""
     d, key = len(axes), F.lit(0).cast("long")
     for b in range(bits):
         for i, x in enumerate(axes):
-            key = key + F.shiftleft(F.shiftright(x, b).bitwiseAND(F.lit(1).cast("long")), b * d + d - 1 - i)
+            key = key.bitwiseOR(F.shiftleft(F.shiftright(x, b).bitwiseAND(F.lit(1).cast("long")), b * d + d - 1 - i))
     return key
 
 

@@ -119,8 +119,9 @@ def _key(d: Dealing, rows: DataFrame, curve: str, name: str) -> DataFrame:
     if curve == "hilbert" and n_cells <= GRID_CELLS:
         grid = keys_of_grid(rows.sparkSession, axes, d.domains, d.bits, name)  # at most GRID_CELLS rows
         return rows.join(F.broadcast(grid), axes, "left").select(*rows.columns, name)
-    grid = [grid_expr(F.col(x), lo, hi, d.bits) for x, (lo, hi) in zip(axes, d.domains, strict=True)]
-    return rows.withColumn(name, curve_expr(curve, grid, d.bits))
+    # the grid as columns of its own, or a key's expression would hold an axis's arithmetic once for each bit
+    grid = {f"_{x}": grid_expr(F.col(x), lo, hi, d.bits) for x, (lo, hi) in zip(axes, d.domains, strict=True)}
+    return rows.withColumns(grid).select(*rows.columns, curve_expr(curve, [F.col(x) for x in grid], d.bits).alias(name))
 
 
 def keyed(d: Dealing, curve: str = "hilbert") -> DataFrame:
@@ -158,9 +159,14 @@ def rank_in_bucket(rows: DataFrame, n_rows: int, blocks: int | None = None) -> D
 
 
 def _count_below(cuts: list[int], x: Column) -> Column:
-    """How many of the sorted cuts are below x: as comparisons while they are few, else by a binary search over Arrow batches."""
+    """How many of the sorted cuts are below x, by a binary search: as nested conditions while cuts are few, else over Arrow batches."""
     if len(cuts) <= 64:
-        return sum(((x > c).cast("int") for c in cuts), F.lit(0))
+
+        def between(a: int, b: int) -> Column:
+            m = (a + b) // 2
+            return F.lit(a) if a == b else F.when(x > cuts[m], between(m + 1, b)).otherwise(between(a, m))
+
+        return between(0, len(cuts))
     edges = np.array(cuts, np.int64)
 
     @F.pandas_udf("int")
