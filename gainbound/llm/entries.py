@@ -39,6 +39,11 @@ def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", *quality.COUNTS, "base_failed", "kept", "score")
 
 
+def quality_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op5's base rules see: its counts before any tree, which SQL can express."""
+    return quality.measure(table(spark, sf_dir, "documents")).select("doc_id", *quality.COUNTS, quality.base_failed().alias("base_failed"))
+
+
 def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.repair_roles(table(spark, sf_dir, "conversations"))
 
@@ -70,6 +75,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op8_jaccard_join": op8_jaccard_join,
     "op9_substring_dedup": op9_substring_dedup,
     "op10_shards": op10_shards,
+    "quality_counts": quality_counts,
 }
 
 _ALNUM = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -91,6 +97,15 @@ t as (select doc_id, count(*) as n_items, string_agg(item, ',' order by item) as
 select d.doc_id, cast(len(w) as bigint) as n_words, cast(coalesce(n_hit, 0) as bigint) as n_hit, cast(coalesce(n_items, 0) as bigint) as n_items,
        sha256(coalesce(items, '')) as items_sha256, coalesce(n_hit, 0) > 0 and 20 * coalesce(n_hit, 0) >= len(w) as contaminated
 from d left join c using (doc_id) left join t using (doc_id)""",
+    "quality_counts": f"""
+with d as (select doc_id, coalesce(text, '') as text, regexp_extract_all(coalesce(text, ''), '{_GRAPHIC}') as w from documents),
+g as (select doc_id, i, array_to_string(w[i:i + 4], ' ') as phrase from (select doc_id, w, unnest(range(1, len(w) - 3)) as i from d where len(w) >= 5)),
+t as (select doc_id, i from (select doc_id, i, count(*) over (partition by doc_id, phrase) as n from g) where n > 1),
+r as (select doc_id, count(distinct j) as n from (select doc_id, unnest(range(i, i + 5)) as j from t) group by doc_id),
+l as (select doc_id, count(*) - count(distinct line) as n from (select doc_id, unnest(str_split(text, chr(10))) as line from d) where regexp_matches(line, '{_GRAPHIC}') group by doc_id)
+select d.doc_id, cast(len(w) as bigint) as n_words, cast(length(array_to_string(w, '')) as bigint) as word_chars, cast(len(regexp_extract_all(text, '[#*$%&|<>]')) as bigint) as n_symbols,
+       cast(coalesce(l.n, 0) as bigint) as n_dup_lines, cast(coalesce(r.n, 0) as bigint) as n_repeat_words, len(w) < 10 or 100 * coalesce(r.n, 0) > 20 * len(w) as base_failed
+from d left join r using (doc_id) left join l using (doc_id)""",
     "op9_substring_dedup": f"""
 with d as (select doc_id, regexp_extract_all(coalesce(text, ''), '{_GRAPHIC}') as w from documents),
 g as (select doc_id, i, array_to_string(w[i:i + 19], ' ') as phrase
