@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from gainbound.operators.perturb import Randomiser, reconstruct
 from gainbound.operators.settle import settle
@@ -91,30 +92,32 @@ def noisy(marginal: DataFrame, epsilon: float, n_axes: int, seed: int = 3) -> Da
     return marginal.select("axis", "value", "sa", F.greatest(F.col("n") + laplace(u, n_axes / epsilon), F.lit(0.1)).alias("n"))
 
 
-def _reassign(model, axes: list[str], names: list[str]):
-    """A group's values given to its rows, best score first, each as often as the group has it."""
-
-    def again(pdf: pd.DataFrame) -> pd.DataFrame:
-        table, prior = model.value
-        pdf = pdf.sort_values("row_key").reset_index(drop=True)
-        own, room = np.unique(pdf["code"].to_numpy(), return_counts=True)
-        score = np.tile(prior[own], (len(pdf), 1))
-        for x, (seen, cond) in zip(axes, table, strict=True):
-            score += cond[np.searchsorted(seen, pdf[x].to_numpy())][:, own]
-        given, free = np.empty(len(pdf), np.int64), np.ones(len(pdf), bool)
-        room, width = room.tolist(), len(own)
-        left = len(pdf)
-        for at in np.argsort(-score, axis=None, kind="stable").tolist():
-            r, v = divmod(at, width)
-            if room[v] and free[r]:
-                given[r], free[r] = own[v], False
-                room[v] -= 1
+#: Rows of a chunk of whole groups.
+CHUNK_ROWS = 1 << 15
+
+
+def _again(score: np.ndarray, code: np.ndarray) -> np.ndarray:
+    """A group's values given to its rows, best score first, each as often as the group has it. score: rows x domain."""
+    own, room = np.unique(code, return_counts=True)
+    given, free, room, left = np.empty(len(code), np.int64), [True] * len(code), room.tolist(), len(code)
+    r, v = np.divmod(np.argsort(-score[:, own], axis=None, kind="stable"), len(own))
+    while left:
+        some = 2 * left
+        for i, j in zip(r[:some].tolist(), v[:some].tolist(), strict=True):
+            if room[j] and free[i]:
+                given[i], free[i] = own[j], False
+                room[j] -= 1
                 left -= 1
-                if not left:
-                    break
-        return pdf.assign(moved=(given != pdf["given"]).astype(np.int64), given=given)[names]
+        # pairs of a row or a value that is done are dropped together
+        r, v = r[some:], v[some:]
+        open_ = np.array(free)[r] & (np.array(room) > 0)[v]
+        r, v = r[open_], v[open_]
+    return given
 
-    return again
+
+def _starts(ec: np.ndarray) -> np.ndarray:
+    """Where each group begins, and the end."""
+    return np.r_[0, np.flatnonzero(ec[1:] != ec[:-1]) + 1, len(ec)]
 
 
 def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed: int = 5, stop: float = STOP) -> tuple[float, float, int, float]:
@@ -122,48 +125,92 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed
 
     rows: row_key, axes, sa, ec, where sa is used as each group's multiset and, at the end, as the truth. Returns the
     success rate, that of random assignment, the rounds taken and the share of rows that the last one changed, which is
-    above `stop` if the attack was cut. A group is a task's unit; the model, axes' values by sensitive values, is a small table."""
+    above `stop` if the attack was cut. Whole groups are packed into chunks once, in the order of row_key; a round is one pass over
+    the chunks without a shuffle of rows. A group is a task's unit; the model, axes' values by sensitive values, is a small table."""
     from gainbound.operators.model import domain
 
     values = [v for v, _ in sorted(domain(rows, "sa"), key=lambda x: (x[0] is None, x[0]))]
     spark, kind = rows.sparkSession, rows.schema["sa"].dataType.simpleString()
     codes = spark.createDataFrame([(v, i) for i, v in enumerate(values)], f"_sa {kind}, code long")
-    coded = rows.select("row_key", *axes, "ec", "sa").join(F.broadcast(codes), F.col("sa").eqNullSafe(F.col("_sa"))).select("row_key", *axes, "ec", "code")
-    kinds = T.StructType([*coded.schema.fields, T.StructField("given", T.LongType()), T.StructField("moved", T.LongType())])
-    names = [f.name for f in kinds.fields]
-
-    def first(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("row_key")
-        random = np.random.default_rng([seed, int(pdf["ec"].iloc[0])])
-        return pdf.assign(given=random.permutation(pdf["code"].to_numpy()), moved=1)[names]
-
-    # settled in each round: plans of rounds on top of each other would be planned ever longer
-    state = settle(coded.groupBy("ec").applyInPandas(first, kinds))
-    total = state.count()
+    coded = rows.select("row_key", *axes, "ec", "sa").join(F.broadcast(codes), F.col("sa").eqNullSafe(F.col("_sa"))).select(F.col("ec").cast("long").alias("ec"), "row_key", "code", *(F.col(x).cast("long").alias(x) for x in axes))
+    names = ["ec", "code", *axes, "given", "tally", "n", "moved", "hit", "chance"]
+    schema = ", ".join(f"{c} binary" for c in names[:-4]) + ", n long, moved long, hit long, chance double"
+
+    def chunk(ec, code, points, given, moved: int, chance: float) -> pa.RecordBatch:
+        tally = []
+        for i, x in enumerate(points):
+            pair, n = np.unique(np.stack([x, given]), axis=1, return_counts=True)
+            tally.append(np.stack([np.full(len(n), i + 1), pair[0], pair[1], n]))
+        arrays = [pa.array([c.astype(np.int64).tobytes()], pa.binary()) for c in (ec, code, *points, given, np.concatenate(tally, 1))]
+        return pa.RecordBatch.from_arrays([*arrays, pa.array([len(ec)]), pa.array([moved]), pa.array([int((given == code).sum())]), pa.array([chance])], names=names)
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def out(ec, code, *points) -> pa.RecordBatch:
+            given, at, chance = np.empty(len(ec), np.int64), _starts(ec), 0.0
+            for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+                given[a:b] = np.random.default_rng([seed, int(ec[a])]).permutation(code[a:b])
+                chance += float((np.bincount(code[a:b]) ** 2).sum()) / (b - a)
+            return chunk(ec, code, points, given, len(ec), chance)
+
+        held, size = [], 0
+        for batch in batches:
+            held.append([c.to_numpy(zero_copy_only=False) for c in batch.columns])
+            size += len(batch)
+            if size >= CHUNK_ROWS:
+                columns = [np.concatenate(c) for c in zip(*held, strict=True)]
+                # the last group may go on
+                last = int(_starts(columns[0])[-2])
+                if last:
+                    yield out(*(c[:last] for c in columns))
+                held = [[c[last:] for c in columns]]
+                size = len(held[0][0])
+        if size:
+            yield out(*(np.concatenate(c) for c in zip(*held, strict=True)))
+
+    def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for one in batch.column(0):
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in np.frombuffer(one.as_buffer(), np.int64).reshape(4, -1)], names=["axis", "value", "sa", "n"])
+
+    n_parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    state = settle(coded.repartition(n_parts, "ec").sortWithinPartitions("ec", "row_key").drop("row_key").mapInArrow(first, schema))
+    total, hit, chance = state.agg(F.sum("n"), F.sum("hit"), F.sum("chance")).first()
     taken, changed = 0, total
     while taken < rounds and changed > stop * total:
         taken += 1
-        counts = marginals(state.select(*axes, F.col("given").alias("sa")), axes).limit(MAX_SMALL + 1).collect()  # axes' domains x values
+        seen = state.select("tally").mapInArrow(unpack, "axis long, value long, sa long, n long").groupBy("axis", "value", "sa").agg(F.sum("n").alias("n"))
+        counts = seen.limit(MAX_SMALL + 1).collect()  # axes' domains x values
         if len(counts) > MAX_SMALL:
             raise ValueError("the axes have too many values for a model; coarsen them")
         size = np.zeros(len(values))
         table = []
         for i in range(len(axes)):
             own = [(r.value, r.sa, r.n) for r in counts if r.axis == i + 1]
-            seen = np.unique(np.array([v for v, _, _ in own], np.int64))
-            n = np.zeros((len(seen), len(values)))
-            n[np.searchsorted(seen, [v for v, _, _ in own]), [c for _, c, _ in own]] = [k for _, _, k in own]
+            held = np.unique(np.array([v for v, _, _ in own], np.int64))
+            n = np.zeros((len(held), len(values)))
+            n[np.searchsorted(held, [v for v, _, _ in own]), [c for _, c, _ in own]] = [k for _, _, k in own]
             size = n.sum(0)
-            table.append((seen, n))
-        table = [(seen, np.log(np.maximum(n / np.maximum(size, 1), FLOOR))) for seen, n in table]
+            table.append((held, n))
+        table = [(held, np.log(np.maximum(n / np.maximum(size, 1), FLOOR))) for held, n in table]
         model = spark.sparkContext.broadcast((table, np.log(np.maximum(size, 1) / size.sum())))
-        state = settle(state.groupBy("ec").applyInPandas(_reassign(model, axes, names), kinds))
-        changed = state.agg(F.sum("moved")).first()[0]
-    hit = state.agg(F.avg((F.col("given") == F.col("code")).cast("double"))).first()[0]
-    per = Window.partitionBy("ec")
-    q = state.groupBy("ec", "code").agg(F.count("*").alias("n")).withColumn("size", F.sum("n").over(per))
-    chance = q.agg((F.sum(F.col("n") * F.col("n") / F.col("size")) / F.sum("n"))).first()[0]
-    return float(hit), float(chance), taken, changed / max(1, total)
+
+        def again(batches: Iterator[pa.RecordBatch], model=model) -> Iterator[pa.RecordBatch]:
+            table, prior = model.value
+            for batch in batches:
+                for i in range(len(batch)):
+                    ec, code, *points, before = (np.frombuffer(batch.column(j)[i].as_buffer(), np.int64) for j in range(len(axes) + 3))
+                    at, given = _starts(ec), np.empty(len(ec), np.int64)
+                    places = [np.searchsorted(held, x) for x, (held, _) in zip(points, table, strict=True)]
+                    for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+                        score = np.tile(prior, (b - a, 1))
+                        for place, (_, cond) in zip(places, table, strict=True):
+                            score += cond[place[a:b]]
+                        given[a:b] = _again(score, code[a:b])
+                    yield chunk(ec, code, points, given, int((given != before).sum()), batch.column(len(names) - 1)[i].as_py())
+
+        state = settle(state.mapInArrow(again, schema))
+        changed, hit = state.agg(F.sum("moved"), F.sum("hit")).first()
+    return float(hit / total), float(chance / total), taken, changed / max(1, total)
 
 
 def corruption(hist: DataFrame, known: int) -> DataFrame:

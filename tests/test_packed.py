@@ -64,3 +64,16 @@ def test_grid_is_measured_several_at_a_time():
         return x
 
     assert search(measure, lambda v: v <= 1.5, 0.0, 2.0, steps=6, grid=2)[0] == pytest.approx(1.5, abs=0.04)
+
+
+def test_exchange_rounds_shuffle_no_rows(spark, people, monkeypatch):
+    """Whole groups are packed once; a round moves the model's counts only."""
+    from gainbound.operators import attack
+
+    monkeypatch.setattr(attack, "CHUNK_ROWS", 300)
+    settled, whole = [], attack.settle
+    monkeypatch.setattr(attack, "settle", lambda df: settled.append(df._jdf.queryExecution().toString()) or whole(df))
+    d = deal.prepare(people.where("s is not null"), SPEC, 2.0)
+    hit, chance, rounds, changed = attack.exchange_attack(deal.deal(d, "rank"), SPEC.axes, rounds=3)
+    assert 0 <= hit <= 1 and 0 < chance < 1 and rounds <= 3 and 0 <= changed <= 1
+    assert len(settled) == rounds + 1 and all("Exchange" not in plan and "FlatMapGroups" not in plan for plan in settled[1:])
