@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 
+from gainbound.operators import estimate, meet, perturb, workload
 from gainbound.queries import experiments
 from gainbound.queries.attacks import best_beta, best_t
 from gainbound.queries.registry import QUERIES
@@ -16,6 +17,34 @@ def test_sweeps_ask_ten_thousand_queries(spark):
     assert queries.count() == truth.count() == 10_000
 
 
+def test_workloads_are_answered_together_as_apart(spark, monkeypatch):
+    """Two settings in one pass, by boxes and by rows: the errors of each asked by itself, and one exact pass for both."""
+    monkeypatch.setattr(experiments, "N_QUERIES", 300)
+    passes, whole = [], meet.range_sums
+    monkeypatch.setattr(meet, "range_sums", lambda *a: passes.append(1) or whole(*a))
+    spec = C3.with_sa("corr_class")
+    q = experiments._Queried(spark, SF, spec)
+    asked = q.asked({"a": (2, 0.1), "b": (3, 0.3)})
+    assert len(passes) == 1 and len(asked.queries.qid) == 600
+    got = {(k, name): e for k, name, e in q.box_rows(asked, 2.0) + q.row_rows(asked, 2.0)}
+    assert len(got) == 10
+    r = perturb.randomiser(q.c.counts, 2.0)
+    cells = workload.cube(perturb.randomise(q.c.encoded, "sa", "row_key", r, experiments.SECRET), spec.axes)
+    for k, width, theta in (("a", 2, 0.1), ("b", 3, 0.3)):
+        queries, truth = q.ask(width, theta)
+        # the groups' own boxes and counts, met query by query
+        group = q.c.published(q.c.ours(2.0)).toPandas()
+        est = []
+        for x in queries.orderBy("qid").collect():
+            share = 1.0
+            for a in spec.axes:
+                share = share * np.maximum(np.minimum(group[f"{a}_hi"], x[f"{a}_b"]) - np.maximum(group[f"{a}_lo"], x[f"{a}_a"]) + 1, 0) / (group[f"{a}_hi"] - group[f"{a}_lo"] + 1)
+            est.append((x.qid, float((share * group["n"] * group["sa"].between(x.sa_lo, x.sa_hi)).sum())))
+        plain = {"bucket-and-deal": spark.createDataFrame(est, "qid long, est double"), "randomiser": estimate.from_randomised(queries, cells, spec.axes, r)}
+        for name, answers in plain.items():
+            assert got[k, name] == pytest.approx(workload.median_error(workload.relative_errors(answers, truth)).first()[0], abs=1e-9)
+
+
 def test_exchange_attack_runs_until_its_stop_rule(spark):
     r = QUERIES["exchange_attack"](spark, SF).first()
     assert r.converged and r.changed <= 0.001 and r.success > r.chance
