@@ -4,10 +4,10 @@ import numpy as np
 import pytest
 
 from gainbound.operators import estimate, meet, perturb, workload
-from gainbound.queries import experiments
+from gainbound.queries import attacks, experiments
 from gainbound.queries.attacks import best_beta, best_t
 from gainbound.queries.registry import QUERIES
-from gainbound.queries.release import C3
+from gainbound.queries.release import C3, C5
 
 SF = "/root/testdata/sf0.001"
 
@@ -45,6 +45,16 @@ def test_workloads_are_answered_together_as_apart(spark, monkeypatch):
             assert got[k, name] == pytest.approx(workload.median_error(workload.relative_errors(answers, truth)).first()[0], abs=1e-9)
 
 
+def test_a_sweep_settles_its_rows_once(spark, monkeypatch):
+    """All settings read one encoded table; it is the one that each would encode."""
+    view = experiments._encoded(spark, SF)
+    own = {(sa, n): experiments.Compared(spark, SF, C5.with_qi(n).with_sa(sa)).encoded for sa, n in (("price_class", 5), ("corr_class", 2))}
+    monkeypatch.setattr(attacks, "settle", lambda df: pytest.fail("settled again") if "row_key" in df.columns else df)
+    for (sa, n), plain in own.items():
+        got = experiments._Queried(spark, SF, C5.with_qi(n).with_sa(sa), view).c.encoded
+        assert got.columns == plain.columns and sorted(map(tuple, got.collect())) == sorted(map(tuple, plain.collect()))
+
+
 def test_exchange_attack_runs_until_its_stop_rule(spark):
     r = QUERIES["exchange_attack"](spark, SF).first()
     assert r.converged and r.changed <= 0.001 and r.success > r.chance
