@@ -87,3 +87,39 @@ def test_levels_are_measured_together(spark, monkeypatch):
     monkeypatch.setattr(experiments, "best_beta", lambda c, target, level: (None, None))
     rows = QUERIES["w_same_t"](spark, "/root/testdata/sf0.001").collect()
     assert len(rows) == 15 and [n for method, n in asked if method == "kd-cut[emd]"] == [5]
+
+
+def test_columns_sorted_together_are_packed_as_apart(spark, people, monkeypatch):
+    monkeypatch.setattr(packed, "CHUNK_ROWS", 200)
+    d = deal.prepare(people, SPEC, 2.0)
+    keyed = deal.keyed(d, "hilbert")
+    values = [v for v, _ in d.counts]
+    both = packed.pack_columns(keyed.withColumn("other", F.col("x1") % 4), SPEC.axes, {"sa": values, "other": [0, 1, 2, 3]})
+    alone = {"sa": packed.pack(keyed, SPEC.axes, values), "other": packed.pack(keyed.withColumn("sa", F.col("x1") % 4), SPEC.axes, [0, 1, 2, 3])}
+
+    def rows(p) -> list:
+        """Codes and keys of all rows in order; where chunks end depends on a sample."""
+        out = []
+        for r in sorted(p.table.collect()):
+            codes, key, n = (np.frombuffer(r[x], t) for x, t in (("sa", np.uint8), ("key", np.int64), ("n", np.int64)))
+            out += zip(codes.tolist(), np.repeat(key, n).tolist(), strict=True)
+        return out
+
+    for c, p in alone.items():
+        assert (both[c].counts.sum(0) == p.counts.sum(0)).all() and p.counts.sum() == 3000 and rows(both[c]) == rows(p)
+
+
+def test_a_sweep_surveys_and_sorts_once_for_both_columns(spark, monkeypatch):
+    sf, done, survey, pack = "/root/testdata/sf0.001", [], deal.survey, packed.pack_columns
+    monkeypatch.setattr(experiments, "N_QUERIES", 50)
+    monkeypatch.setattr(deal, "survey", lambda *a: done.append("survey") or survey(*a))
+    monkeypatch.setattr(packed, "pack_columns", lambda *a: done.append("sort") or pack(*a))
+    rows = QUERIES["w_q_qi"](spark, sf).collect()
+    assert sorted(done) == ["sort"] * 5 + ["survey"] * 2
+    assert [(r.sa, r.n_qi, r.method) for r in rows] == [(sa, n, name) for sa in experiments.SENSITIVE for n in range(1, 6) for name in ("bucket-and-deal", "kd-cut[gain]", "kd-cut[logratio]")]
+    # a release from the shelf is the comparison's own
+    shelf = experiments._Shelf(experiments._encoded(spark, sf))
+    spec = experiments.C5.with_qi(2).with_sa("corr_class")
+    c = experiments._Queried(spark, None, spec, shelf).c
+    own = Compared(spark, sf, spec)
+    assert sorted(c.counts) == sorted(own.counts) and c.domains == own.domains and c.measured("ours", 3.0) == own.measured("ours", 3.0)
