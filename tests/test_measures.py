@@ -1,5 +1,7 @@
 """Releases measured inside tasks: the same measures as from all groups' rows."""
 
+import threading
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -123,3 +125,14 @@ def test_a_sweep_surveys_and_sorts_once_for_both_columns(spark, monkeypatch):
     c = experiments._Queried(spark, None, spec, shelf).c
     own = Compared(spark, sf, spec)
     assert sorted(c.counts) == sorted(own.counts) and c.domains == own.domains and c.measured("ours", 3.0) == own.measured("ours", 3.0)
+
+
+def test_releases_wait_for_no_workload(spark, monkeypatch):
+    """Each waits until the other is under way."""
+    monkeypatch.setattr(experiments, "N_QUERIES", 50)
+    met, asked, releases = threading.Barrier(2, timeout=60), experiments._Queried.asked, experiments._Queried.releases
+    monkeypatch.setattr(experiments._Queried, "asked", lambda *a: met.wait() is None or asked(*a))
+    monkeypatch.setattr(experiments._Queried, "releases", lambda *a: met.wait() is None or releases(*a))
+    q = experiments._Queried(spark, "/root/testdata/sf0.001", experiments.C3.with_qi(1))
+    rows = q.rows_of(experiments._Queried.box_rows, {1: (1, 0.1)}, 3.0)
+    assert [r[1] for r in rows] == ["bucket-and-deal", "kd-cut[gain]", "kd-cut[logratio]"]
