@@ -58,7 +58,9 @@ def test_queries_of_the_same_box_share_its_work(spark, monkeypatch, dense, pairs
             for x, y, lo, hi in zip((a, c), (b, d), low[:, i], high[:, i], strict=True):
                 share *= max(0, min(y, hi) - max(x, lo) + 1) / (y - x + 1)
             plain[i] += share * sum(n for s, n in zip(sas, ns, strict=True) if q.sa_low[i] <= s <= q.sa_high[i])
-    got = {r.qid: r.est for r in estimate.from_groups(q, groups, ["x1", "x2"]).collect()}
+    few = estimate.from_groups(q, groups, ["x1", "x2"], 60)
+    got = {r.qid: r.est for r in few.collect()}
+    assert sorted(got) == sorted(r.qid for r in estimate.from_groups(q, groups, ["x1", "x2"]).collect())
     assert set(got) == set(np.flatnonzero(plain)) and all(got[i] == pytest.approx(plain[i], rel=1e-12) for i in got)
 
 
@@ -86,6 +88,12 @@ def test_known_counts_by_key_replace_the_sample(spark, monkeypatch):
     parts = packed.parts_of(by_key, 8)
     assert (np.diff(parts) >= 0).all() and set(parts) == set(range(8)) and np.bincount(parts, by_key[1]).max() <= 4000 / 8 + by_key[1].max()
     assert packed.parts_of((np.array([1, 5]), np.array([10, 90])), 8) is None
+    monkeypatch.setattr(packed, "PART_ROWS", 250)
+    more = packed.parts_of(by_key, 8)
+    assert (np.diff(more) >= 0).all() and set(more) == set(range(16)) and np.bincount(more, by_key[1]).max() <= 250 + by_key[1].max()
+    monkeypatch.setattr(packed, "PART_ROWS", 10)
+    # no more parts than the most frequent key allows
+    assert packed.parts_of(by_key, 8).max() + 1 <= 4000 // by_key[1].max()
     sampled = packed.pack_columns(rows, ["x1"], {"sa": list(range(11))})["sa"]
     known = packed.pack_columns(rows, ["x1"], {"sa": list(range(11))}, by_key)["sa"]
     assert _rows_in_order(known) == _rows_in_order(sampled) and (known.counts.sum(0) == sampled.counts.sum(0)).all()
