@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from gainbound.operators.perturb import Randomiser, reconstruct
-from gainbound.operators.settle import settle
+from gainbound.operators.settle import forget, settle
 
 FLOOR = 1e-12
 #: Share of rows that a round of the exchangeable assignment may still change when it is called done, and most rounds.
@@ -92,65 +92,219 @@ def noisy(marginal: DataFrame, epsilon: float, n_axes: int, seed: int = 3) -> Da
     return marginal.select("axis", "value", "sa", F.greatest(F.col("n") + laplace(u, n_axes / epsilon), F.lit(0.1)).alias("n"))
 
 
-#: Rows of a chunk of whole groups.
-CHUNK_ROWS = 1 << 15
+#: Rows of a chunk of whole groups, about as many as a task has at least and at most, and pairs of cells and values that are ordered at once.
+CHUNK_ROWS, FEW_ROWS, PART_ROWS, PAIRS = 1 << 18, 1 << 15, 1 << 20, 1 << 20
+#: Fewest groups that are served step by step together, and pairs that each then meets before used-up ones are dropped.
+TOGETHER, STEPS = 64, 32
 
 
-def _again(score: np.ndarray, code: np.ndarray) -> np.ndarray:
-    """A group's values given to its rows, best score first, each as often as the group has it. score: rows x domain."""
-    own, room = np.unique(code, return_counts=True)
-    given, free, room, left = np.empty(len(code), np.int64), [True] * len(code), room.tolist(), len(code)
-    r, v = np.divmod(np.argsort(-score[:, own], axis=None, kind="stable"), len(own))
-    while left:
-        some = 2 * left
-        for i, j in zip(r[:some].tolist(), v[:some].tolist(), strict=True):
-            if room[j] and free[i]:
-                given[i], free[i] = own[j], False
-                room[j] -= 1
-                left -= 1
-        # pairs of a row or a value that is done are dropped together
-        r, v = r[some:], v[some:]
-        open_ = np.array(free)[r] & (np.array(room) > 0)[v]
-        r, v = r[open_], v[open_]
-    return given
+def _bytes(x: np.ndarray) -> bytes:
+    """Numbers from 0 on in as few bytes each as the largest needs; the first byte tells how many."""
+    width = np.min_scalar_type(int(x.max(initial=0)))
+    return bytes([width.itemsize]) + x.astype(width).tobytes()
+
+
+def _numbers(x: bytes) -> np.ndarray:
+    return np.frombuffer(x, f"u{x[0]}", offset=1)
+
+
+def _order(*columns: np.ndarray) -> np.ndarray:
+    """Stable order by columns, the first one first. Narrow columns are joined into one number with the place, which sorts fastest."""
+    n = len(columns[0])
+    key, bits = np.zeros(n, np.int64), 0
+    for c in columns:
+        low, high = (int(c.min()), int(c.max())) if n else (0, 0)
+        wide = (high - low).bit_length()
+        bits += wide
+        if bits + n.bit_length() > 63:
+            return np.lexsort(columns[::-1])
+        key = (key << wide) | (c - low)
+    wide = n.bit_length()
+    return np.sort((key << wide) | np.arange(n)) & ((1 << wide) - 1)
+
+
+def _rank(x: np.ndarray) -> np.ndarray:
+    """Rank of each number, equal ones sharing theirs."""
+    order = np.argsort(x)
+    sorted_ = x[order]
+    out = np.empty(len(x), np.int64)
+    out[order] = np.cumsum(np.r_[False, sorted_[1:] != sorted_[:-1]][: len(x)])
+    return out
+
 
+def _spread(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Number of the entry that each of sum(counts) items belongs to, and the item's place in it."""
+    entry = np.repeat(np.arange(len(counts)), counts)
+    return entry, np.arange(len(entry)) - (np.cumsum(counts) - counts)[entry]
 
-def _starts(ec: np.ndarray) -> np.ndarray:
-    """Where each group begins, and the end."""
-    return np.r_[0, np.flatnonzero(ec[1:] != ec[:-1]) + 1, len(ec)]
 
+def _serve_one(cell: list, own: list, rank: list, free: list, room: list, rows: Callable[[int], np.ndarray]) -> list[int]:
+    """How many rows each pair of a group takes, pairs in order. Where cells tie for a value, their rows take turns in the group's order of rows.
 
-def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed: int = 5, stop: float = STOP) -> tuple[float, float, int, float]:
+    rows: places of a cell's rows in the group, in ascending order; those that are free are the last ones. free and room are used up."""
+    take, left, i = [0] * len(cell), sum(free[c] for c in set(cell)), 0
+    while left:
+        j = i + 1
+        while j < len(cell) and rank[j] == rank[i]:
+            j += 1
+        if j - i == 1 or len(set(own[i:j])) == j - i:
+            for k in range(i, j):
+                n = min(free[cell[k]], room[own[k]])
+                if n:
+                    take[k] = n
+                    free[cell[k]] -= n
+                    room[own[k]] -= n
+                    left -= n
+        else:
+            tied = {}
+            for k in range(i, j):
+                tied.setdefault(cell[k], []).append(k)
+            for _, c in sorted((p, c) for c in tied if free[c] for p in rows(c)[-free[c] :].tolist()):
+                for k in tied[c]:
+                    if room[own[k]]:
+                        take[k] += 1
+                        free[c] -= 1
+                        room[own[k]] -= 1
+                        left -= 1
+                        break
+        i = j
+    return take
+
+
+def _serve(score: Callable, n_cells: np.ndarray, n_own: np.ndarray, length: np.ndarray, own: np.ndarray, room: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Each group's values given to its rows, best score first, each as often as the group has it: (cell, value, number of rows), a cell's rows in order.
+
+    Rows of a group with the same coordinates are a cell and score the same, so cells and values are paired, not rows and values. A pair serves as many rows
+    as its cell and its value have left; equal scores go by the rows' order, then by value. score: from cells and values; n_cells, n_own: cells and
+    values of each group; length: rows of a cell; room: rows of a group's value; place: of each row in its group, cell by cell."""
+    free, room = length.copy(), room.copy()
+    ends = np.cumsum(length)
+    first_cell, first_own = np.cumsum(n_cells) - n_cells, np.cumsum(n_own) - n_own
+    group, at = _spread(n_cells * n_own)
+    cell, value = first_cell[group] + at // n_own[group], first_own[group] + at % n_own[group]
+    rank = _rank(-score(cell, own[value]))
+    order = _order(group, rank)
+    group, cell, value, rank = group[order], cell[order], value[order], rank[order]
+    take = np.zeros(len(cell), np.int64)
+
+    # groups in which cells tie for a value go one by one
+    same = (group[1:] == group[:-1]) & (rank[1:] == rank[:-1])
+    block = np.cumsum(np.r_[True, ~same])
+    tied = np.flatnonzero(np.r_[False, same] | np.r_[same, False])
+    single = np.zeros(len(n_cells), bool)
+    if len(tied):
+        tied = tied[_order(block[tied], value[tied])]
+        clash = (block[tied][1:] == block[tied][:-1]) & (value[tied][1:] == value[tied][:-1])
+        single[group[tied[1:][clash]]] = True
+
+    left = np.add.reduceat(length, first_cell)
+    open_ = np.flatnonzero(~single[group])
+    while len(open_):
+        # pairs of a cell or a value that is used up are dropped together
+        open_ = open_[(free[cell[open_]] > 0) & (room[value[open_]] > 0)]
+        starts = np.flatnonzero(np.r_[True, group[open_][1:] != group[open_][:-1]][: len(open_)])
+        if len(starts) < TOGETHER:
+            single[group[open_[starts]]] = True
+            break
+        met = np.zeros(len(open_), bool)
+        ends_at = np.r_[starts[1:], len(open_)]
+        for step in range(STEPS):
+            here = starts + step
+            on = (here < ends_at) & (left[group[open_[starts]]] > 0)
+            starts, ends_at, here = starts[on], ends_at[on], here[on]
+            if not len(here):
+                break
+            k = open_[here]
+            n = np.minimum(free[cell[k]], room[value[k]])
+            take[k] = n
+            free[cell[k]] -= n
+            room[value[k]] -= n
+            left[group[k]] -= n
+            met[here] = True
+        open_ = open_[~met]
+
+    bounds = np.searchsorted(group, np.flatnonzero(single))
+    for a, g in zip(bounds.tolist(), np.flatnonzero(single).tolist(), strict=True):
+        some = a + np.flatnonzero((free[cell[a : a + n_cells[g] * n_own[g]]] > 0) & (room[value[a : a + n_cells[g] * n_own[g]]] > 0))
+        c0, v0 = int(first_cell[g]), int(first_own[g])
+        cells, values = slice(c0, c0 + int(n_cells[g])), slice(v0, v0 + int(n_own[g]))
+        take[some] = _serve_one((cell[some] - c0).tolist(), (value[some] - v0).tolist(), rank[some].tolist(), free[cells].tolist(), room[values].tolist(), lambda c, c0=c0: place[ends[c0 + c] - length[c0 + c] : ends[c0 + c]])
+
+    used = np.flatnonzero(take)
+    used = used[_order(cell[used])]
+    return cell[used], own[value[used]], take[used]
+
+
+def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed: int = 5, stop: float = STOP, counts: list[tuple] | None = None) -> tuple[float, float, int, float]:
     """Assigns each group's sensitive values to its rows by an evolving naive Bayes model.
 
-    rows: row_key, axes, sa, ec, where sa is used as each group's multiset and, at the end, as the truth. Returns the
-    success rate, that of random assignment, the rounds taken and the share of rows that the last one changed, which is
-    above `stop` if the attack was cut. Whole groups are packed into chunks once, in the order of row_key; a round is one pass over
-    the chunks without a shuffle of rows. A group is a task's unit; the model, axes' values by sensitive values, is a small table."""
+    rows: row_key, axes, sa, ec, where sa is used as each group's multiset and, at the end, as the truth; counts: (value, rows) of sa, if
+    they are known. Returns the success rate, that of random assignment, the rounds taken and the share of rows that the last one changed, which is
+    above `stop` if the attack was cut. Whole groups are packed into chunks once, by cell and in the order of row_key; a round is one pass over
+    the chunks without a shuffle of rows, whose tasks sum their counts up. A group is a task's unit; the model, axes' values by sensitive values, is a small table."""
     from gainbound.operators.model import domain
 
-    values = [v for v, _ in sorted(domain(rows, "sa"), key=lambda x: (x[0] is None, x[0]))]
-    spark, kind = rows.sparkSession, rows.schema["sa"].dataType.simpleString()
+    counts = domain(rows, "sa") if counts is None else counts
+    values = [v for v, _ in sorted(counts, key=lambda x: (x[0] is None, x[0]))]
+    spark, kind, m = rows.sparkSession, rows.schema["sa"].dataType.simpleString(), len(values)
     codes = spark.createDataFrame([(v, i) for i, v in enumerate(values)], f"_sa {kind}, code long")
     coded = rows.select("row_key", *axes, "ec", "sa").join(F.broadcast(codes), F.col("sa").eqNullSafe(F.col("_sa"))).select(F.col("ec").cast("long").alias("ec"), "row_key", "code", *(F.col(x).cast("long").alias(x) for x in axes))
-    names = ["ec", "code", *axes, "given", "tally", "n", "moved", "hit", "chance"]
-    schema = ", ".join(f"{c} binary" for c in names[:-4]) + ", n long, moved long, hit long, chance double"
-
-    def chunk(ec, code, points, given, moved: int, chance: float) -> pa.RecordBatch:
-        tally = []
-        for i, x in enumerate(points):
-            pair, n = np.unique(np.stack([x, given]), axis=1, return_counts=True)
-            tally.append(np.stack([np.full(len(n), i + 1), pair[0], pair[1], n]))
-        arrays = [pa.array([c.astype(np.int64).tobytes()], pa.binary()) for c in (ec, code, *points, given, np.concatenate(tally, 1))]
-        return pa.RecordBatch.from_arrays([*arrays, pa.array([len(ec)]), pa.array([moved]), pa.array([int((given == code).sum())]), pa.array([chance])], names=names)
+    names = ["n_cells", "n_own", "length", "own", "room", "code", "place", "given", *axes, "tally", "chance"]
+    schema = ", ".join(f"{c} binary" for c in names[:-2]) + ", tally array<struct<axis int, value long, sa long, n long>>, chance double"
+    struct = pa.struct([("axis", pa.int32()), ("value", pa.int64()), ("sa", pa.int64()), ("n", pa.int64())])
+
+    class Sums:
+        """A task's counts of axes' values by given values, and its rows, moved rows and hits, as counts of an axis 0."""
+
+        def __init__(self):
+            self.of, self.rows = [{} for _ in axes], np.zeros(3, np.int64)
+
+        def add(self, points: list[np.ndarray], given: np.ndarray, n: np.ndarray, size: int, moved: int, hit: int) -> None:
+            self.rows += (size, moved, hit)
+            for own, x in zip(self.of, points, strict=True):
+                held, at = np.unique(x, return_inverse=True)
+                per = np.bincount(at * m + given, n, len(held) * m).astype(np.int64)
+                for v, counted in zip(held.tolist(), per.reshape(-1, m), strict=True):
+                    if v in own:
+                        own[v] += counted
+                    else:
+                        own[v] = counted.copy()
+
+        def batch(self, chance: float = 0.0) -> pa.RecordBatch:
+            parts = [(np.zeros(3, np.int64), np.arange(3), np.zeros(3, np.int64), self.rows)]
+            for i, own in enumerate(self.of):
+                per = np.array(list(own.values()), np.int64).reshape(-1, m)
+                at, sa = np.nonzero(per)
+                parts.append((np.full(len(at), i + 1), np.array(list(own), np.int64)[at], sa, per[at, sa]))
+            axis, *rest = (np.concatenate(c) for c in zip(*parts, strict=True))
+            entries = pa.StructArray.from_arrays([pa.array(axis.astype(np.int32)), *map(pa.array, rest)], fields=list(struct))
+            tally = pa.ListArray.from_arrays(pa.array([0, len(entries)], pa.int32()), entries)
+            return pa.RecordBatch.from_arrays([*(pa.array([None], pa.binary()) for _ in names[:-2]), tally, pa.array([chance])], names=names)
+
+    def chunk(packed: list[bytes]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([*(pa.array([x], pa.binary()) for x in packed), pa.array([None], pa.list_(struct)), pa.array([0.0])], names=names)
 
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, chance = Sums(), 0.0
+
         def out(ec, code, *points) -> pa.RecordBatch:
-            given, at, chance = np.empty(len(ec), np.int64), _starts(ec), 0.0
+            nonlocal chance
+            at, given = np.r_[0, np.flatnonzero(ec[1:] != ec[:-1]) + 1, len(ec)], np.empty(len(ec), np.int64)
             for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
                 given[a:b] = np.random.default_rng([seed, int(ec[a])]).permutation(code[a:b])
-                chance += float((np.bincount(code[a:b]) ** 2).sum()) / (b - a)
-            return chunk(ec, code, points, given, len(ec), chance)
+            group, place = _spread(np.diff(at))
+            order = _order(group, code)
+            new = np.flatnonzero(np.r_[True, (np.diff(group[order]) != 0) | (np.diff(code[order]) != 0)])
+            own, owner, room = code[order][new], group[order][new], np.diff(np.r_[new, len(ec)])
+            chance += float((room**2 / np.diff(at)[owner]).sum())
+            order = _order(group, *points)
+            group, code, given, place, *points = (c[order] for c in (group, code, given, place, *points))
+            new = np.r_[True, np.logical_or.reduce([np.diff(c) != 0 for c in (group, *points)])]
+            sums.add(points, given, np.ones(len(ec)), len(ec), len(ec), int((given == code).sum()))
+            cells = np.flatnonzero(new)
+            n_groups = len(at) - 1
+            parts = (np.bincount(group[cells], minlength=n_groups), np.bincount(owner, minlength=n_groups), np.diff(np.r_[cells, len(ec)]), own, room, code, place, given)
+            return chunk([*map(_bytes, parts), *(x[cells].astype(np.int64).tobytes() for x in points)])
 
         held, size = [], 0
         for batch in batches:
@@ -159,57 +313,85 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed
             if size >= CHUNK_ROWS:
                 columns = [np.concatenate(c) for c in zip(*held, strict=True)]
                 # the last group may go on
-                last = int(_starts(columns[0])[-2])
+                new = np.flatnonzero(columns[0][1:] != columns[0][:-1])
+                last = int(new[-1]) + 1 if len(new) else 0
                 if last:
                     yield out(*(c[:last] for c in columns))
                 held = [[c[last:] for c in columns]]
                 size = len(held[0][0])
         if size:
             yield out(*(np.concatenate(c) for c in zip(*held, strict=True)))
+        yield sums.batch(chance)
 
-    def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for one in batch.column(0):
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in np.frombuffer(one.as_buffer(), np.int64).reshape(4, -1)], names=["axis", "value", "sa", "n"])
-
-    n_parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    def counted(state: DataFrame) -> tuple[list[tuple[np.ndarray, np.ndarray]], list[int]]:
+        """Each axis's values with their counts by sensitive value, and rows, moved rows and hits."""
+        seen = state.where("tally is not null").select(F.inline("tally")).groupBy("axis", "value", "sa").agg(F.sum("n").alias("n"))
+        found = seen.limit(MAX_SMALL + 1).toArrow()  # axes' domains x values
+        if len(found) > MAX_SMALL:
+            raise ValueError("the axes have too many values for a model; coarsen them")
+        axis, value, sa, n = (found.column(c).to_numpy() for c in ("axis", "value", "sa", "n"))
+        table, totals = [], dict(zip(value[axis == 0].tolist(), n[axis == 0].tolist(), strict=True))
+        for i in range(len(axes)):
+            own = axis == i + 1
+            held, at = np.unique(value[own], return_inverse=True)
+            per = np.zeros((len(held), m))
+            per[at, sa[own]] = n[own]
+            table.append((held, per))
+        return table, [totals[k] for k in range(3)]
+
+    # as many tasks as keep all cores busy in a round, but none for few rows
+    cores, total = spark.sparkContext.defaultParallelism, sum(n for _, n in counts)
+    n_parts = max(1, min(-(-total // FEW_ROWS), cores * -(-total // (PART_ROWS * cores))))
     state = settle(coded.repartition(n_parts, "ec").sortWithinPartitions("ec", "row_key").drop("row_key").mapInArrow(first, schema))
-    total, hit, chance = state.agg(F.sum("n"), F.sum("hit"), F.sum("chance")).first()
-    taken, changed = 0, total
+    table, (total, changed, hit) = counted(state)
+    chance = state.agg(F.sum("chance")).first()[0]
+    taken = 0
     while taken < rounds and changed > stop * total:
         taken += 1
-        seen = state.select("tally").mapInArrow(unpack, "axis long, value long, sa long, n long").groupBy("axis", "value", "sa").agg(F.sum("n").alias("n"))
-        counts = seen.limit(MAX_SMALL + 1).collect()  # axes' domains x values
-        if len(counts) > MAX_SMALL:
-            raise ValueError("the axes have too many values for a model; coarsen them")
-        size = np.zeros(len(values))
-        table = []
-        for i in range(len(axes)):
-            own = [(r.value, r.sa, r.n) for r in counts if r.axis == i + 1]
-            held = np.unique(np.array([v for v, _, _ in own], np.int64))
-            n = np.zeros((len(held), len(values)))
-            n[np.searchsorted(held, [v for v, _, _ in own]), [c for _, c, _ in own]] = [k for _, _, k in own]
-            size = n.sum(0)
-            table.append((held, n))
-        table = [(held, np.log(np.maximum(n / np.maximum(size, 1), FLOOR))) for held, n in table]
-        model = spark.sparkContext.broadcast((table, np.log(np.maximum(size, 1) / size.sum())))
+        size = table[-1][1].sum(0)
+        conds = [(held, np.log(np.maximum(n / np.maximum(size, 1), FLOOR))) for held, n in table]
+        model = spark.sparkContext.broadcast((conds, np.log(np.maximum(size, 1) / size.sum())))
 
         def again(batches: Iterator[pa.RecordBatch], model=model) -> Iterator[pa.RecordBatch]:
-            table, prior = model.value
+            conds, prior = model.value
+            sums = Sums()
             for batch in batches:
                 for i in range(len(batch)):
-                    ec, code, *points, before = (np.frombuffer(batch.column(j)[i].as_buffer(), np.int64) for j in range(len(axes) + 3))
-                    at, given = _starts(ec), np.empty(len(ec), np.int64)
-                    places = [np.searchsorted(held, x) for x, (held, _) in zip(points, table, strict=True)]
-                    for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
-                        score = np.tile(prior, (b - a, 1))
-                        for place, (_, cond) in zip(places, table, strict=True):
-                            score += cond[place[a:b]]
-                        given[a:b] = _again(score, code[a:b])
-                    yield chunk(ec, code, points, given, int((given != before).sum()), batch.column(len(names) - 1)[i].as_py())
-
-        state = settle(state.mapInArrow(again, schema))
-        changed, hit = state.agg(F.sum("moved"), F.sum("hit")).first()
+                    packed = [batch.column(j)[i].as_py() for j in range(len(names) - 2)]
+                    if packed[0] is None:
+                        continue
+                    n_cells, n_own, length, own, room, code, place, before = map(_numbers, packed[:8])
+                    n_cells, n_own, length, own, room = (x.astype(np.int64) for x in (n_cells, n_own, length, own, room))
+                    points = [np.frombuffer(x, np.int64) for x in packed[8:]]
+                    spots = [np.searchsorted(held, x) for x, (held, _) in zip(points, conds, strict=True)]
+                    done = []
+                    c, v, r = (np.r_[0, np.cumsum(x)] for x in (n_cells, n_own, length))
+                    # blocks of whole groups with at most PAIRS pairs, or of one group
+                    pairs, a = np.cumsum(n_cells * n_own), 0
+                    while a < len(n_cells):
+                        b = max(a + 1, int(np.searchsorted(pairs, (pairs[a - 1] if a else 0) + PAIRS, "right")))
+                        cells = slice(c[a], c[b])
+
+                        def score(cell, value, spots=spots, cells=cells):
+                            out = prior[value]
+                            for spot, (_, cond) in zip(spots, conds, strict=True):
+                                out += cond[spot[cells][cell], value]
+                            return out
+
+                        cell, value, n = _serve(score, n_cells[a:b], n_own[a:b], length[cells], own[v[a] : v[b]], room[v[a] : v[b]], place[r[c[a]] : r[c[b]]])
+                        done.append((cell + c[a], value, n))
+                        a = b
+                    cell, value, n = (np.concatenate(x) for x in zip(*done, strict=True))
+                    given = np.repeat(value.astype(code.dtype), n)
+                    sums.add([x[cell] for x in points], value, n, len(code), int((given != before).sum()), int((given == code).sum()))
+                    packed[7] = _bytes(given)
+                    yield chunk(packed)
+            yield sums.batch()
+
+        old, state = state, settle(state.mapInArrow(again, schema))
+        table, (total, changed, hit) = counted(state)
+        forget(old)
+        model.unpersist()
     return float(hit / total), float(chance / total), taken, changed / max(1, total)
 
 

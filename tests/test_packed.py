@@ -1,5 +1,6 @@
 """Releases from a packed table: the same groups as by sorting all rows again."""
 
+import pathlib
 import threading
 
 import numpy as np
@@ -123,3 +124,45 @@ def test_exchange_rounds_shuffle_no_rows(spark, people, monkeypatch):
     hit, chance, rounds, changed = attack.exchange_attack(deal.deal(d, "rank"), SPEC.axes, rounds=3)
     assert 0 <= hit <= 1 and 0 < chance < 1 and rounds <= 3 and 0 <= changed <= 1
     assert len(settled) == rounds + 1 and all("Exchange" not in plan and "FlatMapGroups" not in plan for plan in settled[1:])
+
+
+def test_exchange_rounds_take_few_tasks_and_leave_no_files(spark, people, monkeypatch, tmp_path):
+    """3,000 rows are one task's work, and a round's table goes when the next one stands."""
+    from gainbound.operators import attack
+
+    parts, whole = [], attack.settle
+    monkeypatch.setattr(attack, "settle", lambda df: parts.append(df.rdd.getNumPartitions()) or whole(df))
+    d = deal.prepare(people, SPEC, 2.0)
+    rows = deal.deal(d, "rank").localCheckpoint()
+    shared = pathlib.Path(spark.sparkContext.getCheckpointDir().removeprefix("file:"))
+    before = set(shared.glob("*/rdd-*")) | set(shared.glob("rdd-*"))
+    rounds = attack.exchange_attack(rows, SPEC.axes, rounds=3)[2]
+    left = (set(shared.glob("*/rdd-*")) | set(shared.glob("rdd-*"))) - before
+    assert rounds == 3 and parts == [1] * 4 and len(left) == 1
+
+
+@pytest.mark.parametrize(("groups", "rows", "cells", "values", "levels"), [(200, 40, 6, 9, 4), (300, 12, 3, 5, 50), (3, 400, 30, 12, 6), (150, 30, 1, 8, 3)])
+def test_cells_are_served_as_their_rows_would_be(groups, rows, cells, values, levels):
+    """Values go to rows by best score, equal scores by row and then by value; few levels make many ties between cells."""
+    from gainbound.operators import attack
+
+    random = np.random.default_rng(rows)
+    scores = random.integers(0, levels, (cells, values)).astype(float)
+    cell, code = random.integers(0, cells, (groups, rows)), random.integers(0, values, (groups, rows))
+    want, parts = [], []
+    for g in range(groups):
+        own, room = np.unique(code[g], return_counts=True)
+        free, given, left = [True] * rows, np.empty(rows, np.int64), room.copy()
+        for _, r, j in sorted((-scores[cell[g, r], v], r, j) for r in range(rows) for j, v in enumerate(own.tolist())):
+            if free[r] and left[j]:
+                free[r], given[r] = False, own[j]
+                left[j] -= 1
+        order = np.argsort(cell[g], kind="stable")
+        held, length = np.unique(cell[g], return_counts=True)
+        want.append(given[order])
+        parts.append((held, length, own, room, order))
+    held, length, own, room, place = (np.concatenate(x) for x in zip(*parts, strict=True))
+    asked = []
+    found, value, n = attack._serve(lambda c, v: asked.append(len(c)) or scores[held[c], v], np.array([len(p[0]) for p in parts]), np.array([len(p[2]) for p in parts]), length, own, room, place)
+    assert (np.repeat(value, n) == np.concatenate(want)).all() and (np.bincount(found, n) == length).all()
+    assert sum(asked) == sum(len(p[0]) * len(p[2]) for p in parts)
