@@ -9,8 +9,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from gainbound.operators.deal import Dealt, cells_of, deal_cells, deal_rank, encode, planned_on, survey
 from gainbound.operators.perturb import Randomiser, reconstruct
-from gainbound.operators.settle import forget, settle
+from gainbound.operators.settle import forget, settle, settle_columns
+from gainbound.plans.spec import ReleaseSpec
 
 FLOOR = 1e-12
 #: Share of rows that a round of the exchangeable assignment may still change when it is called done, and most rounds.
@@ -235,20 +237,18 @@ def _serve(score: Callable, n_cells: np.ndarray, n_own: np.ndarray, length: np.n
     return cell[used], own[value[used]], take[used]
 
 
-def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed: int = 5, stop: float = STOP, counts: list[tuple] | None = None) -> tuple[float, float, int, float]:
+def exchange_attack(rows: DataFrame | Dealt, axes: list[str], rounds: int = ROUNDS, seed: int = 5, stop: float = STOP, counts: list[tuple] | None = None) -> tuple[float, float, int, float]:
     """Assigns each group's sensitive values to its rows by an evolving naive Bayes model.
 
-    rows: row_key, axes, sa, ec, where sa is used as each group's multiset and, at the end, as the truth; counts: (value, rows) of sa, if
-    they are known. Returns the success rate, that of random assignment, the rounds taken and the share of rows that the last one changed, which is
+    rows: row_key, axes, sa, ec, where sa is used as each group's multiset and, at the end, as the truth, or such rows by shards; counts: (value, rows) of
+    sa, if they are known, as they must be for shards. Returns the success rate, that of random assignment, the rounds taken and the share of rows that the last one changed, which is
     above `stop` if the attack was cut. Whole groups are packed into chunks once, by cell and in the order of row_key; a round is one pass over
     the chunks without a shuffle of rows, whose tasks sum their counts up. A group is a task's unit; the model, axes' values by sensitive values, is a small table."""
     from gainbound.operators.model import domain
 
     counts = domain(rows, "sa") if counts is None else counts
     values = [v for v, _ in sorted(counts, key=lambda x: (x[0] is None, x[0]))]
-    spark, kind, m = rows.sparkSession, rows.schema["sa"].dataType.simpleString(), len(values)
-    codes = spark.createDataFrame([(v, i) for i, v in enumerate(values)], f"_sa {kind}, code long")
-    coded = rows.select("row_key", *axes, "ec", "sa").join(F.broadcast(codes), F.col("sa").eqNullSafe(F.col("_sa"))).select(F.col("ec").cast("long").alias("ec"), "row_key", "code", *(F.col(x).cast("long").alias(x) for x in axes))
+    spark, m = (rows.table if isinstance(rows, Dealt) else rows).sparkSession, len(values)
     names = ["n_cells", "n_own", "length", "own", "room", "code", "place", "given", *axes, "tally", "chance"]
     schema = ", ".join(f"{c} binary" for c in names[:-2]) + ", tally array<struct<axis int, value long, sa long, n long>>, chance double"
     struct = pa.struct([("axis", pa.int32()), ("value", pa.int64()), ("sa", pa.int64()), ("n", pa.int64())])
@@ -323,6 +323,18 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed
             yield out(*(np.concatenate(c) for c in zip(*held, strict=True)))
         yield sums.batch(chance)
 
+    def by_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        filling, code, points = shards.value
+        held = [[c.to_numpy() for c in batch.columns] for batch in batches if len(batch)]
+        if held:
+            shard, cell = (np.concatenate(c) for c in zip(*held, strict=True))
+            ec = filling.groups(int(shard[0]), cell)
+            order = _order(ec)
+            ec, cell = ec[order], cell[order]
+            for i in range(0, len(ec), CHUNK_ROWS):
+                some = cell[i : i + CHUNK_ROWS]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (ec[i : i + CHUNK_ROWS], code[some], *(x[some] for x in points))], names=["ec", "code", *axes])
+
     def counted(state: DataFrame) -> tuple[list[tuple[np.ndarray, np.ndarray]], list[int]]:
         """Each axis's values with their counts by sensitive value, and rows, moved rows and hits."""
         seen = state.where("tally is not null").select(F.inline("tally")).groupBy("axis", "value", "sa").agg(F.sum("n").alias("n"))
@@ -339,10 +351,18 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed
             table.append((held, per))
         return table, [totals[k] for k in range(3)]
 
-    # as many tasks as keep all cores busy in a round, but none for few rows
-    cores, total = spark.sparkContext.defaultParallelism, sum(n for _, n in counts)
-    n_parts = max(1, min(-(-total // FEW_ROWS), cores * -(-total // (PART_ROWS * cores))))
-    state = settle(coded.repartition(n_parts, "ec").sortWithinPartitions("ec", "row_key").drop("row_key").mapInArrow(first, schema))
+    if isinstance(rows, Dealt):
+        code_of = {v: i for i, v in enumerate(values)}
+        shards = spark.sparkContext.broadcast((rows.filling, np.array([code_of[v] for v in rows.sa], np.int64), rows.points))
+        state = settle(rows.table.mapInArrow(lambda batches: first(by_groups(batches)), schema))
+    else:
+        kind = rows.schema["sa"].dataType.simpleString()
+        codes = spark.createDataFrame([(v, i) for i, v in enumerate(values)], f"_sa {kind}, code long")
+        coded = rows.select("row_key", *axes, "ec", "sa").join(F.broadcast(codes), F.col("sa").eqNullSafe(F.col("_sa"))).select(F.col("ec").cast("long").alias("ec"), "row_key", "code", *(F.col(x).cast("long").alias(x) for x in axes))
+        # as many tasks as keep all cores busy in a round, but none for few rows
+        cores, n = spark.sparkContext.defaultParallelism, sum(k for _, k in counts)
+        n_parts = max(1, min(-(-n // FEW_ROWS), cores * -(-n // (PART_ROWS * cores))))
+        state = settle(coded.repartition(n_parts, "ec").sortWithinPartitions("ec", "row_key").drop("row_key").mapInArrow(first, schema))
     table, (total, changed, hit) = counted(state)
     chance = state.agg(F.sum("chance")).first()[0]
     taken = 0
@@ -395,6 +415,20 @@ def exchange_attack(rows: DataFrame, axes: list[str], rounds: int = ROUNDS, seed
     return float(hit / total), float(chance / total), taken, changed / max(1, total)
 
 
+def exchange_attack_on(df: DataFrame, spec: ReleaseSpec, beta: float) -> tuple[float, float, int, float]:
+    """The attack on the release of df by rank dealing. df is encoded and kept by columns once; where it has few cells, their counts plan the release and deal its rows."""
+    spec.validate(df)
+    encoded, axes = settle_columns(encode(df, spec)), spec.axes
+    cells = cells_of(encoded, axes, MAX_SMALL)
+    surveyed = survey(encoded if cells is None else df.sparkSession.createDataFrame(cells), spec)
+    d = planned_on(encoded, spec, *surveyed, beta)
+    if cells is None:
+        return exchange_attack(deal_rank(d), axes, counts=d.counts)
+    n = sum(k for _, k in d.counts)
+    shard_rows = max(FEW_ROWS, min(PART_ROWS, -(-n // df.sparkSession.sparkContext.defaultParallelism)))
+    return exchange_attack(deal_cells(d, cells, shard_rows), axes, counts=d.counts)
+
+
 def corruption(hist: DataFrame, known: int) -> DataFrame:
     """Per group: the largest posterior of a value for a victim after the `known` most helpful others have been learned."""
     top = hist.groupBy("ec").agg(F.max("n").alias("n_max"), F.max("size").alias("size"))

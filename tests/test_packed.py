@@ -166,3 +166,21 @@ def test_cells_are_served_as_their_rows_would_be(groups, rows, cells, values, le
     found, value, n = attack._serve(lambda c, v: asked.append(len(c)) or scores[held[c], v], np.array([len(p[0]) for p in parts]), np.array([len(p[2]) for p in parts]), length, own, room, place)
     assert (np.repeat(value, n) == np.concatenate(want)).all() and (np.bincount(found, n) == length).all()
     assert sum(asked) == sum(len(p[0]) * len(p[2]) for p in parts)
+
+
+@pytest.mark.parametrize("shard_rows", [100, 700, 5000])
+def test_rows_dealt_by_cells_are_in_the_groups_of_their_ranks(spark, people, shard_rows):
+    """Keys that a shard's end cuts are ranked, the others are not; nulls are a value."""
+    d = deal.prepare(people, SPEC, 3.0)
+    dealt = deal.deal_cells(d, deal.cells_of(d.encoded, SPEC.axes, 10_000), shard_rows)
+    plain = deal.deal(d, "rank").orderBy("ec", "row_key").collect()
+    want = [(r.ec, r.x1, r.x2, r.sa) for r in plain]
+    got, parts = [], dealt.table.rdd.glom().collect()
+    for part in parts:
+        cell = np.array([r.cell for r in part])
+        assert len({r.shard for r in part}) == 1
+        ec = dealt.filling.groups(part[0].shard, cell)
+        order = np.argsort(ec, kind="stable")
+        got += [(int(ec[i]), *(int(x[cell[i]]) for x in dealt.points), dealt.sa[cell[i]]) for i in order]
+    assert got == want and (len(parts) > 1) == (shard_rows < 3000)
+    assert deal.cells_of(d.encoded, SPEC.axes, 10) is None
