@@ -335,21 +335,24 @@ def exchange_attack(rows: DataFrame | Dealt, axes: list[str], rounds: int = ROUN
                 some = cell[i : i + CHUNK_ROWS]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in (ec[i : i + CHUNK_ROWS], code[some], *(x[some] for x in points))], names=["ec", "code", *axes])
 
-    def counted(state: DataFrame) -> tuple[list[tuple[np.ndarray, np.ndarray]], list[int]]:
-        """Each axis's values with their counts by sensitive value, and rows, moved rows and hits."""
-        seen = state.where("tally is not null").select(F.inline("tally")).groupBy("axis", "value", "sa").agg(F.sum("n").alias("n"))
-        found = seen.limit(MAX_SMALL + 1).toArrow()  # axes' domains x values
+    def counted(state: DataFrame, entries: int) -> tuple[list[tuple[np.ndarray, np.ndarray]], list[int]]:
+        """Each axis's values with their counts by sensitive value, and rows, moved rows and hits. entries: at most as many counts of all tasks, which few are summed here."""
+        found = state.where("tally is not null").select(F.inline("tally"))
+        if entries > MAX_SMALL:
+            found = found.groupBy("axis", "value", "sa").agg(F.sum("n").alias("n")).limit(MAX_SMALL + 1)  # axes' domains x values
+        found = found.toArrow()
         if len(found) > MAX_SMALL:
             raise ValueError("the axes have too many values for a model; coarsen them")
         axis, value, sa, n = (found.column(c).to_numpy() for c in ("axis", "value", "sa", "n"))
-        table, totals = [], dict(zip(value[axis == 0].tolist(), n[axis == 0].tolist(), strict=True))
+        table, totals = [], np.zeros(3, np.int64)
+        np.add.at(totals, value[axis == 0], n[axis == 0])
         for i in range(len(axes)):
             own = axis == i + 1
             held, at = np.unique(value[own], return_inverse=True)
             per = np.zeros((len(held), m))
-            per[at, sa[own]] = n[own]
+            np.add.at(per, (at, sa[own]), n[own])
             table.append((held, per))
-        return table, [totals[k] for k in range(3)]
+        return table, totals.tolist()
 
     if isinstance(rows, Dealt):
         code_of = {v: i for i, v in enumerate(values)}
@@ -363,7 +366,9 @@ def exchange_attack(rows: DataFrame | Dealt, axes: list[str], rounds: int = ROUN
         cores, n = spark.sparkContext.defaultParallelism, sum(k for _, k in counts)
         n_parts = max(1, min(-(-n // FEW_ROWS), cores * -(-n // (PART_ROWS * cores))))
         state = settle(coded.repartition(n_parts, "ec").sortWithinPartitions("ec", "row_key").drop("row_key").mapInArrow(first, schema))
-    table, (total, changed, hit) = counted(state)
+    table, (total, changed, hit) = counted(state, MAX_SMALL + 1)
+    # a task's counts in a round: three totals, and its part of the axes' domains x values
+    entries = len(rows.filling.nodes if isinstance(rows, Dealt) else range(n_parts)) * (3 + m * sum(len(held) for held, _ in table))
     chance = state.agg(F.sum("chance")).first()[0]
     taken = 0
     while taken < rounds and changed > stop * total:
@@ -409,7 +414,7 @@ def exchange_attack(rows: DataFrame | Dealt, axes: list[str], rounds: int = ROUN
             yield sums.batch()
 
         old, state = state, settle(state.mapInArrow(again, schema))
-        table, (total, changed, hit) = counted(state)
+        table, (total, changed, hit) = counted(state, entries)
         forget(old)
         model.unpersist()
     return float(hit / total), float(chance / total), taken, changed / max(1, total)
